@@ -7,6 +7,9 @@ times the template's.
 
 from __future__ import annotations
 
+import math
+from fractions import Fraction
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -42,8 +45,8 @@ def _let(value: Column, use) -> Column:
 
 def _bounds(n: int, threshold: float) -> tuple[int, int]:
     """Least and most bigrams of a unit that may reach the threshold with n."""
-    low = int(-(-n * threshold // (2 - threshold)))
-    return max(1, low), int(n * (2 - threshold) / threshold)
+    t = Fraction(str(threshold))
+    return max(1, math.ceil(n * t / (2 - t))), math.floor(n * (2 - t) / t)
 
 
 def _best(bigrams: Column, templates: dict[str, str], threshold: float) -> Column:
@@ -65,11 +68,9 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", templa
     rows each give a row; extra columns are not read.
     """
     text = F.col(text_col)
-    bounds = [_bounds(len(bigrams_of(t)), threshold) for t in templates.values()]
-    least, most = min(b[0] for b in bounds), max(b[1] for b in bounds)
     # A unit of b distinct bigrams has at least b + 1 words; the upper bound is on distinct bigrams only.
+    least = min(_bounds(len(bigrams_of(t)), threshold)[0] for t in templates.values())
     lines = F.array_distinct(F.concat(F.split(text, "\n"), F.array(text)))
-    del most
     found = F.filter(
         F.transform(lines, lambda u: _let(_words(u), lambda w: F.when(F.size(w) > least, _let(_bigrams(w), lambda b: _best(b, templates, threshold))))),
         lambda s: s.isNotNull() & (s["dice"] >= threshold),
