@@ -11,6 +11,8 @@ import math
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from erfocus.operators.durable import cut, sized
+
 MIN_WORDS = 50
 #: Share of good texts that all rules together may reject in a stratum, and the chance of an error there.
 ALPHA = 0.01
@@ -160,17 +162,23 @@ def judge(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     Without labels of a stratum (also the null one) only the base rules act there.  Extra columns of
     the texts are not read.
     """
-    measured = measures(docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("__text"), F.col(stratum).alias("__stratum")), "doc_id", "__text", "__stratum")
-    marked = labels.select("doc_id").distinct()
-    held = measures(docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("__text"), F.col(stratum).alias("__stratum")).join(marked, "doc_id", "left_semi"), "doc_id", "__text", "__stratum")
-    cutoffs = calibrate(held, labels, "__stratum")
+    measured, cutoffs = _measured(docs, labels, id_col, text_col, stratum)
     return measured.select("doc_id", *MEASURES, base_failed().alias("base_failed"), verdict(cutoffs, "__stratum").alias("kept"))
 
 
+def _measured(docs: DataFrame, labels: DataFrame, id_col: str, text_col: str, stratum: str) -> tuple[DataFrame, dict]:
+    """Every row's measures, taken in one pass over the texts and kept, and the cutoffs that they give."""
+    rows = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("__text"), F.col(stratum).alias("__stratum"), F.xxhash64(F.col(text_col)).alias("__key"))
+    measured = cut(measures(rows, "doc_id", "__text", "__stratum", "__key"))
+    return measured, calibrate(measured, labels, "__stratum")
+
+
 def kept_documents(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", stratum: str = "lang") -> DataFrame:
-    """The rows of docs whose texts pass, with all their columns; one pass after the cutoffs are chosen."""
-    held = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("__text"), F.col(stratum).alias("__stratum"))
-    marked = labels.select("doc_id").distinct()
-    cutoffs = calibrate(measures(held.join(marked, "doc_id", "left_semi"), "doc_id", "__text", "__stratum"), labels, "__stratum")
-    whole = docs.select(F.struct("*").alias("__doc"), F.col(id_col).alias("doc_id"), F.col(text_col).alias("__text"), F.col(stratum).alias("__stratum"))
-    return measures(whole, "doc_id", "__text", "__doc", "__stratum").where(verdict(cutoffs, "__stratum")).select("__doc.*")
+    """The rows of docs whose texts pass, with all their columns.
+
+    Texts are measured once; rows are then taken out by id, text hash and stratum of those that failed.
+    """
+    measured, cutoffs = _measured(docs, labels, id_col, text_col, stratum)
+    failed = measured.where(~verdict(cutoffs, "__stratum")).select(F.col("doc_id").alias("__id"), "__key", "__stratum").distinct()
+    here = F.col(id_col).eqNullSafe(F.col("__id")) & (F.xxhash64(F.col(text_col)) == F.col("__key")) & F.col(stratum).eqNullSafe(F.col("__stratum"))
+    return docs.join(sized(cut(failed)), here, "left_anti")
