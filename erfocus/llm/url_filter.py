@@ -127,7 +127,8 @@ def build(pages: DataFrame, rules: tuple[Rule, ...], url_col: str = "url") -> Ca
                     if (h, p) not in seen:
                         seen.add((h, p))
                         found |= {k for a in actions if (k := _key(h, p, a)) in level and k not in own}
-            yield pd.DataFrame({"key": sorted(found)})
+            if found:
+                yield pd.DataFrame({"key": sorted(found)})
 
     wrong = cut(pages.select(F.col(url_col).alias("url")).mapInPandas(mistakes, "key binary").distinct())
     if (wrong.agg(F.sum(F.octet_length("key")).alias("n")).first()["n"] or 0) > MAX_LISTED_BYTES:

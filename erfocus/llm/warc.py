@@ -178,7 +178,8 @@ def write(pages: DataFrame, folder: str, file_bytes: int = FILE_BYTES, **columns
                     out, k = None, k + 1
         if out is not None:
             close()
-        yield pd.DataFrame({"path": [p for p, _ in done], "records": [c for _, c in done]}, columns=["path", "records"])
+        if done:
+            yield pd.DataFrame({"path": [p for p, _ in done], "records": [c for _, c in done]})
 
     plan = plan.withColumn("page_id", F.col("page_id").cast("string")).withColumn("response", F.col("response").cast("string"))
     return cut(plan.mapInPandas(run, "path string, records long"))
@@ -201,7 +202,8 @@ def read(archives: DataFrame, with_payload: bool = False) -> DataFrame:
                         if held > 16 << 20:
                             yield _frame(rows)
                             rows, held = [], 0
-                    yield _frame(rows)
+                    if rows:
+                        yield _frame(rows)
 
     return archives.select("path").repartition(n, "path").mapInPandas(run, "page_id string, url string, payload_bytes long, payload_digest string, record_type string, refers_to string, payload binary")
 
