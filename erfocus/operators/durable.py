@@ -25,9 +25,15 @@ def shared_path(spark: SparkSession, name: str) -> str:
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """Materialise once in the shared folder and forget how it was made."""
-    shared_dir(df.sparkSession)
-    return df.checkpoint(eager=True)
+    """Materialise once in the shared folder and forget how it was made.
+
+    A checkpoint keeps the size that was estimated for its plan.  Joins multiply such estimates, so that over
+    rounds of joins they would grow to numbers of millions of digits; the rows are taken without them.
+    """
+    spark = df.sparkSession
+    shared_dir(spark)
+    rows = df.checkpoint(eager=True)._jdf
+    return DataFrame(spark._jsparkSession.internalCreateDataFrame(rows.queryExecution().toRdd(), rows.schema(), False), spark)
 
 
 #: A broadcast of so many rows of a few numbers takes tens of megabytes.
