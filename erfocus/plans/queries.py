@@ -12,10 +12,11 @@ from erfocus.functions.rand import h32
 from erfocus.functions.strings import normal
 from erfocus.operators import alias, baselines, blocking, context, converge, exact, extract, influence, metrics, parallel, samplers, schedule, score, state, train
 from erfocus.operators.durable import cut
-from erfocus.plans import session
+from erfocus.plans import session, workloads
 from erfocus.plans.oracles import EDGE_TOP, STEPS, TOP, WATCH
 from erfocus.sources import fixtures
 from erfocus.sources.schema import as_queries
+from erfocus.streaming import growth
 
 TWO = features.TWO_WORD_NAMES
 
@@ -487,6 +488,8 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     )
 }
 QUERIES |= {f"chain_{s}": _chain(s) for s in ("uniform", "pin_target", "influence_both", "influence_to_query", "expel", "expel_both")}
+QUERIES |= {"stream_canopy": lambda spark, sf_dir: growth.replay(spark, sf_dir)}
+QUERIES |= workloads.WORKLOADS
 QUERIES |= {"chain_mh": _with_mh}
 QUERIES |= {f"schedule_{p}": _plan(p) for p in ("round_robin", "by_selectivity", "equal")}
 QUERIES |= {f"schedule_{p}": _next(p) for p in ("closest_first", "farthest_first", "slowest_first")}
