@@ -62,6 +62,9 @@ def weighted(specs: Iterable[FeatureSpec], **changes: tuple[int, int]) -> tuple[
 #: The same, hand-tuned for two-word names whose words each belong to many entities.
 TWO_WORD_NAMES = weighted(SHORT_NAMES, f01=(60, -15), f07=(30, -3))
 
+#: For the worked example: common context words count most, strings little.
+CONTEXT_FIRST = weighted((s for s in SHORT_NAMES if s.name != "f08"), f14=(150, -120))
+
 
 def weight_table(spark: SparkSession, specs: Iterable[FeatureSpec] = SPECS) -> DataFrame:
     return spark.createDataFrame([(s.name, s.plus, s.minus, s.klass, s.what) for s in specs], "feature string, w_pos int, w_neg int, klass string, what string")

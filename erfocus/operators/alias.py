@@ -64,7 +64,7 @@ def cdf_draw(weights: DataFrame, draws: DataFrame) -> DataFrame:
     """(query_id, draw, mention_id) by inverse cumulative weights: the same law by a range join, for checks."""
     w = Window.partitionBy("query_id").orderBy("mention_id")
     share = F.col("weight") / F.sum("weight").over(Window.partitionBy("query_id"))
-    spans = weights.withColumn("share", share).withColumn("high", F.sum("share").over(w)).withColumn("low", F.col("high") - F.col("share"))
+    spans = weights.withColumn("share", share).withColumn("high", F.sum("share").over(w)).withColumn("low", F.lag("high", 1, 0.0).over(w))
     last = F.lead("mention_id").over(w).isNull()
     spans = spans.withColumn("high", F.when(last, 1.1).otherwise(F.col("high")))
     return draws.join(spans, (draws["query_id"] == spans["query_id"]) & (draws["u"] >= spans["low"]) & (draws["u"] < spans["high"])).select(draws["query_id"], "draw", "mention_id")

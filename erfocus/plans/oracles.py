@@ -233,7 +233,7 @@ SEL = f"{base()}, sl AS (SELECT query_id, count(*) AS sel FROM canopy GROUP BY 1
 
 TOY_ROWS = ", ".join("({}, {}, '{}', [{}], '{}')".format(i, d, m, ", ".join(f"'{c}'" for c in ctx), g) for i, d, m, ctx, g in fixtures.TOY)
 TOY = f"""m(mention_id, doc_id, mention, paragraph, gold) AS (VALUES {TOY_ROWS}), {sides('paragraph')},
-c AS (SELECT 0 AS query_id, mention_id FROM m), {edges('paragraph', features.SHORT_NAMES)},
+c AS (SELECT 0 AS query_id, mention_id FROM m), {edges('paragraph', features.CONTEXT_FIRST)},
 gr(k, p) AS (SELECT 1, [1] UNION ALL SELECT k + 1, list_append(p, x) FROM (SELECT k, p, unnest(list_append(list_distinct(p), k + 1)) AS x FROM gr WHERE k < {len(fixtures.TOY)})),
 pt AS (SELECT p, coalesce((SELECT sum(w) FROM e WHERE p[i + 1] = p[j + 1]), 0)::BIGINT AS score FROM gr WHERE k = {len(fixtures.TOY)}),
 z AS (SELECT p, score, exp((score - max(score) OVER ()) / 100.0) AS z FROM pt),

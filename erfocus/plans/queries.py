@@ -325,7 +325,7 @@ def context_levels(spark, sf_dir):
 def _toy(spark):
     toy = fixtures.toy(spark)
     ids = toy.select("mention_id")
-    edges = score.pair_edges(ids.withColumn("query_id", F.lit(0).cast("long")), toy, features.SHORT_NAMES, None, "paragraph").drop("query_id")
+    edges = score.pair_edges(ids.withColumn("query_id", F.lit(0).cast("long")), toy, features.CONTEXT_FIRST, None, "paragraph").drop("query_id")
     return ids, edges
 
 

@@ -205,13 +205,13 @@ def w7_worked_example(spark: SparkSession, sf_dir: str) -> DataFrame:
     toy = fixtures.toy(spark)
     members = toy.select(F.lit(0).cast("long").alias("query_id"), "mention_id")
     queries = as_queries(toy.where("mention_id = 0"))
-    edges = cut(score.pair_edges(members, toy, features.SHORT_NAMES, None, LEVEL).withColumnRenamed("query_id", "component"))
-    infl = influence.score(members, toy, queries, features.SHORT_NAMES, None, LEVEL)
+    edges = cut(score.pair_edges(members, toy, features.CONTEXT_FIRST, None, LEVEL).withColumnRenamed("query_id", "component"))
+    infl = influence.score(members, toy, queries, features.CONTEXT_FIRST, None, LEVEL)
     rows = cut(samplers.pack(members, toy, edges, infl, queries, None, LEVEL))
     best = exact.map_partition(exact.partition_posterior(toy.select("mention_id"), edges)).first()["score"]
     out = None
     for kind in ("uniform", "pin_target", "influence_both", "influence_to_query", "expel", "expel_both"):
-        states = samplers.states(samplers.chains(rows, samplers.Settings(sampler=kind, samples=400), 20, features.SHORT_NAMES))
+        states = samplers.states(samplers.chains(rows, samplers.Settings(sampler=kind, samples=400), 20, features.CONTEXT_FIRST))
         got = score.config_score(states, edges).agg(F.max("score").alias("best_score"), F.avg("score").alias("mean_score"))
         row = got.select(F.lit(kind).alias("sampler"), "best_score", "mean_score", F.lit(best).alias("exact_score"))
         out = row if out is None else out.unionByName(row)
@@ -241,9 +241,11 @@ def near_copy_gold(documents: DataFrame, least: float = 0.5, frequent: int = 40)
 
     Shingles of that many documents or more do not propose pairs; all count in the similarity.
     """
-    ws = F.filter(F.split(F.lower("text"), r"[^\p{L}\p{N}]+"), lambda w: w != "")
-    shingles = F.array_distinct(F.transform(F.slice(ws, 1, F.greatest(F.size(ws) - 2, F.lit(0))), lambda w, i: F.xxhash64(w, F.get(ws, i + 1), F.get(ws, i + 2))))
-    d = cut(documents.select(F.col("doc_id").alias("mention_id"), F.explode(F.array(shingles)).alias("s")))
+    split = F.filter(F.split(F.lower("text"), r"[^\p{L}\p{N}]+"), lambda w: w != "")
+    # Rows of an explode are worked out once, not anew for each element of a lambda that uses them.
+    rows = documents.select(F.col("doc_id").alias("mention_id"), F.explode(F.array(split)).alias("ws"))
+    shingles = F.array_distinct(F.transform(F.slice("ws", 1, F.greatest(F.size("ws") - 2, F.lit(0))), lambda w, i: F.xxhash64(w, F.get("ws", i + 1), F.get("ws", i + 2))))
+    d = cut(rows.select("mention_id", shingles.alias("s")))
     each = d.select("mention_id", F.explode("s").alias("g"))
     rare = each.groupBy("g").agg(F.count(F.lit(1)).alias("n")).where((F.col("n") > 1) & (F.col("n") < frequent)).select("g")
     kept = each.join(rare, "g")
