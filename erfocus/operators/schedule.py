@@ -15,7 +15,8 @@ def plan(queries: DataFrame, policy: str, total: int, quantum: int = QUANTUM) ->
     """(slot, query_id, k): static schedules of total proposals over (query_id, sel).
 
     round_robin: quanta in turns; equal: a query's whole share at once, in turns of ids; by_selectivity: shares
-    in proportion to selectivity, by largest remainders, the most selective first, cut into quanta.
+    in proportion to selectivity, by largest remainders, cut into quanta that are spread evenly over the whole
+    schedule, of equal places the larger query's first.
     """
     n = F.count(F.lit(1)).over(Window.partitionBy(F.lit(0)))
     if policy == "round_robin":
@@ -36,7 +37,7 @@ def plan(queries: DataFrame, policy: str, total: int, quantum: int = QUANTUM) ->
     rows = rows.where("k > 0").withColumn("n", F.ceil(F.col("k") / quantum).cast("int") if policy == "by_selectivity" else F.lit(1))
     rows = rows.withColumn("part", F.explode(F.sequence(F.lit(1), F.col("n"))))
     size = F.when(F.col("part") < F.col("n"), F.lit(quantum)).otherwise(F.col("k") - (F.col("n") - 1) * quantum) if policy == "by_selectivity" else F.col("k")
-    order = [F.desc("sel"), "query_id", "part"] if policy == "by_selectivity" else ["query_id", "part"]
+    order = [(F.col("part") - 1) / F.col("n"), F.desc("sel"), "query_id"] if policy == "by_selectivity" else ["query_id", "part"]
     return rows.select((F.row_number().over(whole.orderBy(*order)) - 1).alias("slot"), "query_id", size.cast("int").alias("k"))
 
 
@@ -90,7 +91,9 @@ class Turns:
         ids = sorted(whole, key=lambda i: (-weight[i], i))
         if self.policy == "equal":
             return [(by[i], whole[i]) for i in sorted(whole) if whole[i]]
-        return [(by[i], min(self.quantum, whole[i] - a)) for i in ids for a in range(0, whole[i], self.quantum)]
+        parts = {i: range(0, whole[i], self.quantum) for i in ids}
+        slots = sorted((k / len(own), n, i, a) for n, (i, own) in enumerate(parts.items()) for k, a in enumerate(own))
+        return [(by[i], min(self.quantum, whole[i] - a)) for _, _, i, a in slots]
 
     def __call__(self, chain):
         for r in chain.trace[-self._new :] if self.turn else ():

@@ -293,7 +293,7 @@ SELECT r.mention_id, r.entity_id AS entity_from, entity_to, CASE WHEN r.entity_i
         "schedule_round_robin": f"WITH {SEL}, q AS (SELECT query_id, row_number() OVER (ORDER BY query_id) - 1 AS i, count(*) OVER () AS n FROM sl) SELECT s::INTEGER AS slot, query_id, least(100, 1950 - s * 100)::INTEGER AS k FROM range(0, 20) AS r(s) JOIN q ON s % n = i",
         "schedule_equal": f"WITH {SEL}, {shares(1950, '1')} SELECT (row_number() OVER (ORDER BY query_id) - 1)::INTEGER AS slot, query_id, k::INTEGER AS k FROM x2 WHERE k > 0",
         "schedule_by_selectivity": f"""WITH {SEL}, {shares(1950, 'sel')}, y AS (SELECT query_id, sel, k, unnest(range(0, k, 100)) AS a FROM x2)
-SELECT (row_number() OVER (ORDER BY sel DESC, query_id, a) - 1)::INTEGER AS slot, query_id, least(100, k - a)::INTEGER AS k FROM y""",
+SELECT (row_number() OVER (ORDER BY (a // 100) / ceil(k / 100), sel DESC, query_id) - 1)::INTEGER AS slot, query_id, least(100, k - a)::INTEGER AS k FROM y""",
         "acceptance_rates": f"WITH {SCRIPT} SELECT query_id, step, round(avg(accepted::INT) OVER (PARTITION BY query_id ORDER BY step ROWS 49 PRECEDING), 9) AS rate FROM sc",
         "schedule_closest_first": f"WITH {RATES} SELECT query_id, round(rate, 9) AS rate FROM rt WHERE rate > 0 ORDER BY rt.rate, query_id LIMIT 1",
         "schedule_farthest_first": f"WITH {RATES} SELECT query_id, round(rate, 9) AS rate FROM rt ORDER BY rt.rate DESC, query_id LIMIT 1",
