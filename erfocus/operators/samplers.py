@@ -156,7 +156,8 @@ def _chain(ids, docs, edges, sides, queries, run_id: int, s: Settings, specs) ->
     wide = EntityFeatures(np.asarray(docs), similar) if s.entity_wide else None
     single = None if s.init is None else s.init == "single"
     start = np.array([py_h32(f"init|{s.seed}|{i}") % 8 for i in ids.tolist()]) if s.init == "random" else None
-    return Chain(ids, weights, nodes, s.sampler, s.tau, s.seed, run_id, s.accept, s.temperature, single, start, wide), queries
+    # Metropolis-Hastings takes no move whose reverse is never proposed: without new entities none could be merged.
+    return Chain(ids, weights, nodes, s.sampler, s.tau, s.seed, run_id, s.accept, s.temperature, single, start, wide, s.accept == "mh"), queries
 
 
 def run(packed: DataFrame, settings: Settings = Settings(), runs: int = 1, specs: Iterable[features.FeatureSpec] = features.PAIRWISE, first_run: int = 0) -> tuple[DataFrame, DataFrame]:

@@ -121,14 +121,15 @@ def w1_real_time(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.withColumn("blocking_seconds", F.lit(blocking_s)).withColumn("influence_seconds", F.lit(build_s)).withColumn("all_chains_seconds", F.lit(chain_s))
 
 
-def _compare(spark: SparkSession, sf_dir: str, sels: tuple[int, ...], canopy: int, kinds: tuple[str, ...], samples: int, runs: int) -> DataFrame:
-    m = fixtures.part_mentions(spark, sf_dir)
-    members, queries = designed(m, cut(_wanted(names(m, len(sels)), [(s, canopy) for s in sels])))
+def _compare(spark: SparkSession, sf_dir: str, sels: tuple[int, ...], canopy: int, kinds: tuple[str, ...], samples: int, runs: int, informative: int = fixtures.INFORMATIVE, **changes) -> DataFrame:
+    m = fixtures.part_mentions(spark, sf_dir, informative=informative)
+    picked = names(m if informative else m.withColumn("context", F.col("context").withField("paragraph", F.array(F.concat(F.lit("topic_"), F.replace("gold", F.lit(" "), F.lit("_")))))), len(sels))
+    members, queries = designed(m, cut(_wanted(picked, [(s, canopy) for s in sels])))
     rows = packed(m, members, queries)
     true = members.join(m.select("mention_id", "gold"), "mention_id").join(queries.select("query_id", F.col("gold").alias("g")), "query_id").where("gold = g").groupBy("query_id").agg(F.count(F.lit(1)).alias("selectivity"))
     out = None
     for kind in kinds:
-        curves, took = run(rows, m, members, queries, samplers.Settings(sampler=kind, samples=samples), runs)
+        curves, took = run(rows, m, members, queries, samplers.Settings(sampler=kind, samples=samples, **changes), runs)
         end = metrics.at_step(curves, samples).join(metrics.time_to(curves, TARGET), ["component", "run_id", "query_id"]).join(took, ["component", "run_id"])
         reached = end.groupBy("query_id").agg(
             F.avg("f1q").alias("f1_at_budget"), F.stddev("f1q").alias("sd"), F.avg("first_step").alias("steps_to_target"), F.count("first_step").alias("runs_reached"), F.count(F.lit(1)).alias("runs"), F.avg("seconds").alias("chain_seconds")
@@ -142,6 +143,21 @@ def w2_samplers(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _compare(spark, sf_dir, COMPARED, 300, ("uniform", "pin_target", "influence_both", "influence_to_query"), 2500, 10)
 
 
+def w2_uninformative(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same without any topic word that names an entity: what strings alone give."""
+    return _compare(spark, sf_dir, COMPARED, 300, ("uniform", "pin_target", "influence_both", "influence_to_query"), 2500, 10, informative=0)
+
+
+def w2_annealed(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same with Metropolis-Hastings acceptance at a temperature."""
+    return _compare(spark, sf_dir, COMPARED, 300, ("uniform", "pin_target", "influence_both", "influence_to_query"), 2500, 10, accept="mh", temperature=30.0)
+
+
+def w3_score_decay(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rising selectivity with decay on the score instead of the rank."""
+    return _compare(spark, sf_dir, RISING, 600, ("influence_both", "influence_to_query"), 8000, 3, unit="score")
+
+
 def w3_selectivity(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Proposals to the target over rising selectivity at one canopy size."""
     return _compare(spark, sf_dir, RISING, 600, ("pin_target", "influence_both", "influence_to_query"), 8000, 3)
@@ -310,4 +326,4 @@ def w12_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
     return growth.replay(spark, sf_dir).withColumnRenamed("n_mentions", "streamed").join(growth.counts(m, growth.watch(m)).withColumnRenamed("n_mentions", "batch"), "query_id", "full")
 
 
-WORKLOADS = {f.__name__: f for f in (w1_real_time, w2_samplers, w3_selectivity, w4_schedules, w5_context, w6_parallel, w7_worked_example, w8_exhaustive, w9_text, w10_refine, w11_negative_control, w12_stream)}
+WORKLOADS = {f.__name__: f for f in (w1_real_time, w2_samplers, w2_uninformative, w2_annealed, w3_selectivity, w3_score_decay, w4_schedules, w5_context, w6_parallel, w7_worked_example, w8_exhaustive, w9_text, w10_refine, w11_negative_control, w12_stream)}

@@ -92,6 +92,11 @@ def test_mh_visits_follow_the_posterior():
     assert max(abs(counts.get(k, 0) / 20000 - v / total) for k, v in z.items()) < 0.03
 
 
+def test_hybrid_merges_under_mh_where_new_entities_are_targets():
+    assert any(r[8] for r in chain("influence_to_query", accept="mh", temperature=5.0, allow_new_target=True)[0].trace)
+    assert not any(r[8] for r in chain("influence_to_query", accept="mh", temperature=5.0)[0].trace)
+
+
 def test_entity_features_are_rescored_locally():
     w = weights(8, 3)
     wide = EntityFeatures(np.array([0, 0, 1, 1, 2, 2, 3, 3]), lambda i, j: w[i, j] > 0, (10, -5), (20, -3))
