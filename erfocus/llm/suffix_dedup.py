@@ -119,13 +119,13 @@ def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
         own = suffixes.join(live, "gram").groupBy("doc_id").agg(F.collect_set("gram").alias("__live"))
         found = windows(rows.join(own, "doc_id").select("doc_id", "__text", "__live"), None, min_words, anchor)
     found = cut(found)
-    places = found.join(_shared(found, "window"), "window").select("doc_id", "place")
+    # Kept first, so that both sides of the join are plain exchanges and a passage of many documents can be split.
+    places = found.join(cut(_shared(found, "window")), "window").select("doc_id", "place")
     return _merged(places, min_words)
 
 
 def _sorted(live: DataFrame) -> np.ndarray:
-    parts = [np.array([r["gram"] for r in live.toLocalIterator()], dtype=np.int64)]
-    return np.sort(np.concatenate(parts))
+    return np.sort(np.fromiter((r["gram"] for r in live.toLocalIterator()), dtype=np.int64))
 
 
 def _merged(places: DataFrame, min_words: int) -> DataFrame:
