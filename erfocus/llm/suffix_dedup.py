@@ -118,7 +118,7 @@ def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     else:
         own = suffixes.join(live, "gram").groupBy("doc_id").agg(F.collect_set("gram").alias("__live"))
         found = windows(rows.join(own, "doc_id").select("doc_id", "__text", "__live"), None, min_words, anchor)
-    found = cut(found)
+    # Windows are made anew for the join: written down they would take twice the input's disk.
     # Kept first, so that both sides of the join are plain exchanges and a passage of many documents can be split.
     places = found.join(cut(_shared(found, "window")), "window").select("doc_id", "place")
     return _merged(places, min_words)
