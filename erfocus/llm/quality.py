@@ -1,12 +1,13 @@
 """Quality rules whose cutoffs are chosen with a bound on the good texts they reject.
 
 All counts of a text are made in its own row with built-in functions; nothing but counts by stratum,
-rule and candidate cutoff leaves the executors.
+label and rules' candidate cutoffs leaves the executors.
 """
 
 from __future__ import annotations
 
 import math
+from collections import Counter
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -110,42 +111,69 @@ def tail(k: int, n: int, p: float) -> float:
     return min(1.0, math.exp(top) * math.fsum(math.exp(x - top) for x in log))
 
 
-def choose(counts: dict, strata: list, alpha: float = ALPHA, delta: float = DELTA, rules: dict = RULES) -> dict:
+def steps(bad: Counter, rules: dict = RULES) -> list:
+    """The sequence of (rule, cutoff) in which a stratum's rules are tightened, by its labelled bad texts alone.
+
+    All rules are off at first; every rule takes its mildest cutoff, then every rule its next, those that reject
+    most bad texts first.  A step that rejects no further bad text is left out.
+    """
+    grids, at, out = {r: sorted(g, reverse=True) for r, g in rules.items()}, dict.fromkeys(rules, 0), []
+    gone = rejected(bad, at)
+    for depth in range(1, max(map(len, grids.values()), default=0) + 1):
+        open_ = [r for r, g in grids.items() if len(g) >= depth]
+        for rule in sorted(open_, key=lambda r: -rejected(bad, dict.fromkeys(rules, 0) | {r: depth})):
+            more = rejected(bad, at | {rule: depth})
+            if more > gone:
+                at[rule], gone = depth, more
+                out.append((rule, grids[rule][depth - 1]))
+    return out
+
+
+def rejected(cells: Counter, at: dict) -> int:
+    """Texts that a configuration rejects; cells: {the mildest step of each rule that rejects the text: texts}."""
+    return sum(n for cell, n in cells.items() if any(step >= first for step, first in zip(at.values(), cell, strict=True)))
+
+
+def choose(counts: dict, strata: list, alpha: float = ALPHA, delta: float = DELTA, rules: dict = RULES, order: dict | None = None) -> dict:
     """{(stratum, rule): cutoff} from {(stratum, rule, cutoff): (good texts rejected, good texts)}.
 
-    A rule's part of alpha is alpha over the number of rules.  Candidates are tested from the mildest on,
-    each by the exact binomial tail at delta over the number of strata and rules, and a rule's tests end
-    with its first that does not pass (a fixed sequence, so that its own candidates need no more correction).
-    A rule none of whose candidates passes is off in the stratum.
+    Each stratum's steps are taken in its order (by default from each rule's mildest cutoff on), and the count of a
+    step is of good texts that all rules together reject after it.  So each test is of the whole configuration against
+    the whole of alpha, by the exact binomial tail at delta over the number of strata; tests end with the first that
+    does not pass.  A fixed sequence needs no more correction, as the order does not depend on the good texts.
     """
-    level, part = delta / max(1, len(strata) * len(rules)), alpha / len(rules)
-    chosen = {}
+    level, chosen = delta / max(1, len(strata)), {}
     for s in strata:
-        for rule, grid in rules.items():
-            for cutoff in sorted(grid, reverse=True):
-                k, n = counts.get((s, rule, cutoff), (0, 0))
-                if not n or tail(k, n, part) > level:
-                    break
-                chosen[s, rule] = cutoff
+        for rule, cutoff in [(r, c) for r, g in rules.items() for c in sorted(g, reverse=True)] if order is None else order[s]:
+            k, n = counts.get((s, rule, cutoff), (0, 0))
+            if not n or tail(k, n, alpha) > level:
+                break
+            chosen[s, rule] = cutoff
     return chosen
 
 
 def calibrate(measured: DataFrame, labels: DataFrame, stratum: str, id_col: str = "doc_id", good: str = "quality", alpha: float = ALPHA, delta: float = DELTA) -> dict:
-    """Cutoffs from all labelled good texts that pass the base rules.
+    """Cutoffs from all labelled texts that pass the base rules.
 
-    Labels with null ids or labels are not used; a document labelled twice counts if every label is good.
-    What comes to the driver is a row per stratum.
+    Labels with null ids or labels are not used; a document labelled twice is good if every label is good.
+    What comes to the driver are counts by stratum, label and each rule's mildest rejecting cutoff.
     """
-    marks = labels.select(F.col(id_col).alias("doc_id"), F.col(good).alias("__good")).where("doc_id IS NOT NULL AND __good IS NOT NULL").groupBy("doc_id").agg(F.min("__good").alias("__good")).where("__good = 1").select("doc_id")
-    held = measured.where(~base_failed()).join(marks, "doc_id", "left_semi")
+    marks = labels.select(F.col(id_col).alias("doc_id"), F.col(good).alias("__good")).where("doc_id IS NOT NULL AND __good IS NOT NULL").groupBy("doc_id").agg((F.min("__good") == 1).alias("__good"))
+    held = measured.where(~base_failed()).join(marks, "doc_id")
     values = rule_values()
-    cells = [(rule, c) for rule, grid in RULES.items() for c in grid]
-    rows = held.groupBy(stratum).agg(F.count(F.lit(1)).alias("n"), *[F.count_if(values[r] > c).alias(f"c{i}") for i, (r, c) in enumerate(cells)])
-    counts, strata = {}, []
-    for row in rows.toLocalIterator():
-        strata.append(row[stratum])
-        counts |= {(row[stratum], r, c): (row[f"c{i}"], row["n"]) for i, (r, c) in enumerate(cells)}
-    return choose(counts, strata, alpha, delta)
+    first = [sum((F.when(values[r] > c, 0).otherwise(1) for c in grid), F.lit(1)).alias(f"__{r}") for r, grid in RULES.items()]
+    cells: dict = {}
+    for row in held.groupBy(F.col(stratum).alias("__s"), "__good", *first).count().toLocalIterator():
+        cells.setdefault(row["__s"], (Counter(), Counter()))[row["__good"]][tuple(row[f"__{r}"] for r in RULES)] += row["count"]
+    strata = [s for s, (_, fine) in cells.items() if fine]
+    order = {s: steps(cells[s][0]) for s in strata}
+    counts = {}
+    for s in strata:
+        at, fine = dict.fromkeys(RULES, 0), cells[s][1]
+        for rule, cutoff in order[s]:
+            at[rule] = sorted(RULES[rule], reverse=True).index(cutoff) + 1
+            counts[s, rule, cutoff] = (rejected(fine, at), fine.total())
+    return choose(counts, strata, alpha, delta, order=order)
 
 
 def verdict(cutoffs: dict, stratum: str) -> Column:
@@ -159,7 +187,8 @@ def verdict(cutoffs: dict, stratum: str) -> Column:
 def judge(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", stratum: str = "lang") -> DataFrame:
     """(doc_id, the measures, base_failed, kept) of every row.
 
-    Without labels of a stratum (also the null one) only the base rules act there.  Extra columns of
+    Without labelled good texts of a stratum (also the null one), or with too few of them for a bound, only the
+    base rules act there: ALPHA, DELTA and four strata take 436 without a rejected one.  Extra columns of
     the texts are not read.
     """
     measured, cutoffs = _measured(docs, labels, id_col, text_col, stratum)

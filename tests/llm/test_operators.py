@@ -471,6 +471,23 @@ def test_binomial_tail():
             assert abs(quality.tail(k, n, p) - sum(comb(n, i) * p**i * (1 - p) ** (n - i) for i in range(k + 1))) < 1e-9
 
 
+def test_quality_method_rejects_labelled_bad_texts(spark):
+    own = " ".join(f"word{i}" for i in range(60))
+    data = [(i, f"{own} mine{i}", ["en", "de", "fr", "es"][i % 4]) for i in range(4 * 440)]
+    data += [(10_000 + i, f"{own} {'#$%& ' * 30}", "en") for i in range(20)]
+    docs = spark.createDataFrame(data, "doc_id long, text string, lang string")
+    labels = docs.selectExpr("doc_id", "int(doc_id < 10000) AS quality")
+    got = quality.judge(docs, labels).where("NOT kept").collect()
+    assert {r.doc_id for r in got} == set(range(10_000, 10_020)) and not any(r.base_failed for r in got)
+
+
+def test_quality_steps_are_of_bad_texts_and_counts_are_joint():
+    rules = {"a": (1.0, 2.0), "b": (1.0, 2.0)}
+    bad = {(2, 3): 5, (3, 1): 2, (3, 3): 1}
+    assert quality.steps(bad, rules) == [("b", 2.0), ("a", 1.0)]
+    assert quality.rejected(bad, {"a": 2, "b": 1}) == 7 and quality.rejected(bad, {"a": 0, "b": 0}) == 0
+
+
 def test_cutoffs_hold_their_bound():
     counts = {("en", "symbol_share", c): (k, 5000) for c, k in ((0.4, 0), (0.2, 1), (0.1, 300), (0.05, 0), (0.02, 0))}
     chosen = quality.choose(counts, ["en"], rules={"symbol_share": quality.RULES["symbol_share"]})
