@@ -5,12 +5,14 @@ tile pair of the whole table is compared: bands of the fingerprint itself (for r
 bands; no link is lost), or, for long fingerprints at a wide radius, least shingle hashes.  A tile is
 sorted by population count and compared by numpy in chunks, without those chunk pairs whose counts
 differ beyond the radius.  A tile of many fingerprints is split, and each pair of its parts is a task
-of its own.  A task returns a star per group it found, never its pairs.
+of its own.  A task returns a star per group it found, never its pairs.  Links at a wide radius only
+propose: the nodes of a group they make come together again and are compared by their sets of shingles.
 """
 
 from __future__ import annotations
 
 import itertools
+from fractions import Fraction
 
 import numpy as np
 import pandas as pd
@@ -26,6 +28,7 @@ from erfocus.operators.durable import cut, sized
 TILE = 2048
 CHUNK = 512
 SMALL = 48
+SET_BLOCK = 1 << 20
 SCHEMA = "node long, fp binary, size int, keys array<long>"
 
 
@@ -80,10 +83,26 @@ def banded_sketches(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     return rows.mapInPandas(run, f"doc_id string, {SCHEMA}").withColumn("doc_id", F.col("doc_id").cast(id_field.dataType))
 
 
+def shingle_sets(w: ta.Words, width: int) -> list[np.ndarray]:
+    """Each text's distinct shingle hashes in order; a text of fewer words than the width is one shingle."""
+    h = ta.word_hashes(w)
+    grams = ta.gram_hashes(h, width)
+    out = []
+    for n, a, b in zip(w.counts.tolist(), w.first[:-1].tolist(), w.first[1:].tolist(), strict=True):
+        out.append(np.unique(grams[a : a + n - width + 1] if n >= width else ta.gram_hashes(h[a:b], n) if n else h[:0]))
+    return out
+
+
+def set_node(own: np.ndarray) -> int:
+    """A 64-bit hash of a set of shingles; zero of the empty one."""
+    return int((ta.mix(own, 5).sum(dtype=ta.U) ^ ta.mix(np.array([len(own)], dtype=ta.U), 9)).view(np.int64)[0]) if len(own) else 0
+
+
 def minhash_sketches(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, lanes: int = 4, n_keys: int = 8) -> DataFrame:
     """(doc_id, node, fp, size, keys) by the majority of lanes * 64 hash bits; keys: least shingle hashes.
 
-    Documents of similarity s (shared shingles by all) miss a common key with a chance of (1 - s) ** n_keys.
+    Nodes are sets of shingles, so that only texts of the same set share one.  Documents of similarity s
+    (shared shingles by all) miss a common key with a chance of (1 - s) ** n_keys.
     """
     id_field = docs.schema[id_col]
 
@@ -91,16 +110,8 @@ def minhash_sketches(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
         salts = [ta.U(2 * k * 0x9E3779B97F4A7C15 + 1 & (1 << 64) - 1) for k in range(1, n_keys + 1)]
         for batch in batches:
             nodes, fps, sizes, keys = [], [], [], []
-            for row, end, data, offsets in ta.slices(batch.column(1)):
-                w = ta.words(data, offsets, ta.NOT_SPACE)
-                h = ta.word_hashes(w)
-                grams = ta.gram_hashes(h, width)
-                n = np.maximum(w.counts - width + 1, 0)
-                short = {}
-                for k in np.flatnonzero((w.counts > 0) & (w.counts < width)).tolist():
-                    short[k] = ta.gram_hashes(h[w.first[k] : w.first[k + 1]], int(w.counts[k]))
-                for k in range(end - row):
-                    own = short.get(k, grams[w.first[k] : w.first[k] + n[k]])
+            for _, _, data, offsets in ta.slices(batch.column(1)):
+                for own in shingle_sets(ta.words(data, offsets, ta.NOT_SPACE), width):
                     if not len(own):
                         nodes.append(0)
                         fps.append(bytes(8 * lanes))
@@ -109,7 +120,7 @@ def minhash_sketches(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
                         continue
                     fp = majority(np.stack([ta.mix(own, 77 * j) for j in range(lanes)], axis=1))
                     fps.append(fp.tobytes())
-                    nodes.append(int(ta.gram_hashes(fp.view(ta.U), lanes).view(np.int64)[0]))
+                    nodes.append(set_node(own))
                     sizes.append(len(own))
                     keys.append([int(ta.mix((own * s) ^ (own >> ta.U(29))).min().view(np.int64)) for s in salts])
             yield pa.RecordBatch.from_arrays(
@@ -178,29 +189,37 @@ def linked(sketches: DataFrame, radius: int, tile: int = TILE) -> DataFrame:
     """(a, b): stars over nodes whose fingerprints share a key and differ in at most radius bits."""
     nodes = sketches.groupBy("node").agg(F.first("fp").alias("fp"), F.first("keys").alias("keys"))
     dealt = cut(nodes.select("node", "fp", F.explode("keys").alias("key")))
+    placed = _placed(dealt, tile).repartition("key", "p", "q").sortWithinPartitions("key", "p", "q")
+    return placed.mapInArrow(_by_group(lambda table: _stars(table, radius)), "a long, b long")
+
+
+def _placed(dealt: DataFrame, tile: int) -> DataFrame:
+    """dealt's rows of keys of several nodes by (key, p, q): large keys in parts, once for each pair of parts."""
     counts = dealt.groupBy("key").count().where("count > 1").withColumn("parts", F.ceil(F.col("count") / tile).cast("int")).select("key", "parts")
     part = F.pmod(F.xxhash64("node", "key"), F.col("parts")).cast("int")
-    placed = (
+    return (
         dealt.join(counts, "key")
         .withColumn("part", part)
         .withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
-        .select("key", F.least("part", "other").alias("p"), F.greatest("part", "other").alias("q"), "node", "fp")
-        .repartition("key", "p", "q")
-        .sortWithinPartitions("key", "p", "q")
+        .select("key", F.least("part", "other").alias("p"), F.greatest("part", "other").alias("q"), *[c for c in dealt.columns if c != "key"])
     )
 
+
+def _by_group(use):
+    """A map over sorted batches that gives use() whole groups."""
+
     def run(batches):
         held = None
         for batch in batches:
             table = pa.Table.from_batches([batch]) if held is None else pa.concat_tables([held, pa.Table.from_batches([batch])])
             last = _starts(table)[-1] if table.num_rows else 0
             if last:
-                yield from _stars(table.slice(0, last), radius)
+                yield from use(table.slice(0, last))
             held = table.slice(last)
         if held is not None and held.num_rows:
-            yield from _stars(held, radius)
+            yield from use(held)
 
-    return placed.mapInArrow(run, "a long, b long")
+    return run
 
 
 def _starts(table: pa.Table) -> np.ndarray:
@@ -228,6 +247,70 @@ def _stars(table: pa.Table, radius: int):
     yield pa.RecordBatch.from_arrays([pa.array(node[mine]), pa.array(node[label[mine]])], names=["a", "b"])
 
 
+def exact_labels(fp: np.ndarray, sets: list[np.ndarray], radius: int, similarity: float) -> np.ndarray:
+    """Least row reachable from each row by pairs within the radius whose sets are of the similarity (Jaccard) at least."""
+    n, size = len(sets), np.array([len(s) for s in sets])
+    least = Fraction(str(similarity))
+    up, down = least.numerator, least.denominator
+    label = np.full(n, -1)
+    for seed in range(n):
+        if label[seed] >= 0:
+            continue
+        label[seed], todo = seed, [seed]
+        while todo:
+            x = todo.pop()
+            near = np.flatnonzero((label < 0) & (np.minimum(size, size[x]) * down >= np.maximum(size, size[x]) * up))
+            near = near[np.bitwise_count(fp[near] ^ fp[x]).sum(axis=1, dtype=np.int32) <= radius]
+            block = np.cumsum(size[near]) // SET_BLOCK
+            for k in np.unique(block):
+                some = near[block == k]
+                joined = np.concatenate([sets[i] for i in some])
+                at = np.minimum(np.searchsorted(sets[x], joined), size[x] - 1)
+                common = np.add.reduceat(sets[x][at] == joined, np.cumsum(size[some]) - size[some], dtype=np.int64)
+                some = some[common * down >= (size[some] + size[x] - common) * up]
+                label[some] = seed
+                todo.extend(some.tolist())
+    return label
+
+
+def _exact_stars(table: pa.Table, radius: int, similarity: float):
+    bounds = np.append(_starts(table), table.num_rows)
+    node = table.column("node").to_numpy()
+    for a, b in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True):
+        part = table.slice(a, b - a)
+        fp = np.frombuffer(b"".join(part.column("fp").to_pylist()), dtype=ta.U).reshape(b - a, -1)
+        sets = [np.frombuffer(s, dtype=ta.U) for s in part.column("shingles").to_pylist()]
+        label = a + exact_labels(fp, sets, radius, similarity)
+        mine = a + np.flatnonzero(node[a:b] != node[label])
+        yield pa.RecordBatch.from_arrays([pa.array(node[mine]), pa.array(node[label[mine - a]])], names=["a", "b"])
+
+
+def verified(rows: DataFrame, sketches: DataFrame, candidates: DataFrame, id_col: str, text_col: str, width: int, radius: int, similarity: float, tile: int = TILE) -> DataFrame:
+    """(a, b): stars over nodes whose shingle sets are of the similarity at least, within groups of candidate links.
+
+    A group's nodes come together once with their shingles; a group over the tile comes in parts, each pair of
+    which is a task's.
+    """
+    nodes = sketches.groupBy("node").agg(F.first("fp").alias("fp"), F.min("doc_id").alias("__id"))
+    dealt = connected_components(candidates).withColumnRenamed("component", "key").join(nodes, "node")
+    placed = cut(_placed(cut(dealt), tile))
+    texts = rows.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("__text"))
+    held = texts.join(sized(placed, 200_000), F.col("doc_id") == F.col("__id")).select("__text", "key", "p", "q", "node", "fp")
+
+    def run(batches):
+        for batch in batches:
+            nodes = batch.column(4).to_numpy()
+            for row, end, data, offsets in ta.slices(batch.column(0)):
+                sets = shingle_sets(ta.words(data, offsets, ta.NOT_SPACE), width)
+                # Rows of the same id may have other texts.
+                mine = np.flatnonzero([set_node(s) == n for s, n in zip(sets, nodes[row:end].tolist(), strict=True)])
+                out = batch.slice(row, end - row).take(pa.array(mine))
+                yield pa.RecordBatch.from_arrays([*out.columns[1:], pa.array([sets[k].tobytes() for k in mine], pa.binary())], names=["key", "p", "q", "node", "fp", "shingles"])
+
+    shingled = held.mapInArrow(run, "key long, p int, q int, node long, fp binary, shingles binary")
+    return shingled.repartition("key", "p", "q").sortWithinPartitions("key", "p", "q").mapInArrow(_by_group(lambda table: _exact_stars(table, radius, similarity)), "a long, b long")
+
+
 def components(sketches: DataFrame, radius: int) -> DataFrame:
     """(doc_id, fp, component_id): the smallest id among documents reachable by links."""
     sketches = cut(sketches)
@@ -255,19 +338,22 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 
 
 #: Of 256 bits: a word-shingle similarity of 0.8 makes 39 bits differ on average, with a deviation of 6.
-WIDE_RADIUS = 50
+WIDE_RADIUS = 64
+SIMILARITY = 0.8
 
 
-def one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, radius: int = WIDE_RADIUS) -> DataFrame:
+def one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, radius: int = WIDE_RADIUS, similarity: float = SIMILARITY) -> DataFrame:
     """docs with only one row of each group of near copies: that of the smallest id.
 
-    Groups are components of 256-bit fingerprints over five-word shingles within the radius, which
-    stands for a similarity of 0.8.  Rows with a null id and texts without words are kept as they
-    are; of rows that share the kept id, one stays.  All columns are kept.
+    Groups are components of pairs whose sets of five-word shingles are of the similarity (Jaccard) at least.
+    256-bit fingerprints within the radius only propose pairs.  Rows with a null id and texts without words
+    are kept as they are; of rows that share the kept id, one stays.  All columns are kept.
     """
     key = "__row_" + id_col
     rows = docs.where(F.col(id_col).isNotNull() & F.coalesce(F.col(text_col).rlike(r"[^\x20\x09-\x0D]"), F.lit(False)))
-    found = components(minhash_sketches(rows, id_col, text_col, width), radius)
+    sketches = cut(minhash_sketches(rows, id_col, text_col, width))
+    links = verified(rows, sketches, cut(linked(sketches, radius)), id_col, text_col, width, radius, similarity)
+    found = labelled(sketches, cut(links))
     gone = cut(found.where("doc_id <> component_id").select(F.col("doc_id").alias(key)).distinct())
     kept = docs.join(sized(gone), docs[id_col] == gone[key], "left_anti")
     repeated = found.groupBy("doc_id").count().where("count > 1").select(F.col("doc_id").alias(key))

@@ -192,6 +192,45 @@ def test_one_of_each_finds_similar_texts(spark):
     assert left == set(range(0, n, 2))
 
 
+def brute_left(own, width=5, least=0.8):
+    sets = {i: {tuple(t.split()[k : k + width]) for k in range(len(t.split()) - width + 1)} for i, t in own}
+    label = {i: i for i in sets}
+    for a, b in itertools.combinations(sets, 2):
+        if len(sets[a] & sets[b]) >= least * len(sets[a] | sets[b]) and label[a] != label[b]:
+            old, new = max(label[a], label[b]), min(label[a], label[b])
+            label = {i: new if x == old else x for i, x in label.items()}
+    return {i for i, x in label.items() if i == x}
+
+
+def test_one_of_each_links_by_exact_similarity(spark):
+    rng = np.random.default_rng(11)
+    own = []
+    for g in range(40):
+        base = [f"u{g}_{i}" for i in range(200)]
+        for _ in range(5):
+            ws = list(base)
+            for k in rng.choice(200, int(rng.integers(1, 7)), replace=False):
+                ws[k] = f"x{len(own)}_{k}"
+            own.append((len(own), " ".join(ws)))
+    # Of the same multiset majority, but for the most part of other words.
+    own += [(900 + k, "again " * 400 + " ".join(f"y{k}_{i}" for i in range(30))) for k in range(2)]
+    df = spark.createDataFrame(own, "doc_id long, text string")
+    left = {r.doc_id for r in simhash.one_of_each(df).collect()}
+    want = brute_left(own)
+    assert left == want and {900, 901} <= left and 40 < len(want) < 200
+
+
+@pytest.mark.parametrize("tile", [2048, 3])
+def test_verified_links_in_parts(spark, tile):
+    base = [f"u{i}" for i in range(300)]
+    own = [(k, " ".join([*base[: 10 * k], *(f"z{k}_{i}" for i in range(4)), *base[10 * k + 4 :]])) for k in range(12)] + [(20, " ".join(base[:200]))]
+    df = spark.createDataFrame(own, "doc_id long, text string")
+    sketches = simhash.minhash_sketches(df, width=5)
+    links = simhash.verified(df, sketches, simhash.linked(sketches, 64), "doc_id", "text", 5, 64, 0.8, tile)
+    found = simhash.labelled(sketches, links).where("doc_id = component_id").collect()
+    assert {r.doc_id for r in found} == brute_left(own) == {0, 20}
+
+
 # 3: line dedup
 
 
