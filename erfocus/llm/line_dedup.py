@@ -4,6 +4,8 @@ A line's spread is the number of sites it is on.  HyperLogLog sketches of sites
 lines whose estimate is near the threshold, within the sketch's error, get an exact distinct count.
 Lines spread over the threshold are boilerplate and leave every text, except texts that consist of
 such lines for the most part: those are copies, which whole-document dedup takes one by one.
+line_report counts lines of MIN_CHARS characters and exempts texts by MAX_SHARE, as its SQL does;
+without_boilerplate counts every line that isn't blank and exempts only texts without a line of their own.
 """
 
 from __future__ import annotations
@@ -25,17 +27,17 @@ def _line_key(line: Column) -> Column:
     return F.xxhash64(F.trim(line))
 
 
-def _long_enough(line: Column) -> Column:
-    return F.char_length(F.trim(line)) >= MIN_CHARS
+def _counted(line: Column, every: bool) -> Column:
+    return line.rlike(r"[^\x20\x09-\x0D]") if every else F.char_length(F.trim(line)) >= MIN_CHARS
 
 
-def boilerplate(docs: DataFrame, text_col: str = "text", site_col: str = "source", min_sites: int = MIN_SITES) -> DataFrame:
-    """(line_key) of lines of at least MIN_CHARS characters, trimmed of spaces, on min_sites sites or more.
+def boilerplate(docs: DataFrame, text_col: str = "text", site_col: str = "source", min_sites: int = MIN_SITES, every: bool = False) -> DataFrame:
+    """(line_key) of lines of at least MIN_CHARS characters, or of every line not blank, trimmed of spaces, on min_sites sites or more.
 
     A null site counts as one site of its own.
     """
     lines = docs.select(F.coalesce(F.col(site_col).cast("string"), F.lit("\0")).alias("__site"), F.explode(F.split(F.col(text_col), "\n")).alias("__line"))
-    lines = lines.where(_long_enough(F.col("__line"))).select("__site", _line_key(F.col("__line")).alias("line_key"))
+    lines = lines.where(_counted(F.col("__line"), every)).select("__site", _line_key(F.col("__line")).alias("line_key"))
     spread = lines.groupBy("line_key").agg(F.hll_sketch_estimate(F.hll_sketch_agg("__site", F.lit(LG_K))).alias("sites"))
     spread = cut(spread.where(F.col("sites") >= min(min_sites - 1, int(min_sites / (1 + MARGIN)))))
     high = max(min_sites + 1, int(min_sites * (1 + MARGIN)) + 1)
@@ -57,27 +59,33 @@ def line_report(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     )
 
 
-def _with_lines(docs: DataFrame, id_col: str, text_col: str, site_col: str, min_sites: int) -> DataFrame:
-    marks = cut(boilerplate(docs, text_col, site_col, min_sites).distinct())
+def _with_lines(docs: DataFrame, id_col: str, text_col: str, site_col: str, min_sites: int, every: bool = False) -> DataFrame:
+    marks = cut(boilerplate(docs, text_col, site_col, min_sites, every).distinct())
     text, id_, key = F.col(text_col), F.col(id_col), F.xxhash64(F.col(text_col))
-    lines = docs.select(id_.alias("__id"), key.alias("__key"), F.explode(F.split(text, "\n")).alias("__line")).where(_long_enough(F.col("__line")))
+    lines = docs.select(id_.alias("__id"), key.alias("__key"), F.explode(F.split(text, "\n")).alias("__line")).where(_counted(F.col("__line"), every))
     hits = lines.select("__id", "__key", _line_key(F.col("__line")).alias("line_key")).join(sized(marks), "line_key").groupBy("__id", "__key").agg(F.collect_set("line_key").alias("__keys"))
     hits = sized(cut(hits), 200_000)
     joined = docs.join(hits, id_.eqNullSafe(F.col("__id")) & (key == F.col("__key")), "left")
     parts = F.split(text, "\n")
-    hit = lambda x: F.coalesce(_long_enough(x) & F.array_contains(F.col("__keys"), _line_key(x)), F.lit(False))
+    hit = lambda x: F.coalesce(_counted(x, every) & F.array_contains(F.col("__keys"), _line_key(x)), F.lit(False))
     removed = F.filter(parts, hit)
     any_ = F.col("__keys").isNotNull()
     joined = joined.withColumn("n_lines", F.when(text.isNull(), 0).otherwise(F.size(parts)).cast("long"))
     joined = joined.withColumn("n_boilerplate", F.when(any_, F.size(removed)).otherwise(0).cast("long"))
-    strip = any_ & (F.char_length(F.array_join(removed, "")) <= MAX_SHARE * F.char_length(text))
+    if every:
+        strip = any_ & F.exists(parts, lambda x: _counted(x, True) & ~hit(x))
+    else:
+        strip = any_ & (F.char_length(F.array_join(removed, "")) <= MAX_SHARE * F.char_length(text))
     joined = joined.withColumn("__strip", F.coalesce(strip, F.lit(False)))
     return joined.withColumn("__new", F.when(F.col("__strip"), F.array_join(F.filter(parts, lambda x: ~hit(x)), "\n")).otherwise(text))
 
 
 def without_boilerplate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", site_col: str = "source", min_sites: int = MIN_SITES) -> DataFrame:
-    """docs with boilerplate lines cut out of the text; every row and column is kept."""
-    done = _with_lines(docs, id_col, text_col, site_col, min_sites)
+    """docs with boilerplate lines of any length cut out of the text; every row and column is kept.
+
+    A text that has only such lines, and blank ones, is left as it is.
+    """
+    done = _with_lines(docs, id_col, text_col, site_col, min_sites, every=True)
     return done.select(*[F.col("__new").alias(c) if c == text_col else done[c] for c in docs.columns])
 
 

@@ -246,6 +246,16 @@ def test_line_dedup_removes_wide_lines(spark):
     assert out.columns == df.columns and out.count() == df.count()
 
 
+def test_without_boilerplate_takes_short_lines_and_any_share(spark):
+    wide = "this line is the footer of many sites"
+    data = [(i, f"own {i}\n{wide}\nmore\n\n{wide}", f"s{i % 15}") for i in range(30)]
+    data += [(90, None, "s1"), (91, "", "s2"), (92, f"{wide}\n \nmore", "s3"), (93, "rare\n more ", "s4")]
+    df = spark.createDataFrame(data, "doc_id long, text string, source string")
+    got = {r.doc_id: r.text for r in line_dedup.without_boilerplate(df).collect()}
+    assert all(got[i] == f"own {i}\n" for i in range(30))
+    assert got[90] is None and got[91] == "" and got[92] == data[32][1] and got[93] == "rare"
+
+
 def test_line_dedup_counts_exactly_near_the_threshold(spark):
     line = "exactly as many sites as it is given here"
     for n in (9, 10, 11):
