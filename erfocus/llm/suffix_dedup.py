@@ -1,11 +1,10 @@
-"""Repeated passages by sparse suffix arrays.
-
-Of a text's suffixes those are retained that begin at a minimiser: the least of the anchor-gram hashes
-in a window of MIN_WORDS words.  Equal passages of that length retain suffixes at the same places.
-Retained suffixes are brought in order by their first words' hash, so that suffixes with equal beginnings
-are neighbours; where neighbours are of different documents, the match is extended to the left and to
-the right: each window of MIN_WORDS words that is anchored there is looked up among the windows of
-other documents.  A word is repeated if it is in a window that another document has too.
+"""Repeated passages by hashed windows; no suffix array is made.
+
+Of a text's places those are anchors that hold a minimiser: the least of the anchor-gram hashes in a window
+of MIN_WORDS words.  Equal windows have their anchors at the same places.  Windows whose anchor-gram is in
+two documents or more are hashed whole and joined by that 64-bit hash: a word is repeated if it is in a window
+that another document has too.  No suffixes are sorted, no neighbours compared, and windows of equal
+hashes are not compared word by word.
 """
 
 from __future__ import annotations
@@ -50,7 +49,7 @@ def _rows(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
 
 
 def anchors(rows: DataFrame, min_words: int, anchor: int) -> DataFrame:
-    """(gram, doc_id) of retained suffixes."""
+    """(gram, doc_id) of anchors."""
     kind = rows.schema["doc_id"].dataType.simpleString()
 
     def run(batches):
