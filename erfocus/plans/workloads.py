@@ -252,25 +252,30 @@ def w8_exhaustive(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out
 
 
-def near_copy_gold(documents: DataFrame, least: float = 0.5, frequent: int = 40) -> DataFrame:
+def near_copy_gold(documents: DataFrame, least: float = 0.5) -> DataFrame:
     """(mention_id, gold): components of documents whose word 3-shingles have a Jaccard of at least this; a fixture's truth.
 
-    Shingles of that many documents or more do not propose pairs; all count in the similarity.
+    Texts of the same shingles are one.  Each is indexed by its rarest shingles, so many that two texts of that
+    similarity share one of them; no link is lost.
     """
     split = F.filter(F.split(F.lower("text"), r"[^\p{L}\p{N}]+"), lambda w: w != "")
     # Rows of an explode are worked out once, not anew for each element of a lambda that uses them.
     rows = documents.select(F.col("doc_id").alias("mention_id"), F.explode(F.array(split)).alias("ws"))
     shingles = F.array_distinct(F.transform(F.slice("ws", 1, F.greatest(F.size("ws") - 2, F.lit(0))), lambda w, i: F.xxhash64(w, F.get("ws", i + 1), F.get("ws", i + 2))))
-    d = cut(rows.select("mention_id", shingles.alias("s")))
-    each = d.select("mention_id", F.explode("s").alias("g"))
-    rare = each.groupBy("g").agg(F.count(F.lit(1)).alias("n")).where((F.col("n") > 1) & (F.col("n") < frequent)).select("g")
-    kept = each.join(rare, "g")
-    pairs = kept.withColumnRenamed("mention_id", "i").join(kept.withColumnRenamed("mention_id", "j"), "g").where("i < j").select("i", "j").distinct()
-    sized = pairs.join(d.withColumnsRenamed({"mention_id": "i", "s": "a"}), "i").join(d.withColumnsRenamed({"mention_id": "j", "s": "b"}), "j")
+    d = cut(rows.select("mention_id", F.array_sort(shingles).alias("s")))
+    d = cut(d.withColumn("node", F.when(F.size("s") > 0, F.min("mention_id").over(Window.partitionBy("s"))).otherwise(F.col("mention_id"))))
+    classes = d.where("mention_id = node").select("node", "s", F.size("s").alias("n")).dropDuplicates(["node"])
+    each = classes.select("node", "n", F.explode("s").alias("g"))
+    known = each.join(each.groupBy("g").agg(F.count(F.lit(1)).alias("f")), "g")
+    ranked = known.withColumn("k", F.row_number().over(Window.partitionBy("node").orderBy("f", "g")))
+    kept = cut(ranked.where((F.col("k") <= F.col("n") - F.ceil(least * F.col("n") - 1e-9) + 1) & (F.col("f") > 1)).select("g", "node", "n"))
+    other = kept.withColumnsRenamed({"node": "j", "n": "m"})
+    pairs = kept.withColumnRenamed("node", "i").join(other, "g").where((F.col("i") < F.col("j")) & (F.least("n", "m") >= least * F.greatest("n", "m"))).select("i", "j").distinct()
+    sized = pairs.join(classes.select(F.col("node").alias("i"), F.col("s").alias("a")), "i").join(classes.select(F.col("node").alias("j"), F.col("s").alias("b")), "j")
     common = F.size(F.array_intersect("a", "b"))
     links = sized.where(common >= least * (F.size("a") + F.size("b") - common)).select("i", "j")
     parts = connected_components(links, "i", "j")
-    return d.select("mention_id").join(parts.withColumnRenamed("node", "mention_id"), "mention_id", "left").select("mention_id", F.coalesce("component", "mention_id").cast("string").alias("gold"))
+    return d.select("mention_id", "node").join(parts, "node", "left").select("mention_id", F.coalesce("component", "node").cast("string").alias("gold"))
 
 
 def w9_text(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -281,7 +286,7 @@ def w9_text(spark: SparkSession, sf_dir: str) -> DataFrame:
     sizes = gold.groupBy("gold").agg(F.count(F.lit(1)).alias("n"), F.min("mention_id").alias("mention_id")).where("n > 1")
     picked = m.join(sizes.orderBy(F.desc("n"), "mention_id").limit(12).select("mention_id"), "mention_id")
     q = cut(as_queries(picked))
-    er = session.EntityResolution(m, features.SHORT_NAMES, "document", max_canopy=60, settings=samplers.Settings(samples=600))
+    er = session.EntityResolution(m, features.SHORT_NAMES, "document", settings=samplers.Settings(samples=600))
     rows, _, frame, parts = er.packed(q)
     answers = er._answers(rows, frame, parts, 1)
     prf = metrics.mean_f1q(metrics.query_prf(answers, m.select("mention_id", "gold"), q, 1)).select(F.lit("near_copies").alias("what"), F.col("n_queries").alias("n"), F.col("mean_f1q").alias("value"))

@@ -13,7 +13,7 @@ from erfocus.operators import accept, alias, blocking, exact, influence, metrics
 from erfocus.operators.alias import vose
 from erfocus.operators.components import connected_components
 from erfocus.operators.kernel import SAMPLERS, Biased, Budget, Chain, Dense, EntityFeatures, Query
-from erfocus.plans import session
+from erfocus.plans import session, workloads
 from erfocus.sources import fixtures
 from erfocus.sources.schema import MentionSchema, QueryNode, as_queries
 
@@ -309,3 +309,12 @@ def test_curve_replays_the_chain(spark, small):
         end = {r.run_id: r.f1q for r in metrics.at_step(curve, 300).collect()}
         prf = {r.run_id: r.f1q for r in metrics.query_prf(samplers.answers(samplers.states(both), q), toy.select("mention_id", "gold"), q, 3).collect()}
         assert end == pytest.approx(prf)
+
+
+def test_near_copy_gold_links_large_groups(spark):
+    base = [f"w{i}" for i in range(30)]
+    data = [(k, " ".join([*base, f"own{k}", f"end{k}"])) for k in range(45)] + [(100 + k, " ".join(base)) for k in range(45)]
+    data += [(200, "a b"), (201, "a b"), (202, " ".join(base[:12] + [f"z{i}" for i in range(20)]))]
+    gold = workloads.near_copy_gold(spark.createDataFrame(data, "doc_id long, text string"))
+    got = {r.mention_id: r.gold for r in gold.collect()}
+    assert got == {i: "0" if i < 200 else str(i) for i, _ in data}
