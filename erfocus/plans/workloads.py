@@ -199,7 +199,7 @@ def w5_context(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def w6_parallel(spark: SparkSession, sf_dir: str, counts: tuple[int, ...] = (1, 8, 64)) -> DataFrame:
-    """Rising numbers of random queries over line mentions: alias-table seconds, and accuracy gained by merge rounds."""
+    """Rising numbers of random queries over line mentions: alias-table seconds and bytes only; no rounds are run."""
     m = fixtures.line_mentions(spark, sf_dir)
     order = m.select("mention_id", h32(F.concat(F.lit("q|"), F.col("mention_id").cast("string"))).alias("h"))
     picked = cut(as_queries(m.join(F.broadcast(order.orderBy("h", "mention_id").limit(max(counts)).withColumn("rank", F.row_number().over(Window.orderBy("h", "mention_id")))), "mention_id")))
