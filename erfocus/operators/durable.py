@@ -10,12 +10,14 @@ from pyspark.sql import functions as F
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The cluster's shared folder; a temporary one only where none is set (tests)."""
+    """The cluster's shared folder; a temporary one only where none is set and the driver is the whole cluster (tests)."""
     sc = spark.sparkContext
     current = sc._jsc.sc().getCheckpointDir()
     if current.isDefined():
         return current.get()
     named = spark.conf.get("spark.checkpoint.dir", None) or sc.getConf().get("spark.checkpoint.dir")
+    if not named and not sc.master.startswith("local"):
+        raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
     sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="erfocus-"))
     return sc._jsc.sc().getCheckpointDir().get()
 
@@ -41,5 +43,13 @@ BROADCAST_ROWS = 500_000
 
 
 def sized(df: DataFrame, max_rows: int = BROADCAST_ROWS) -> DataFrame:
-    """A materialised narrow table, with a broadcast hint only if it is counted to be small."""
+    """A narrow table that cut() has materialised, with a broadcast hint only if it is counted to be small.
+
+    Anything else would be worked out once for the count and again for the join: see held().
+    """
     return F.broadcast(df) if df.limit(max_rows + 1).count() <= max_rows else df
+
+
+def held(df: DataFrame, max_rows: int = BROADCAST_ROWS) -> DataFrame:
+    """A narrow table materialised once, counted where it lies, and hinted to be broadcast only if it is small."""
+    return sized(cut(df), max_rows)
