@@ -1,6 +1,6 @@
 """Packing token sequences from neighbours along a space-filling curve.
 
-A document is a point: hashed word counts, weighted, projected to a few dimensions.  Documents are
+A document is a point: hashed word counts projected to a few dimensions.  Documents are
 range-sorted by their place on the Hilbert curve through that space and laid end to end; the stream is
 cut every max_tokens.  What is left at the end of a range is cut into sequences whose lengths are powers
 of two, so that no sequence is padded.
@@ -15,6 +15,7 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from erfocus.llm import textarrays as ta
 from erfocus.llm.kinds import arrow_kind
@@ -59,7 +60,7 @@ def hilbert_key(points: np.ndarray, bits: int = BITS) -> np.ndarray:
 
 
 def _points(w: ta.Words, h: np.ndarray) -> np.ndarray:
-    """Projected log-weighted means of word hashes, scaled to the curve's grid."""
+    """Projected sums of word hashes over the root of their number, squashed to the curve's grid."""
     n = np.maximum(w.counts, 1)
     out = np.empty((len(w.counts), DIMENSIONS), dtype=np.int64)
     for k in range(DIMENSIONS):
@@ -70,7 +71,7 @@ def _points(w: ta.Words, h: np.ndarray) -> np.ndarray:
 
 
 class Encoder:
-    """Ids of texts; special tokens' strings in a text are ordinary text.
+    """Ids of texts, as the tokenizer file gives them: a special token's string in a text is that token.
 
     The vocabulary's rank file gives the very ids of the tokenizer file in a quarter of the time; a text
     whose white-space rules could differ would show in the test that compares the two.
@@ -78,13 +79,22 @@ class Encoder:
 
     def __init__(self, name: str = TOKENIZER):
         import base64
+        import json
 
         import public_tokenizers
         import tiktoken
 
         with open(public_tokenizers.path(f"{name}.tiktoken"), "rb") as f:
             ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
-        self.encode = tiktoken.Encoding("own", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={}).encode_ordinary
+        with open(public_tokenizers.path(f"{name}.json"), encoding="utf-8") as f:
+            special = {t["content"]: t["id"] for t in json.load(f)["added_tokens"]}
+        self.encoding = tiktoken.Encoding("own", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens=special)
+        self.special = list(special)
+
+    def encode(self, text: str) -> list[int]:
+        if any(s in text for s in self.special):
+            return self.encoding.encode(text, allowed_special="all")
+        return self.encoding.encode_ordinary(text)
 
 
 #: One encoder per worker process.
@@ -131,10 +141,12 @@ def _ids(blob: bytes, n: int) -> np.ndarray:
 def pack(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", max_tokens: int = MAX_TOKENS, tokenizer: str = TOKENIZER, with_ids: bool = False) -> DataFrame:
     """Pieces of documents placed in sequences; each id is in one piece, offsets are gapless from zero.
 
-    Null and empty texts are the end id alone.  Repeated rows are packed each.  Ranges of the curve are
-    split also inside groups of equal places, so copies do not crowd one task.  with_ids adds the ids.
+    Null and empty texts are the end id alone; an empty table gives no piece.  Repeated rows are packed each,
+    ties on the curve lie in the order of a hash of the id; a null id is kept.  Extra columns are not read.
+    Ranges of the curve are split also inside groups of equal places, so copies do not crowd one task.
+    with_ids adds the ids.
     """
-    kind = docs.schema[id_col].dataType.simpleString()
+    kind = docs.schema[id_col].dataType
     encoded = cut(tokens(docs, id_col, text_col, tokenizer))
     total = encoded.agg(F.sum("n").alias("n")).first()["n"] or 0
     least = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
@@ -162,7 +174,7 @@ def pack(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", max_to
             yield _batch(_tail(waiting, at, first + done), kind, with_ids)
 
     extra = ", ids array<int>" if with_ids else ""
-    return laid.mapInArrow(run, PIECES.format(kind) + extra)
+    return laid.mapInArrow(run, PIECES.format(kind.simpleString()) + extra)
 
 
 def _tail(waiting: list, total: int, sequence: int) -> list:
@@ -179,7 +191,7 @@ def _tail(waiting: list, total: int, sequence: int) -> list:
     return rows
 
 
-def _batch(rows: list, kind: str, with_ids: bool) -> pa.RecordBatch:
+def _batch(rows: list, kind: T.DataType, with_ids: bool) -> pa.RecordBatch:
     doc, start, ids, n, at, sequence = zip(*rows, strict=True)
     long = pa.int64()
     arrays = [pa.array(doc, arrow_kind(kind)), pa.array(start, long), pa.array(list(map(len, ids)), long), pa.array([zlib.crc32(x.tobytes()) for x in ids], long), pa.array(n, long), pa.array(sequence, long), pa.array(at, long)]

@@ -169,3 +169,37 @@ def settled(n: int, a: np.ndarray, b: np.ndarray) -> np.ndarray:
         while not np.array_equal(label, hop := label[label]):
             label = hop
     return label
+
+
+def passages(w: Words, first: np.ndarray, end: np.ndarray) -> pa.Array:
+    """The bytes of words first to end of each pair, with what lies between them, or one space if that is long."""
+    a, b = w.start[first], w.end[end - 1]
+    length = np.concatenate([[0], np.cumsum(w.end - w.start)])
+    if len(first) and int((b - a - (length[end] - length[first]) - (end - first)).max()) > 64:
+        return pa.array([b" ".join(w.data[w.start[k] : w.end[k]].tobytes() for k in range(i, j)) for i, j in zip(first.tolist(), end.tolist(), strict=True)], pa.binary())
+    offsets = np.concatenate([[0], np.cumsum(b - a)])
+    where = np.arange(int(offsets[-1])) - np.repeat(offsets[:-1] - a, b - a)
+    return pa.Array.from_buffers(pa.binary(), len(first), [None, pa.py_buffer(offsets.astype(np.int32)), pa.py_buffer(w.data[where])])
+
+
+def distinct_hashes(w: Words) -> np.ndarray:
+    """Hashes of words, equal only for words of equal bytes: where that fails, words are numbered instead."""
+    h = word_hashes(w)
+    if len(h) < 2:
+        return h
+    order = np.argsort(h, kind="stable")
+    length = w.end - w.start
+    same = np.flatnonzero(h[order[1:]] == h[order[:-1]])
+    a, b = order[same], order[same + 1]
+    fine = bool((length[a] == length[b]).all())
+    step = 1 << 18
+    for k in range(0, len(a) if fine else 0, step):
+        x, y, n = w.start[a[k : k + step]], w.start[b[k : k + step]], length[a[k : k + step]]
+        inside = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n)
+        if not np.array_equal(w.data[np.repeat(x, n) + inside], w.data[np.repeat(y, n) + inside]):
+            fine = False
+            break
+    if fine:
+        return h
+    known: dict[bytes, int] = {}
+    return np.array([known.setdefault(w.data[s:e].tobytes(), len(known) + 1) for s, e in zip(w.start, w.end, strict=True)], dtype=U)
