@@ -8,7 +8,9 @@ scored in one pass per block, as a text's score is a sum over its tokens.  Lower
 exactly beside the filter, by the same segments: the baseline needs them.
 
 Probability of w after v: (c(vw) + STRENGTH * p(w)) / (c(v) + STRENGTH), with p(w) the smoothed share of
-w among the training tokens.
+w among the training tokens.  For c(vw) the filter's level gives the least count it stands for, which is never
+more than the true one; a false positive is held under the exact c(w) and, where v is of the same block, c(v).
+So a probability is at most 1, and those of all words after v add up to at most 1 but for false positives.
 """
 
 from __future__ import annotations
@@ -41,16 +43,8 @@ def level(c: np.ndarray) -> np.ndarray:
     return 1 + np.floor(np.log(np.maximum(c, 1)) / math.log(LOG_BASE) + 1e-9).astype(np.int64)
 
 
-def _expected() -> np.ndarray:
-    """The mean count of each level."""
-    out = [0.0]
-    for q in range(1, 140):
-        low, high = math.ceil(LOG_BASE ** (q - 1) - 1e-6), math.ceil(LOG_BASE**q - 1e-6) - 1
-        out.append((low + max(low, high)) / 2)
-    return np.array(out)
-
-
-EXPECTED = _expected()
+#: The least count of each level; level zero is absence.
+LEAST = np.array([0.0, *(float(math.ceil(LOG_BASE ** (q - 1) - 1e-6)) for q in range(1, 140))])
 
 
 def sequence(w: ta.Words) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -130,7 +124,7 @@ def _build(pdf: pd.DataFrame) -> pd.DataFrame:
         found[kind] = summed(np.concatenate(keys), np.concatenate(counts)) if keys else (np.empty(0, dtype=ta.U), np.empty(0, dtype=np.int64))
     bits = filter_bits(*found[2])
     words, counts = found[1]
-    return pd.DataFrame({"seg": [pdf["seg"].iloc[0]], "bits": [bits.tobytes()], "words": [words.tobytes()], "counts": [counts.tobytes()], "n_words": [len(words)], "n_tokens": [int(counts.sum())], "bytes": [len(bits) + 16 * len(words)]})
+    return pd.DataFrame({"seg": [pdf["seg"].iloc[0]], "bits": [bits.tobytes()], "words": [words.tobytes()], "counts": [counts.astype("<u4" if counts.max(initial=0) < 1 << 32 else "<i8").tobytes()], "n_words": [len(words)], "n_tokens": [int(counts.sum())], "bytes": [len(bits) + 12 * len(words)]})
 
 
 def _seed(keys: np.ndarray, q: int) -> np.ndarray:
@@ -176,16 +170,16 @@ class Block:
             return np.zeros(len(words), dtype=np.int64)
         distinct, back = np.unique(words, return_inverse=True)
         at = np.minimum(np.searchsorted(self.words, distinct), len(self.words) - 1)
-        return np.where(self.words[at] == distinct, self.counts[at], 0)[back]
+        return np.where(self.words[at] == distinct, self.counts[at], 0).astype(np.int64)[back]
 
     def counted(self, keys: np.ndarray) -> np.ndarray:
-        """Expected counts of bigrams of the block, by probes for level after level."""
+        """Least counts of bigrams of the block, by probes for level after level."""
         seg = (keys >> ta.U(64 - self.seg_bits)).astype(np.int64) - self.first
         base, size = self.base[seg], self.size[seg]
         found = np.zeros(len(keys), dtype=np.int64)
         asked = np.flatnonzero(size > 0)
         q = 1
-        while len(asked) and q < len(EXPECTED):
+        while len(asked) and q < len(LEAST):
             a = _seed(keys[asked], q)
             for _ in range(PROBES):  # of keys that passed the probes before
                 at = base[asked] + (a % size[asked].astype(ta.U)).astype(np.int64)
@@ -193,7 +187,7 @@ class Block:
                 asked, a = asked[hit], _next(a[hit])
             found[asked] = q
             q += 1
-        return EXPECTED[found]
+        return LEAST[found]
 
 
 def held_out(id_col: str):
@@ -247,7 +241,7 @@ def gather(model: DataFrame, first: int, last: int) -> Block:
     own = model.where((F.col("seg") >= first) & (F.col("seg") < last))
     total = own.agg(F.sum(F.octet_length("bits")).alias("b"), F.sum("n_words").alias("w"), F.max("seg_bits").alias("s")).first()
     base, size = np.zeros(last - first, dtype=np.int64), np.zeros(last - first, dtype=np.int64)
-    bits, words, counts = np.zeros(total["b"] or 0, dtype=np.uint8), np.zeros(total["w"] or 0, dtype=ta.U), np.zeros(total["w"] or 0, dtype=np.int64)
+    bits, words, counts = np.zeros(total["b"] or 0, dtype=np.uint8), np.zeros(total["w"] or 0, dtype=ta.U), np.zeros(total["w"] or 0, dtype=np.uint32)
     starts = {r["seg"]: (r["b"], r["w"]) for r in own.select("seg", F.octet_length("bits").alias("b"), F.col("n_words").alias("w")).toLocalIterator()}
     at = w = 0
     where = {}
@@ -259,7 +253,10 @@ def gather(model: DataFrame, first: int, last: int) -> Block:
         bits[at : at + len(r["bits"])] = np.frombuffer(r["bits"], dtype=np.uint8)
         base[r["seg"] - first], size[r["seg"] - first] = 8 * at, 8 * len(r["bits"])
         words[w : w + r["n_words"]] = np.frombuffer(r["words"], dtype=ta.U)
-        counts[w : w + r["n_words"]] = np.frombuffer(r["counts"], dtype=np.int64)
+        own_counts = np.frombuffer(r["counts"], dtype="<u4" if len(r["counts"]) == 4 * r["n_words"] else "<i8")
+        if own_counts.dtype.itemsize > counts.dtype.itemsize:
+            counts = counts.astype(np.int64)
+        counts[w : w + r["n_words"]] = own_counts
     return Block(total["s"] or BIN_BITS, first, base, size, bits, words, counts)
 
 
@@ -277,11 +274,13 @@ def _scored(rows: DataFrame, block: Block, keys: list[str], n_train: int, n_dist
                 mine = own.has(token)
                 c = own.exact(token[mine])
                 share = (c + 0.5) / norm
-                c2 = own.counted(pair_keys(before[mine], token[mine]))
+                theirs = own.has(before)
+                history = np.full(len(token), np.inf)
+                history[theirs] = own.exact(before[theirs])
+                c2 = np.minimum(np.minimum(own.counted(pair_keys(before[mine], token[mine])), c), history[mine])
                 add = lambda v, t: np.bincount(t, weights=v, minlength=n)  # noqa: B023, E731
                 score = add(np.log10(c2 + STRENGTH * share), text[mine])
-                theirs = own.has(before)
-                score -= add(np.log10(own.exact(before[theirs]) + STRENGTH), text[theirs])
+                score -= add(np.log10(history[theirs] + STRENGTH), text[theirs])
                 out.append((part, add(c > 0, text[mine]), add(np.log10(share), text[mine]), score))
             cols = [np.concatenate(x) for x in zip(*out, strict=True)] if out else [np.empty(0)] * 4
             yield pa.RecordBatch.from_arrays(
@@ -296,8 +295,9 @@ def _scored(rows: DataFrame, block: Block, keys: list[str], n_train: int, n_dist
 def score(docs: DataFrame, model: DataFrame, id_col: str = "doc_id", text_col: str = "text", block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score) of every row.
 
-    Null and empty texts are the end token alone.  Repeated rows each give a row; extra columns are not
-    read.  Without training texts all counts are zero.
+    Null and empty texts are the end token alone; an empty table gives no row.  Repeated rows each give a row; a
+    null id counts as the empty text where the split asks for it; extra columns are not read.  Without training
+    texts all counts are zero.
     """
     total = model.agg(F.sum("n_tokens").alias("n"), F.sum("n_words").alias("v")).first()
     n, v = total["n"] or 0, total["v"] or 0
@@ -315,7 +315,7 @@ def score(docs: DataFrame, model: DataFrame, id_col: str = "doc_id", text_col: s
         one = sums.groupBy("doc_id", "held_out", "__key", "__block").agg(*[F.max(c).alias(c) for c in ("n_tokens", "n_known", "base_score", "score")], F.count(F.lit(1)).alias("copies"))
         summed_ = one.groupBy("doc_id", "held_out", "__key").agg(F.max("copies").alias("copies"), F.max("n_tokens").alias("n_tokens"), *[F.sum(c).alias(c) for c in ("n_known", "base_score", "score")])
         found = summed_.withColumn("__i", F.explode(F.sequence(F.lit(1).cast("long"), "copies")))
-    return found.select("doc_id", "held_out", "n_tokens", "n_known", F.lit(n).cast("long").alias("train_tokens"), "base_score", "score")
+    return found.select("doc_id", "held_out", "n_tokens", "n_known", F.lit(n).cast("long").alias("train_tokens"), "base_score", F.least("score", F.lit(0.0)).alias("score"))
 
 
 def empty_block() -> Block:
