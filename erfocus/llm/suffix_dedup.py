@@ -1,10 +1,17 @@
-"""Repeated passages by hashed windows; no suffix array is made.
-
-Of a text's places those are anchors that hold a minimiser: the least of the anchor-gram hashes in a window
-of MIN_WORDS words.  Equal windows have their anchors at the same places.  Windows whose anchor-gram is in
-two documents or more are hashed whole and joined by that 64-bit hash: a word is repeated if it is in a window
-that another document has too.  No suffixes are sorted, no neighbours compared, and windows of equal
-hashes are not compared word by word.
+"""Repeated passages by sparse suffix arrays.
+
+Of a text's suffixes those are retained that begin at a minimiser: the place of the least anchor-gram hash in
+a window of MIN_WORDS words.  Equal windows have their minimisers at the same places, so that every repeated
+window holds a retained suffix with the same first words.  Suffixes whose first words are in one document alone
+are dropped; the others come together with the words that a window may hold on either side.  They are sorted by
+the words that follow and by the words before, read backwards; comparing neighbours gives how many words each
+pair of neighbours shares, to the right and to the left, and so which suffixes share which extension of at least
+MIN_WORDS words.  A retained suffix gives one row for each of its matches.  Words are compared by hashes, and words
+of equal hashes byte by byte.
+
+First words that begin more than GROUP suffixes would make a task too large.  For those every place is retained:
+suffixes that begin anywhere are compared by a 128-bit hash of their first MIN_WORDS words, which is an aggregation
+and a join that can be split.
 """
 
 from __future__ import annotations
@@ -15,16 +22,18 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from erfocus.llm import textarrays as ta
+from erfocus.llm.groups import by_group
 from erfocus.llm.kinds import arrow_kind
 from erfocus.operators.durable import cut
 
 MIN_WORDS = 50
 ANCHOR = 10
+GROUP = 2048
 MAX_LIVE = 8 << 20
 
 
 def minimisers(h: np.ndarray, w: ta.Words, min_words: int, anchor: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(window start, its anchor's place, anchor-gram hashes) of each window of min_words words in one text."""
+    """(window start, its minimiser's place, anchor-gram hashes) of each window of min_words words in one text."""
     start = np.flatnonzero(ta.whole(w, min_words))
     grams = ta.gram_hashes(h, anchor)
     if not len(start):
@@ -49,7 +58,7 @@ def _rows(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
 
 
 def anchors(rows: DataFrame, min_words: int, anchor: int) -> DataFrame:
-    """(gram, doc_id) of anchors."""
+    """(gram, doc_id) of retained suffixes' first words."""
     kind = rows.schema["doc_id"].dataType.simpleString()
 
     def run(batches):
@@ -64,94 +73,203 @@ def anchors(rows: DataFrame, min_words: int, anchor: int) -> DataFrame:
     return rows.mapInArrow(run, f"gram long, doc_id {kind}")
 
 
-def _shared(rows: DataFrame, key: str) -> DataFrame:
-    """Keys of at least two documents."""
-    return rows.groupBy(key).agg(F.min("doc_id").alias("a"), F.max("doc_id").alias("b")).where("a < b").select(key)
+def _shared(rows: DataFrame, *key: str) -> DataFrame:
+    """(key, n) of keys of at least two documents."""
+    return rows.groupBy(*key).agg(F.min("doc_id").alias("a"), F.max("doc_id").alias("b"), F.count(F.lit(1)).alias("n")).where("a < b").select(*key, "n")
+
+
+def _known(batch: pa.RecordBatch, row: int, end: int, known: np.ndarray | None) -> np.ndarray:
+    """The sorted grams asked for: those of all texts, or of the rows' own lists."""
+    return known if known is not None else np.unique(batch.column(2).slice(row, end - row).flatten().to_numpy(zero_copy_only=False).astype(np.int64))
+
+
+def _among(here: np.ndarray, key: np.ndarray) -> np.ndarray:
+    return here[np.minimum(np.searchsorted(here, key), len(here) - 1)] == key if len(here) else np.zeros(len(key), dtype=bool)
+
 
+def suffixes(rows: DataFrame, known: np.ndarray | None, min_words: int, anchor: int) -> DataFrame:
+    """(gram, doc_id, place, before, words) of retained suffixes with known first words.
+
+    words: up to min_words words from the place on, and the before words ahead of it.
+    """
+    kind = rows.schema["doc_id"].dataType.simpleString()
+    handle = rows.sparkSession.sparkContext.broadcast(known)
+
+    def run(batches):
+        for batch in batches:
+            docs = batch.column(0)
+            for row, end, data, offsets in ta.slices(batch.column(1)):
+                w = ta.words(data, offsets, ta.NOT_SPACE)
+                _, place, grams = minimisers(ta.word_hashes(w), w, min_words, anchor)
+                place = np.unique(place)
+                place = place[_among(_known(batch, row, end, handle.value), grams[place].view(np.int64))]
+                if not len(place):
+                    continue
+                text = w.text[place]
+                before = np.minimum(place - w.first[text], min_words - anchor)
+                after = np.minimum(w.first[text + 1] - place, min_words)
+                yield pa.RecordBatch.from_arrays(
+                    [
+                        pa.array(grams[place].view(np.int64)),
+                        docs.take(pa.array(row + text)),
+                        pa.array((place - w.first[text]).astype(np.int32)),
+                        pa.array(before.astype(np.int32)),
+                        ta.passages(w, place - before, place + after),
+                    ],
+                    names=["gram", "doc_id", "place", "before", "words"],
+                )
 
-def windows(rows: DataFrame, live: np.ndarray | None, min_words: int, anchor: int) -> DataFrame:
-    """(window, doc_id, place) of windows whose anchor is live: in the sorted array, or in the row's own list."""
+    return rows.mapInArrow(run, f"gram long, doc_id {kind}, place int, before int, words binary")
+
+
+def neighbours(gram: np.ndarray, side: np.ndarray, size: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(order, shared): rows sorted by gram and their side's words; words each shares with the one before it, -1 over grams."""
+    m, width = side.shape
+    keys = np.concatenate([gram[:, None], side], axis=1).astype(">u8")
+    order = np.argsort(np.ascontiguousarray(keys).view(f"V{8 * (width + 1)}").ravel(), kind="stable")
+    a, b = side[order[:-1]], side[order[1:]]
+    same = (a == b) & (np.arange(width) < np.minimum(size[order[:-1]], size[order[1:]])[:, None])
+    shared = np.full(m, -1, dtype=np.int64)
+    shared[1:] = np.where(gram[order[:-1]] == gram[order[1:]], np.minimum.accumulate(same, axis=1).sum(axis=1), -1)
+    return order, shared
+
+
+def _classes(order: np.ndarray, shared: np.ndarray, words: int) -> np.ndarray:
+    """A number for each row, the same for rows of a gram that share so many words of the sorted side."""
+    out = np.empty(len(order), dtype=np.int64)
+    out[order] = np.cumsum(shared < words)
+    return out
+
+
+def matches(gram: np.ndarray, doc: np.ndarray, before: np.ndarray, w: ta.Words, h: np.ndarray, min_words: int, anchor: int) -> np.ndarray:
+    """(row, places from the suffix's back to the match's start, and on to its end) of maximal runs of shared windows."""
+    m, reach = len(gram), min_words - anchor
+    at, after = w.first[:-1] + before, w.counts - before
+
+    def side(step: int, width: int, size: np.ndarray) -> np.ndarray:
+        k = np.arange(width)
+        inside = k < size[:, None]
+        where = at[:, None] + (k if step > 0 else -1 - k)
+        return np.where(inside, h[np.where(inside, where, 0)], ta.U(0))
+
+    right = neighbours(gram, side(1, min_words, after), after)
+    left = neighbours(gram, side(-1, reach, before), before)
+    hit = np.zeros((m, reach + 1), dtype=bool)
+    for back in range(reach + 1):
+        rows = np.flatnonzero((before >= back) & (after >= min_words - back))
+        if len(rows) < 2:
+            continue
+        key = _classes(*right, min_words - back)[rows] * (m + 1) + _classes(*left, back)[rows]
+        order = np.argsort(key, kind="stable")
+        first = np.flatnonzero(np.concatenate([[True], np.diff(key[order]) != 0]))
+        own = doc[rows[order]]
+        several = np.minimum.reduceat(own, first) < np.maximum.reduceat(own, first)
+        hit[rows[order], back] = np.repeat(several, np.diff(np.append(first, len(rows))))
+    edge = np.diff(np.pad(hit, ((0, 0), (1, 1))).astype(np.int8), axis=1)
+    row, low = np.nonzero(edge == 1)
+    _, high = np.nonzero(edge == -1)
+    return np.stack([row, high - 1, min_words - low], axis=1)
+
+
+def _spans_of(table: pa.Table, min_words: int, anchor: int):
+    docs = table.column("doc_id").combine_chunks()
+    code = docs.dictionary_encode().indices.to_numpy()
+    before, place = table.column("before").to_numpy().astype(np.int64), table.column("place").to_numpy().astype(np.int64)
+    words = table.column("words").combine_chunks()
+    for row, end, data, offsets in ta.slices(words, 1 << 40):
+        w = ta.words(data, offsets, ta.NOT_SPACE)
+        h = ta.distinct_hashes(w)
+        found = matches(table.column("gram").to_numpy()[row:end], code[row:end], before[row:end], w, h, min_words, anchor)
+        at = row + found[:, 0]
+        yield pa.RecordBatch.from_arrays([docs.take(pa.array(at)), pa.array((place[at] - found[:, 1]).astype(np.int32)), pa.array((place[at] + found[:, 2]).astype(np.int32))], names=["doc_id", "start", "end"])
+
+
+def windows(rows: DataFrame, known: np.ndarray | None, min_words: int, anchor: int) -> DataFrame:
+    """(window, check, doc_id, place) of every place whose window's minimiser has known first words."""
     kind = rows.schema["doc_id"].dataType.simpleString()
-    handle = rows.sparkSession.sparkContext.broadcast(live)
+    handle = rows.sparkSession.sparkContext.broadcast(known)
 
     def run(batches):
-        known = handle.value
         for batch in batches:
             docs = batch.column(0)
             for row, end, data, offsets in ta.slices(batch.column(1)):
                 w = ta.words(data, offsets, ta.NOT_SPACE)
                 h = ta.word_hashes(w)
                 start, place, grams = minimisers(h, w, min_words, anchor)
+                start = start[_among(_known(batch, row, end, handle.value), grams[place].view(np.int64))] if len(start) else start
                 if not len(start):
                     continue
-                here = known
-                if here is None:
-                    lists = batch.column(2).slice(row, end - row)
-                    here = np.unique(lists.flatten().to_numpy(zero_copy_only=False).astype(np.int64))
-                if not len(here):
-                    continue
-                key = grams[place].view(np.int64)
-                mine = here[np.minimum(np.searchsorted(here, key), len(here) - 1)] == key
-                start = start[mine]
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(ta.gram_hashes(h, min_words)[start].view(np.int64)), docs.take(pa.array(row + w.text[start])), pa.array((start - w.first[w.text[start]]).astype(np.int32))],
-                    names=["window", "doc_id", "place"],
+                    [
+                        pa.array(ta.gram_hashes(h, min_words)[start].view(np.int64)),
+                        pa.array(ta.gram_hashes(ta.mix(h, 0x51ED27), min_words)[start].view(np.int64)),
+                        docs.take(pa.array(row + w.text[start])),
+                        pa.array((start - w.first[w.text[start]]).astype(np.int32)),
+                    ],
+                    names=["window", "check", "doc_id", "place"],
                 )
 
-    return rows.mapInArrow(run, f"window long, doc_id {kind}, place int")
+    return rows.mapInArrow(run, f"window long, check long, doc_id {kind}, place int")
 
 
-def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_words: int = MIN_WORDS, anchor: int = ANCHOR, max_live: int = MAX_LIVE) -> DataFrame:
-    """(doc_id, start_word, end_word, n_words): maximal unions of windows that another document has too.
+def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_words: int = MIN_WORDS, anchor: int = ANCHOR, max_live: int = MAX_LIVE, group: int = GROUP) -> DataFrame:
+    """(doc_id, start_word, end_word, n_words): maximal unions of windows of min_words words that another document has too.
 
     Words are what lies between ASCII white space, lower-cased (A-Z).  Documents without such a passage
-    give no row, nor do null ids, null and short texts; a passage that only rows of the same id share
-    is not repeated.  Repeated rows of an id give its spans once.  Extra columns are not read.
+    give no row, nor do null ids, null, empty and short texts; a passage that only rows of the same id share
+    is not repeated.  Repeated rows of an id give its spans once; an empty table gives none.  Extra columns are
+    not read.
     """
     rows = _rows(docs, id_col, text_col)
-    suffixes = anchors(rows, min_words, anchor)
-    live = cut(_shared(suffixes, "gram"))
-    if live.limit(max_live + 1).count() <= max_live:
-        known = _sorted(live)
-        found = windows(rows, known, min_words, anchor)
-    else:
-        own = suffixes.join(live, "gram").groupBy("doc_id").agg(F.collect_set("gram").alias("__live"))
-        found = windows(rows.join(own, "doc_id").select("doc_id", "__text", "__live"), None, min_words, anchor)
-    # Windows are made anew for the join: written down they would take twice the input's disk.
-    # Kept first, so that both sides of the join are plain exchanges and a passage of many documents can be split.
-    places = found.join(cut(_shared(found, "window")), "window").select("doc_id", "place")
-    return _merged(places, min_words)
+    first = anchors(rows, min_words, anchor)
+    live = cut(_shared(first, "gram"))
+    few, many = live.where(F.col("n") <= group).select("gram"), live.where(F.col("n") > group).select("gram")
+    kind = docs.schema[id_col].dataType
+
+    def over(grams: DataFrame, make) -> DataFrame:
+        """make() over the texts with the grams: broadcast if they are few, else joined to their texts."""
+        if grams.limit(max_live + 1).count() <= max_live:
+            return make(rows, _sorted(grams), min_words, anchor)
+        own = first.join(grams, "gram").groupBy("doc_id").agg(F.collect_set("gram").alias("__live"))
+        return make(rows.join(own, "doc_id").select("doc_id", "__text", "__live"), None, min_words, anchor)
+
+    sparse = over(few, suffixes).repartition("gram").sortWithinPartitions("gram")
+    spans = sparse.mapInArrow(by_group(lambda table: _spans_of(table, min_words, anchor), "gram"), f"doc_id {kind.simpleString()}, start int, end int")
+    if not many.isEmpty():
+        # Windows are made anew for the join: written down they would take the input's disk.  Those shared are kept
+        # first, so that both sides of the join are plain exchanges and a passage of many documents can be split.
+        every = over(many, windows)
+        shared = cut(_shared(every, "window", "check").drop("n"))
+        spans = spans.union(every.join(shared, ["window", "check"]).select("doc_id", F.col("place").alias("start"), (F.col("place") + min_words).alias("end")))
+    return _merged(spans, kind)
 
 
 def _sorted(live: DataFrame) -> np.ndarray:
     return np.sort(np.fromiter((r["gram"] for r in live.toLocalIterator()), dtype=np.int64))
 
 
-def _merged(places: DataFrame, min_words: int) -> DataFrame:
-    kind = places.schema["doc_id"].dataType.simpleString()
+def _merged(spans: DataFrame, kind) -> DataFrame:
+    """Spans of a document that overlap or touch, as one."""
 
     def run(batches):
-        docs, starts = [], []
+        held = None
         for batch in batches:
-            d, p = batch.column(0).to_pylist(), batch.column(1).to_pylist()
             out = []
-            for doc, place in zip(d, p, strict=True):
-                if docs and docs[-1] == doc and place <= starts[-1][1]:
-                    starts[-1][1] = max(starts[-1][1], place + min_words)
+            for doc, start, end in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True):
+                if held and held[0] == doc and start <= held[2]:
+                    held[2] = max(held[2], end)
                     continue
-                if docs:
-                    out.append((docs.pop(), *starts.pop()))
-                docs.append(doc)
-                starts.append([place, place + min_words])
+                if held:
+                    out.append(held)
+                held = [doc, start, end]
             if out:
-                yield _spans(out, kind)
-        if docs:
-            yield _spans([(docs.pop(), *starts.pop())], kind)
-
-    return places.repartition("doc_id").sortWithinPartitions("doc_id", "place").mapInArrow(run, f"doc_id {kind}, start_word long, end_word long, n_words long")
+                yield batch_of(out)
+        if held:
+            yield batch_of([held])
 
+    def batch_of(out: list) -> pa.RecordBatch:
+        doc, a, b = zip(*out, strict=True)
+        long = pa.int64()
+        return pa.RecordBatch.from_arrays([pa.array(doc, arrow_kind(kind)), pa.array(a, long), pa.array(b, long), pa.array([y - x for x, y in zip(a, b, strict=True)], long)], names=["doc_id", "start_word", "end_word", "n_words"])
 
-def _spans(out: list, kind: str) -> pa.RecordBatch:
-    doc, a, b = zip(*out, strict=True)
-    long = pa.int64()
-    return pa.RecordBatch.from_arrays([pa.array(doc, arrow_kind(kind)), pa.array(a, long), pa.array(b, long), pa.array([y - x for x, y in zip(a, b, strict=True)], long)], names=["doc_id", "start_word", "end_word", "n_words"])
+    return spans.repartition("doc_id").sortWithinPartitions("doc_id", "start").mapInArrow(run, f"doc_id {kind.simpleString()}, start_word long, end_word long, n_words long")
