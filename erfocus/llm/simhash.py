@@ -2,10 +2,10 @@
 
 Distinct fingerprints are dealt to tiles by keys that documents to be linked must share, so that no
 tile pair of the whole table is compared: bands of the fingerprint itself (for r differing bits r + 1
-bands; no link is lost), or, for long fingerprints at a wide radius, least shingle hashes.  A tile is
-sorted by population count and compared by numpy in chunks, without those chunk pairs whose counts
-differ beyond the radius.  A tile of many fingerprints is split, and each pair of its parts is a task
-of its own.  A task returns a star per group it found, never its pairs.  Links at a wide radius only
+bands; no link is lost), or, for long fingerprints at a wide radius, least shingle hashes.  The fingerprints
+of a key are laid out by population count and cut into tiles; each pair of tiles is a task of its own, and
+pairs of tiles whose counts differ beyond the radius are skipped.  In a task numpy compares chunk by
+chunk, again without those chunk pairs.  A task returns a star per group it found, never its pairs.  Links at a wide radius only
 propose: the nodes of a group they make come together again and are compared by their sets of shingles.
 """
 
@@ -18,18 +18,22 @@ import numpy as np
 import pandas as pd
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from erfocus.llm import textarrays as ta
+from erfocus.llm.groups import by_group, starts
+from erfocus.llm.kinds import unused
 from erfocus.operators.components import connected_components
-from erfocus.operators.durable import cut, sized
+from erfocus.operators.durable import cut, held, sized
 
-TILE = 2048
+TILE = 1024
 CHUNK = 512
 SMALL = 48
 SET_BLOCK = 1 << 20
-SCHEMA = "node long, fp binary, size int, keys array<long>"
+#: What a task is dealt by: a key, and a pair of its tiles.
+TASK = ("key", "p", "q")
+SCHEMA = "node long, fp binary, pop int, keys array<long>"
 
 
 def majority(hashes: np.ndarray) -> np.ndarray:
@@ -62,7 +66,7 @@ def fingerprint_64(text: str | None, width: int) -> int:
 
 
 def banded_sketches(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 3, radius: int = 2) -> DataFrame:
-    """(doc_id, node, fp, size, keys) by the 64-bit majority of XXH64 shingle hashes."""
+    """(doc_id, node, fp, pop, keys) by the 64-bit majority of XXH64 shingle hashes; pop: bits set."""
     id_field = docs.schema[id_col]
 
     def run(batches):
@@ -73,7 +77,7 @@ def banded_sketches(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
                     "doc_id": pdf["doc_id"],
                     "node": np.array(fps, dtype=ta.U).view(np.int64),
                     "fp": [f.to_bytes(8, "big") for f in fps],
-                    "size": 0,
+                    "pop": np.array([f.bit_count() for f in fps], dtype=np.int32),
                     "keys": [band_keys(f, radius + 1) for f in fps],
                 }
             )
@@ -99,7 +103,7 @@ def set_node(own: np.ndarray) -> int:
 
 
 def minhash_sketches(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, lanes: int = 4, n_keys: int = 8) -> DataFrame:
-    """(doc_id, node, fp, size, keys) by the majority of lanes * 64 hash bits; keys: least shingle hashes.
+    """(doc_id, node, fp, pop, keys) by the majority of lanes * 64 hash bits; keys: least shingle hashes.
 
     Nodes are sets of shingles, so that only texts of the same set share one.  Documents of similarity s
     (shared shingles by all) miss a common key with a chance of (1 - s) ** n_keys.
@@ -109,23 +113,23 @@ def minhash_sketches(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
     def run(batches):
         salts = [ta.U(2 * k * 0x9E3779B97F4A7C15 + 1 & (1 << 64) - 1) for k in range(1, n_keys + 1)]
         for batch in batches:
-            nodes, fps, sizes, keys = [], [], [], []
+            nodes, fps, pops, keys = [], [], [], []
             for _, _, data, offsets in ta.slices(batch.column(1)):
                 for own in shingle_sets(ta.words(data, offsets, ta.NOT_SPACE), width):
                     if not len(own):
                         nodes.append(0)
                         fps.append(bytes(8 * lanes))
-                        sizes.append(0)
+                        pops.append(0)
                         keys.append([0])
                         continue
                     fp = majority(np.stack([ta.mix(own, 77 * j) for j in range(lanes)], axis=1))
                     fps.append(fp.tobytes())
                     nodes.append(set_node(own))
-                    sizes.append(len(own))
+                    pops.append(int.from_bytes(fps[-1], "big").bit_count())
                     keys.append([int(ta.mix((own * s) ^ (own >> ta.U(29))).min().view(np.int64)) for s in salts])
             yield pa.RecordBatch.from_arrays(
-                [batch.column(0), pa.array(nodes, pa.int64()), pa.array(fps, pa.binary()), pa.array(sizes, pa.int32()), pa.array(keys, pa.list_(pa.int64()))],
-                names=["doc_id", "node", "fp", "size", "keys"],
+                [batch.column(0), pa.array(nodes, pa.int64()), pa.array(fps, pa.binary()), pa.array(pops, pa.int32()), pa.array(keys, pa.list_(pa.int64()))],
+                names=["doc_id", "node", "fp", "pop", "keys"],
             )
 
     rows = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("__text"))
@@ -187,62 +191,64 @@ def _chunked(fp: np.ndarray, pop: np.ndarray, radius: int) -> np.ndarray:
 
 def linked(sketches: DataFrame, radius: int, tile: int = TILE) -> DataFrame:
     """(a, b): stars over nodes whose fingerprints share a key and differ in at most radius bits."""
-    nodes = sketches.groupBy("node").agg(F.first("fp").alias("fp"), F.first("keys").alias("keys"))
-    dealt = cut(nodes.select("node", "fp", F.explode("keys").alias("key")))
-    placed = _placed(dealt, tile).repartition("key", "p", "q").sortWithinPartitions("key", "p", "q")
-    return placed.mapInArrow(_by_group(lambda table: _stars(table, radius)), "a long, b long")
+    nodes = sketches.groupBy("node").agg(F.first("fp").alias("fp"), F.first("pop").alias("pop"), F.first("keys").alias("keys"))
+    dealt = cut(nodes.select("node", "fp", "pop", F.explode("keys").alias("key")))
+    placed = _placed(dealt, tile, radius).drop("pop").repartition(*TASK).sortWithinPartitions(*TASK)
+    return placed.mapInArrow(by_group(lambda table: _stars(table, radius), *TASK), "a long, b long")
 
 
-def _placed(dealt: DataFrame, tile: int) -> DataFrame:
-    """dealt's rows of keys of several nodes by (key, p, q): large keys in parts, once for each pair of parts."""
-    counts = dealt.groupBy("key").count().where("count > 1").withColumn("parts", F.ceil(F.col("count") / tile).cast("int")).select("key", "parts")
-    part = F.pmod(F.xxhash64("node", "key"), F.col("parts")).cast("int")
-    return (
-        dealt.join(counts, "key")
-        .withColumn("part", part)
-        .withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
-        .select("key", F.least("part", "other").alias("p"), F.greatest("part", "other").alias("q"), *[c for c in dealt.columns if c != "key"])
-    )
+def _placed(dealt: DataFrame, tile: int, radius: int) -> DataFrame:
+    """dealt's rows of keys of several nodes by (key, p, q): a tile pair is a task of its own.
 
-
-def _by_group(use):
-    """A map over sorted batches that gives use() whole groups."""
-
-    def run(batches):
-        held = None
-        for batch in batches:
-            table = pa.Table.from_batches([batch]) if held is None else pa.concat_tables([held, pa.Table.from_batches([batch])])
-            last = _starts(table)[-1] if table.num_rows else 0
-            if last:
-                yield from use(table.slice(0, last))
-            held = table.slice(last)
-        if held is not None and held.num_rows:
-            yield from use(held)
-
-    return run
-
-
-def _starts(table: pa.Table) -> np.ndarray:
-    """Rows at which a new group begins."""
-    new = np.zeros(table.num_rows, dtype=bool)
-    new[:1] = True
-    for name in ("key", "p", "q"):
-        x = table.column(name).to_numpy()
-        new[1:] |= x[1:] != x[:-1]
-    return np.flatnonzero(new)
+    A key of up to tile rows is one tile.  A larger one is laid out in the order of population counts and cut
+    every tile rows, also inside a count; a row goes only to the tile pairs whose counts differ by no more than the
+    radius, so all others are skipped before anything is shipped.
+    """
+    rest = [c for c in dealt.columns if c not in ("key", "pop")]
+    counts = dealt.groupBy("key").count()
+    large = cut(counts.where(F.col("count") > tile).select("key"))
+    if large.isEmpty():
+        few = counts.where("count > 1").select("key")
+        return dealt.join(few, "key").select("key", F.lit(0).alias("p"), F.lit(0).alias("q"), "pop", *rest)
+    large = sized(large)
+    others = dealt.join(large, "key", "left_anti")
+    few = others.groupBy("key").count().where("count > 1").select("key")
+    small = others.join(few, "key").select("key", F.lit(0).alias("p"), F.lit(0).alias("q"), "pop", *rest)
+    mine = dealt.join(large, "key")
+    cells = cut(_cells(mine))
+    reach = held(tile_reach(cells, tile, radius))
+    at = F.col("before") + F.pmod(F.xxhash64("node", "key"), F.col("n"))
+    placed = mine.join(sized(cells), ["key", "pop"]).withColumn("part", F.floor(at / tile).cast("int")).join(reach, ["key", "part"])
+    placed = placed.withColumn("other", F.explode(F.sequence("low", "high")))
+    return small.union(placed.select("key", F.least("part", "other").alias("p"), F.greatest("part", "other").alias("q"), "pop", *rest))
+
+
+def _cells(rows: DataFrame) -> DataFrame:
+    """(key, pop, n, before): rows of each population count, and those of lower ones."""
+    cells = rows.groupBy("key", "pop").agg(F.count(F.lit(1)).alias("n"))
+    return cells.withColumn("before", F.sum("n").over(Window.partitionBy("key").orderBy("pop")) - F.col("n"))
+
+
+def tile_reach(cells: DataFrame, tile: int, radius: int) -> DataFrame:
+    """(key, part, low, high): the tiles from low to high may hold a fingerprint within the radius of one in part."""
+    first, last = F.floor(F.col("before") / tile).cast("int"), F.floor((F.col("before") + F.col("n") - 1) / tile).cast("int")
+    ends = cells.select("key", "pop", first.alias("first"), last.alias("last"))
+    parts = ends.select("key", "pop", F.explode(F.sequence("first", "last")).alias("part")).groupBy("key", "part").agg(F.min("pop").alias("least"), F.max("pop").alias("most"))
+    near = parts.join(ends, "key").where((F.col("pop") <= F.col("most") + radius) & (F.col("pop") >= F.col("least") - radius))
+    return near.groupBy("key", "part").agg(F.min("first").alias("low"), F.max("last").alias("high"))
 
 
 def _stars(table: pa.Table, radius: int):
-    starts = _starts(table)
+    first = starts(table, TASK)
     fp = table.column("fp").combine_chunks()
     fp = fp.cast(pa.large_binary())
     where = np.frombuffer(fp.buffers()[1], dtype=np.int64)[fp.offset : fp.offset + len(fp) + 1]
     fp = np.frombuffer(fp.buffers()[2], dtype=np.uint8)[where[0] : where[-1]].copy().view(ta.U).reshape(table.num_rows, -1)
     pop = np.bitwise_count(fp).sum(axis=1, dtype=np.int32)
-    group = np.repeat(np.arange(len(starts)), np.diff(np.append(starts, table.num_rows)))
+    group = np.repeat(np.arange(len(first)), np.diff(np.append(first, table.num_rows)))
     order = np.lexsort((pop, group))
     node = table.column("node").to_numpy()[order]
-    label = tile_labels(fp[order], np.append(starts, table.num_rows), radius)
+    label = tile_labels(fp[order], np.append(first, table.num_rows), radius)
     mine = np.flatnonzero((label != np.arange(len(label))) & (node != node[label]))
     yield pa.RecordBatch.from_arrays([pa.array(node[mine]), pa.array(node[label[mine]])], names=["a", "b"])
 
@@ -274,7 +280,7 @@ def exact_labels(fp: np.ndarray, sets: list[np.ndarray], radius: int, similarity
 
 
 def _exact_stars(table: pa.Table, radius: int, similarity: float):
-    bounds = np.append(_starts(table), table.num_rows)
+    bounds = np.append(starts(table, TASK), table.num_rows)
     node = table.column("node").to_numpy()
     for a, b in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True):
         part = table.slice(a, b - a)
@@ -291,11 +297,11 @@ def verified(rows: DataFrame, sketches: DataFrame, candidates: DataFrame, id_col
     A group's nodes come together once with their shingles; a group over the tile comes in parts, each pair of
     which is a task's.
     """
-    nodes = sketches.groupBy("node").agg(F.first("fp").alias("fp"), F.min("doc_id").alias("__id"))
+    nodes = sketches.groupBy("node").agg(F.first("fp").alias("fp"), F.first("pop").alias("pop"), F.min("doc_id").alias("__id"))
     dealt = connected_components(candidates).withColumnRenamed("component", "key").join(nodes, "node")
-    placed = cut(_placed(cut(dealt), tile))
+    placed = cut(_placed(cut(dealt), tile, radius))
     texts = rows.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("__text"))
-    held = texts.join(sized(placed, 200_000), F.col("doc_id") == F.col("__id")).select("__text", "key", "p", "q", "node", "fp")
+    members = texts.join(sized(placed, 200_000), F.col("doc_id") == F.col("__id")).select("__text", "key", "p", "q", "node", "fp")
 
     def run(batches):
         for batch in batches:
@@ -307,8 +313,8 @@ def verified(rows: DataFrame, sketches: DataFrame, candidates: DataFrame, id_col
                 out = batch.slice(row, end - row).take(pa.array(mine))
                 yield pa.RecordBatch.from_arrays([*out.columns[1:], pa.array([sets[k].tobytes() for k in mine], pa.binary())], names=["key", "p", "q", "node", "fp", "shingles"])
 
-    shingled = held.mapInArrow(run, "key long, p int, q int, node long, fp binary, shingles binary")
-    return shingled.repartition("key", "p", "q").sortWithinPartitions("key", "p", "q").mapInArrow(_by_group(lambda table: _exact_stars(table, radius, similarity)), "a long, b long")
+    shingled = members.mapInArrow(run, "key long, p int, q int, node long, fp binary, shingles binary")
+    return shingled.repartition(*TASK).sortWithinPartitions(*TASK).mapInArrow(by_group(lambda table: _exact_stars(table, radius, similarity), *TASK), "a long, b long")
 
 
 def components(sketches: DataFrame, radius: int) -> DataFrame:
@@ -349,15 +355,15 @@ def one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     256-bit fingerprints within the radius only propose pairs.  Rows with a null id and texts without words
     are kept as they are; of rows that share the kept id, one stays.  All columns are kept.
     """
-    key = "__row_" + id_col
+    (key,) = unused(docs.columns, "__row")
     rows = docs.where(F.col(id_col).isNotNull() & F.coalesce(F.col(text_col).rlike(r"[^\x20\x09-\x0D]"), F.lit(False)))
     sketches = cut(minhash_sketches(rows, id_col, text_col, width))
     links = verified(rows, sketches, cut(linked(sketches, radius)), id_col, text_col, width, radius, similarity)
     found = labelled(sketches, cut(links))
     gone = cut(found.where("doc_id <> component_id").select(F.col("doc_id").alias(key)).distinct())
-    kept = docs.join(sized(gone), docs[id_col] == gone[key], "left_anti")
+    kept = docs.join(sized(gone), F.col(id_col) == F.col(key), "left_anti")
     repeated = found.groupBy("doc_id").count().where("count > 1").select(F.col("doc_id").alias(key))
     if not repeated.isEmpty():
-        again = kept.join(repeated, kept[id_col] == F.col(key), "left_semi").dropDuplicates([id_col])
-        kept = kept.join(repeated, kept[id_col] == F.col(key), "left_anti").unionByName(again)
+        again = kept.join(repeated, F.col(id_col) == F.col(key), "left_semi").dropDuplicates([id_col])
+        kept = kept.join(repeated, F.col(id_col) == F.col(key), "left_anti").unionByName(again)
     return kept
