@@ -6,12 +6,13 @@ import bisect
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from erfocus.llm import textarrays as ta
-from erfocus.llm.kinds import arrow_kind
+from erfocus.llm.kinds import arrow_kind, unused
+from erfocus.operators.durable import cut, sized
 
 WINDOW = 10
 MAX_BLOCK_BYTES = 32 << 20
@@ -99,27 +100,17 @@ def _scan(docs: DataFrame, block, keys: list[str], item_type: T.DataType) -> Dat
                         spans.append([])
                         items.append([])
                         continue
-                    merged: list[list[int]] = []
-                    for s, e in sorted(own[r][0]):
-                        if merged and s <= merged[-1][1]:
-                            merged[-1][1] = max(e, merged[-1][1])
-                        else:
-                            merged.append([s, e])
-                    spans.append([{"start": s, "end": e} for s, e in merged])
+                    spans.append([{"start": s, "end": e} for s, e in merged(own[r][0])])
                     items.append(list({grams.ids[k] for k in own[r][1] if grams.ids[k] is not None}))
             yield pa.RecordBatch.from_arrays(
                 [batch.column(batch.schema.get_field_index(k)) for k in keys]
-                + [pa.array(counts, pa.int64()), pa.array(spans, pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())]))), pa.array(items, pa.list_(to_arrow(item_type)))],
+                + [pa.array(counts, pa.int64()), pa.array(spans, pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())]))), pa.array(items, pa.list_(arrow_kind(item_type)))],
                 names=[*keys, "n_words", "spans", "items"],
             )
 
     return docs.mapInArrow(scan, schema)
 
 
-def to_arrow(kind: T.DataType) -> pa.DataType:
-    return arrow_kind(kind.simpleString())
-
-
 def scan(
     docs: DataFrame,
     benchmark: DataFrame,
@@ -148,17 +139,31 @@ def scan(
     found = parts[0]
     for p in parts[1:]:
         found = found.union(p)
-    end = "(acc, s) -> named_struct('spans', if(s.start <= acc.last and size(acc.spans) > 0, concat(slice(acc.spans, 1, size(acc.spans) - 1), array(named_struct('start', acc.spans[size(acc.spans) - 1].start, 'end', greatest(acc.last, s.end)))), concat(acc.spans, array(s))), 'last', greatest(acc.last, s.end))"
-    found = (
-        found.groupBy("doc_id", "__key")
-        .agg(F.first("n_words").alias("n_words"), F.array_sort(F.flatten(F.collect_set("spans"))).alias("spans"), F.array_distinct(F.flatten(F.collect_set("items"))).alias("items"))
-        .withColumn("spans", F.expr(f"aggregate(spans, named_struct('spans', cast(array() as {SPANS}), 'last', -1), {end}).spans"))
+    found = found.groupBy("doc_id", "__key").agg(
+        F.first("n_words").alias("n_words"), F.flatten(F.collect_set("spans")).alias("spans"), F.array_distinct(F.flatten(F.collect_set("items"))).alias("items")
     )
-    f = found.alias("f")
+    f = found.withColumn("spans", _united("spans")).alias("f")
     r = rows.select("doc_id", "__key").alias("r")
     return r.join(f, F.col("r.doc_id").eqNullSafe(F.col("f.doc_id")) & (F.col("r.__key") == F.col("f.__key"))).select("r.doc_id", "n_words", "spans", "items")
 
 
+def _united(spans: str) -> Column:
+    """Spans in order, with those that overlap or touch made one."""
+    end = "(acc, s) -> named_struct('spans', if(s.start <= acc.last and size(acc.spans) > 0, concat(slice(acc.spans, 1, size(acc.spans) - 1), array(named_struct('start', acc.spans[size(acc.spans) - 1].start, 'end', greatest(acc.last, s.end)))), concat(acc.spans, array(s))), 'last', greatest(acc.last, s.end))"
+    return F.expr(f"aggregate(array_sort({spans}), named_struct('spans', cast(array() as {SPANS}), 'last', -1), {end}).spans")
+
+
+def merged(spans: list[tuple[int, int]]) -> list[list[int]]:
+    """The same of one text's spans."""
+    out: list[list[int]] = []
+    for s, e in sorted(spans):
+        if out and s <= out[-1][1]:
+            out[-1][1] = max(e, out[-1][1])
+        else:
+            out.append([s, e])
+    return out
+
+
 def digest(found: DataFrame) -> DataFrame:
     """The report per document: counts, the items' digest and the verdict."""
     listed = F.array_sort(F.transform("items", lambda x: x.cast("string")))
@@ -173,16 +178,60 @@ def digest(found: DataFrame) -> DataFrame:
     )
 
 
-def decontaminate(docs: DataFrame, benchmark: DataFrame, mode: str = "document", text_col: str = "text", item_text: str = "text", window: int = WINDOW) -> DataFrame:
+def decontaminate(
+    docs: DataFrame, benchmark: DataFrame, mode: str = "document", text_col: str = "text", item_col: str = "item_id", item_text: str = "text", window: int = WINDOW, max_block_bytes: int = MAX_BLOCK_BYTES
+) -> DataFrame:
     """docs without contaminated rows (mode 'document') or with the hit words cut out (mode 'span').
 
-    All columns and clean rows are kept as they are, in one pass without a shuffle.  A cut takes a
-    span's bytes from its first word to its last.  Rows with null or empty text are clean.
+    All columns and clean rows are kept as they are, repeated rows each.  A cut takes a span's bytes from its
+    first word to its last; spans are united over all items first, so that blocks of items give the same text
+    as one.  Rows with null or empty text are clean, as is every row without items.  One block needs no shuffle.
     """
-    blocks = _blocks(benchmark, "item_id", item_text, MAX_BLOCK_BYTES)
+    blocks = _blocks(benchmark, item_col, item_text, max_block_bytes)
+    if mode == "document" or len(blocks) == 1:
+        for block in blocks:
+            docs = _filtered(docs, NgramSet(block, window), mode, text_col)
+        return docs
+    key, spans = unused(docs.columns, "__key", "__spans")
+    digest_ = F.sha2(F.col(text_col), 256)
+    rows, found = docs.where(F.col(text_col).isNotNull()).select(digest_.alias("__key"), F.col(text_col).alias("__text")), None
     for block in blocks:
-        docs = _filtered(docs, NgramSet(block, window), mode, text_col)
-    return docs
+        part = _scan(rows, NgramSet(block, window), ["__key"], benchmark.schema[item_col].dataType).where(F.size("spans") > 0).select("__key", "spans")
+        found = part if found is None else found.union(part)
+    hit = found.groupBy("__key").agg(F.flatten(F.collect_set("spans")).alias("spans")).select(F.col("__key").alias(key), _united("spans").alias(spans))
+    joined = docs.join(sized(cut(hit)), digest_ == F.col(key), "left")
+    return _cut_out(joined.select(*docs.columns, spans), docs, text_col)
+
+
+def _cut_out(joined: DataFrame, docs: DataFrame, text_col: str) -> DataFrame:
+    """docs with the word spans of the last column cut out of the texts."""
+    names = docs.columns
+
+    def run(batches):
+        for batch in batches:
+            k = batch.schema.get_field_index(text_col)
+            spans = batch.column(batch.num_columns - 1).to_pylist()
+            gone = {}
+            for row, end, data, offsets in ta.slices(batch.column(k)):
+                if any(spans[row:end]):
+                    w = ta.words(data, offsets, ta.ALNUM)
+                    gone |= {row + r: _without(data, offsets, w, r, [(x["start"], x["end"]) for x in spans[row + r]]) for r in range(end - row) if spans[row + r]}
+            yield pa.RecordBatch.from_arrays([_replaced(batch.column(i), gone if i == k else {}) for i in range(batch.num_columns - 1)], names=names)
+
+    return joined.mapInArrow(run, docs.schema)
+
+
+def _without(data: np.ndarray, offsets: np.ndarray, w: ta.Words, r: int, spans: list[tuple[int, int]]) -> bytes:
+    """Text r's bytes without these word ranges, which neither overlap nor touch."""
+    on = np.ones(int(offsets[r + 1] - offsets[r]), dtype=bool)
+    first, base = int(w.first[r]), int(offsets[r])
+    for s, e in spans:
+        on[int(w.start[first + s]) - base : int(w.end[first + e - 1]) - base] = False
+    return data[offsets[r] : offsets[r + 1]][on].tobytes()
+
+
+def _replaced(column: pa.Array, texts: dict[int, bytes]) -> pa.Array:
+    return pa.array([texts[i].decode() if i in texts else x.as_py() for i, x in enumerate(column)], column.type) if texts else column
 
 
 def _filtered(docs: DataFrame, block: NgramSet, mode: str, text_col: str) -> DataFrame:
@@ -193,24 +242,21 @@ def _filtered(docs: DataFrame, block: NgramSet, mode: str, text_col: str) -> Dat
         for batch in batches:
             k = batch.schema.get_field_index(text_col)
             keep = np.ones(batch.num_rows, dtype=bool)
-            cut: dict[int, bytes] = {}
+            gone: dict[int, bytes] = {}
             for row, _, data, offsets in ta.slices(batch.column(k)):
                 w = ta.words(data, offsets, ta.ALNUM)
-                gone: dict[int, list[tuple[int, int]]] = {}
+                own: dict[int, list[tuple[int, int]]] = {}
                 for n, i, _items in grams.hits(w, ta.word_hashes(w)):
-                    gone.setdefault(int(w.text[i]), []).append((int(w.start[i]), int(w.end[i + n - 1])))
-                for r, spans in gone.items():
+                    r = int(w.text[i])
+                    own.setdefault(r, []).append((i - int(w.first[r]), i - int(w.first[r]) + n))
+                for r, spans in own.items():
                     keep[row + r] = False
-                    on = np.ones(int(offsets[r + 1] - offsets[r]), dtype=bool)
-                    for s, e in spans:
-                        on[s - int(offsets[r]) : e - int(offsets[r])] = False
-                    cut[row + r] = data[offsets[r] : offsets[r + 1]][on].tobytes()
+                    if mode == "span":
+                        gone[row + r] = _without(data, offsets, w, r, merged(spans))
             if mode == "document":
                 yield batch.filter(pa.array(keep))
             else:
-                column = batch.column(k)
-                texts = pa.array([cut[i].decode() if i in cut else x.as_py() for i, x in enumerate(column)], column.type) if cut else column
-                yield pa.RecordBatch.from_arrays([texts if i == k else batch.column(i) for i in range(batch.num_columns)], schema=batch.schema)
+                yield pa.RecordBatch.from_arrays([_replaced(batch.column(i), gone if i == k else {}) for i in range(batch.num_columns)], schema=batch.schema)
 
     return docs.mapInArrow(run, docs.schema)
 
