@@ -10,15 +10,20 @@ without_boilerplate counts every line that isn't blank and exempts only texts wi
 
 from __future__ import annotations
 
+from dataclasses import dataclass
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from erfocus.llm.kinds import unused
 from erfocus.operators.durable import cut, sized
 
 MIN_SITES = 10
 MIN_CHARS = 20
 MAX_SHARE = 0.5
 LG_K = 10
+#: Texts with boilerplate are broadcast with their lines' hashes up to this size, else joined by an exchange.
+MAX_BROADCAST_BYTES = 16 << 20
 #: Three standard errors of an HLL sketch with 2 ** LG_K bins.
 MARGIN = 3 * 1.04 / 2 ** (LG_K / 2)
 
@@ -34,7 +39,7 @@ def _counted(line: Column, every: bool) -> Column:
 def boilerplate(docs: DataFrame, text_col: str = "text", site_col: str = "source", min_sites: int = MIN_SITES, every: bool = False) -> DataFrame:
     """(line_key) of lines of at least MIN_CHARS characters, or of every line not blank, trimmed of spaces, on min_sites sites or more.
 
-    A null site counts as one site of its own.
+    A null site counts as one site of its own; null texts have no lines.
     """
     lines = docs.select(F.coalesce(F.col(site_col).cast("string"), F.lit("\0")).alias("__site"), F.explode(F.split(F.col(text_col), "\n")).alias("__line"))
     lines = lines.where(_counted(F.col("__line"), every)).select("__site", _line_key(F.col("__line")).alias("line_key"))
@@ -51,42 +56,65 @@ def line_report(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     """Every row's id, n_lines, n_boilerplate lines, n_removed of them and cleaned_text.
 
     Null texts have no lines and stay null; the empty text is one empty line.  Lines that repeat in a
-    text count each time.  Repeated rows each give a row.  A text whose boilerplate is over MAX_SHARE
-    of its characters is left as it is.
+    text count each time.  Repeated rows each give a row; a null id is kept, extra columns are not read.  A text
+    whose boilerplate is over MAX_SHARE of its characters is left as it is.
     """
-    return _with_lines(docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("__text"), F.col(site_col).alias("__site")), "doc_id", "__text", "__site", min_sites).select(
-        "doc_id", "n_lines", "n_boilerplate", F.when(F.col("__strip"), F.col("n_boilerplate")).otherwise(0).cast("long").alias("n_removed"), F.col("__new").alias("cleaned_text")
+    rows = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"), F.col(site_col).alias("site"))
+    found, n = _with_lines(rows, "doc_id", "text", "site", min_sites)
+    return found.select(
+        "doc_id", F.col(n.lines).alias("n_lines"), F.col(n.hit).alias("n_boilerplate"), F.when(F.col(n.strip), F.col(n.hit)).otherwise(0).cast("long").alias("n_removed"), F.col(n.new).alias("cleaned_text")
     )
 
 
-def _with_lines(docs: DataFrame, id_col: str, text_col: str, site_col: str, min_sites: int, every: bool = False) -> DataFrame:
+@dataclass(frozen=True)
+class Names:
+    """Columns beside the user's, of names that the user's don't have."""
+
+    id: str
+    key: str
+    keys: str
+    lines: str
+    hit: str
+    strip: str
+    new: str
+
+
+def _narrow(hits: DataFrame, keys: str) -> DataFrame:
+    """Texts with boilerplate and its keys, broadcast only if their bytes are counted to be few."""
+    size = hits.agg(F.sum(F.lit(64) + 8 * F.size(keys)).alias("n")).first()["n"] or 0
+    return F.broadcast(hits) if size <= MAX_BROADCAST_BYTES else hits
+
+
+def _with_lines(docs: DataFrame, id_col: str, text_col: str, site_col: str, min_sites: int, every: bool = False) -> tuple[DataFrame, Names]:
+    n = Names(*unused(docs.columns, *Names.__annotations__))
     marks = cut(boilerplate(docs, text_col, site_col, min_sites, every).distinct())
     text, id_, key = F.col(text_col), F.col(id_col), F.xxhash64(F.col(text_col))
-    lines = docs.select(id_.alias("__id"), key.alias("__key"), F.explode(F.split(text, "\n")).alias("__line")).where(_counted(F.col("__line"), every))
-    hits = lines.select("__id", "__key", _line_key(F.col("__line")).alias("line_key")).join(sized(marks), "line_key").groupBy("__id", "__key").agg(F.collect_set("line_key").alias("__keys"))
-    hits = sized(cut(hits), 200_000)
-    joined = docs.join(hits, id_.eqNullSafe(F.col("__id")) & (key == F.col("__key")), "left")
+    lines = docs.select(id_.alias(n.id), key.alias(n.key), F.explode(F.split(text, "\n")).alias("__line")).where(_counted(F.col("__line"), every))
+    hits = lines.select(n.id, n.key, _line_key(F.col("__line")).alias("line_key")).join(sized(marks), "line_key").groupBy(n.id, n.key).agg(F.collect_set("line_key").alias(n.keys))
+    hits = _narrow(cut(hits), n.keys)
+    joined = docs.join(hits, id_.eqNullSafe(F.col(n.id)) & (key == F.col(n.key)), "left")
     parts = F.split(text, "\n")
-    hit = lambda x: F.coalesce(_counted(x, every) & F.array_contains(F.col("__keys"), _line_key(x)), F.lit(False))
+    hit = lambda x: F.coalesce(_counted(x, every) & F.array_contains(F.col(n.keys), _line_key(x)), F.lit(False))
     removed = F.filter(parts, hit)
-    any_ = F.col("__keys").isNotNull()
-    joined = joined.withColumn("n_lines", F.when(text.isNull(), 0).otherwise(F.size(parts)).cast("long"))
-    joined = joined.withColumn("n_boilerplate", F.when(any_, F.size(removed)).otherwise(0).cast("long"))
+    any_ = F.col(n.keys).isNotNull()
+    joined = joined.withColumn(n.lines, F.when(text.isNull(), 0).otherwise(F.size(parts)).cast("long"))
+    joined = joined.withColumn(n.hit, F.when(any_, F.size(removed)).otherwise(0).cast("long"))
     if every:
         strip = any_ & F.exists(parts, lambda x: _counted(x, True) & ~hit(x))
     else:
         strip = any_ & (F.char_length(F.array_join(removed, "")) <= MAX_SHARE * F.char_length(text))
-    joined = joined.withColumn("__strip", F.coalesce(strip, F.lit(False)))
-    return joined.withColumn("__new", F.when(F.col("__strip"), F.array_join(F.filter(parts, lambda x: ~hit(x)), "\n")).otherwise(text))
+    joined = joined.withColumn(n.strip, F.coalesce(strip, F.lit(False)))
+    return joined.withColumn(n.new, F.when(F.col(n.strip), F.array_join(F.filter(parts, lambda x: ~hit(x)), "\n")).otherwise(text)), n
 
 
 def without_boilerplate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", site_col: str = "source", min_sites: int = MIN_SITES) -> DataFrame:
     """docs with boilerplate lines of any length cut out of the text; every row and column is kept.
 
-    A text that has only such lines, and blank ones, is left as it is.
+    A text that has only such lines, and blank ones, is left as it is, as are null and empty texts.  Repeated
+    rows and null ids are kept; columns of any names are.
     """
-    done = _with_lines(docs, id_col, text_col, site_col, min_sites, every=True)
-    return done.select(*[F.col("__new").alias(c) if c == text_col else done[c] for c in docs.columns])
+    done, n = _with_lines(docs, id_col, text_col, site_col, min_sites, every=True)
+    return done.select(*[F.col(n.new).alias(c) if c == text_col else F.col(f"`{c}`") for c in docs.columns])
 
 
 #: What line_report returns, with the texts' digests in place of the texts.
