@@ -12,7 +12,7 @@ import posixpath
 import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
-from urllib.parse import urlsplit
+from urllib.parse import quote, unquote, urlsplit
 
 import pandas as pd
 from pyspark import TaskContext
@@ -61,8 +61,15 @@ def hex_digest(field: str) -> str:
     return base64.b32decode(field.partition(":")[2]).hex()
 
 
-def _urn(page_id) -> str:
-    return f"<urn:page:{'' if page_id is None else page_id}>"
+def _urn(page_id, payload: bytes) -> str:
+    """A record's id: the page's, quoted, and the payload's digest, so that records of one page id differ unless they are alike."""
+    return f"<urn:page:{'-' if page_id is None else '=' + quote(str(page_id), safe='', errors='surrogatepass')}:{hashlib.sha1(payload, usedforsecurity=False).hexdigest()}>"
+
+
+def page_of(urn: str):
+    """The page id in a record's id."""
+    name = urn.removeprefix("<urn:page:").rpartition(":")[0]
+    return unquote(name[1:], errors="surrogatepass") if name.startswith("=") else None
 
 
 def member(page_id, url: str | None, payload: bytes, refers_to=None, revisit: bool = False) -> bytes:
@@ -71,7 +78,7 @@ def member(page_id, url: str | None, payload: bytes, refers_to=None, revisit: bo
     block = http if revisit else http + payload
     fields = {
         "WARC-Type": "revisit" if revisit else "response",
-        "WARC-Record-ID": _urn(page_id),
+        "WARC-Record-ID": _urn(page_id, payload),
         "WARC-Date": DATE,
         "WARC-Target-URI": " ".join((url or "").split()),
         "WARC-Payload-Digest": _digest(payload),
@@ -80,7 +87,7 @@ def member(page_id, url: str | None, payload: bytes, refers_to=None, revisit: bo
         "Content-Length": str(len(block)),
     }
     if revisit:
-        fields |= {"WARC-Profile": REVISIT_PROFILE, "WARC-Refers-To": _urn(refers_to)}
+        fields |= {"WARC-Profile": REVISIT_PROFILE, "WARC-Refers-To": _urn(refers_to, payload)}
     head = VERSION + b"\r\n" + b"".join(f"{k}: {v}\r\n".encode("utf-8", "surrogatepass") for k, v in fields.items())
     z = zlib.compressobj(6, zlib.DEFLATED, 31)
     return z.compress(head + b"\r\n" + block + b"\r\n\r\n") + z.flush()
@@ -197,7 +204,7 @@ def read(archives: DataFrame, with_payload: bool = False) -> DataFrame:
                     rows, held = [], 0
                     for r in records(iter(lambda f=f: f.read(CHUNK), b"")):
                         http, payload = r.http()
-                        rows.append((r.headers["WARC-Record-ID"][10:-1] or None, r.headers["WARC-Target-URI"], int(http["Content-Length"]), hex_digest(r.headers["WARC-Payload-Digest"]), r.kind, r.headers.get("WARC-Refers-To", "")[10:-1] or None, payload if with_payload else None))
+                        rows.append((page_of(r.headers["WARC-Record-ID"]), r.headers["WARC-Target-URI"], int(http["Content-Length"]), hex_digest(r.headers["WARC-Payload-Digest"]), r.kind, page_of(r.headers.get("WARC-Refers-To", "")), payload if with_payload else None))
                         held += len(payload) if with_payload else 100
                         if held > 16 << 20:
                             yield _frame(rows)
@@ -215,7 +222,8 @@ def _frame(rows: list) -> pd.DataFrame:
 def round_trip(pages: DataFrame, folder: str | None = None, id_col: str = "page_id") -> DataFrame:
     """Write every row to archives and read them back: a row per record.
 
-    Null html is the empty payload.  Repeated rows are a record each; extra columns are not read.
+    Null html is the empty payload.  Repeated rows are a record each; ids of any text, also with line breaks, come
+    back as they were; a null id is kept; an empty table gives no row; extra columns are not read.
     """
     kind = pages.schema[id_col].dataType
     found = read(write(pages, folder or shared_path(pages.sparkSession, "warc"), id_col=id_col))
