@@ -12,7 +12,8 @@ from collections import Counter
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from erfocus.operators.durable import cut, sized
+from erfocus.llm.kinds import unused
+from erfocus.operators.durable import cut, held
 
 MIN_WORDS = 50
 #: Share of good texts that all rules together may reject in a stratum, and the chance of an error there.
@@ -205,9 +206,58 @@ def _measured(docs: DataFrame, labels: DataFrame, id_col: str, text_col: str, st
 def kept_documents(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", stratum: str = "lang") -> DataFrame:
     """The rows of docs whose texts pass, with all their columns.
 
-    Texts are measured once; rows are then taken out by id, text hash and stratum of those that failed.
+    Texts are measured once; rows are then taken out by id, text hash and stratum of those that failed.  Null and
+    empty texts fail the base rules; repeated rows fare alike; columns of any names are kept.
     """
     measured, cutoffs = _measured(docs, labels, id_col, text_col, stratum)
-    failed = measured.where(~verdict(cutoffs, "__stratum")).select(F.col("doc_id").alias("__id"), "__key", "__stratum").distinct()
-    here = F.col(id_col).eqNullSafe(F.col("__id")) & (F.xxhash64(F.col(text_col)) == F.col("__key")) & F.col(stratum).eqNullSafe(F.col("__stratum"))
-    return docs.join(sized(cut(failed)), here, "left_anti")
+    own, key, part = unused(docs.columns, "__id", "__key", "__stratum")
+    failed = measured.where(~verdict(cutoffs, "__stratum")).select(F.col("doc_id").alias(own), F.col("__key").alias(key), F.col("__stratum").alias(part)).distinct()
+    here = F.col(id_col).eqNullSafe(F.col(own)) & F.xxhash64(F.col(text_col)).eqNullSafe(F.col(key)) & F.col(stratum).eqNullSafe(F.col(part))
+    return docs.join(held(failed), here, "left_anti")
+
+
+def judge_sql(rules: dict = RULES, alpha: float = ALPHA, delta: float = DELTA) -> str:
+    """What judge() returns for documents and labels, by a recursion over each stratum's steps."""
+    value = {
+        "symbol_share": "CASE WHEN word_chars > 0 THEN n_symbols / word_chars ELSE 0 END",
+        "dup_line_share": "CASE WHEN n_lines > 0 THEN n_dup_lines / n_lines ELSE 0 END",
+        "repeat_share": "CASE WHEN n_words > 0 THEN n_repeat_words / n_words ELSE 0 END",
+        "word_length": "CASE WHEN n_words > 0 THEN word_chars / n_words ELSE 0 END",
+        "short_words": "CASE WHEN n_words > 0 THEN n_short_words / n_words ELSE 0 END",
+    }
+    grids = {r: sorted(g, reverse=True) for r, g in rules.items()}
+    first = ", ".join(f"{len(g) + 1} - len(list_filter({g}, lambda c: v_{r} > c)) AS c_{r}" for r, g in grids.items())
+    hit = lambda at: " OR ".join(f"{at[r]} >= x.c_{r}" for r in grids)
+    lost = lambda cells, at: f"coalesce(list_sum(list_transform({cells}, lambda x: CASE WHEN {hit(at)} THEN x.n ELSE 0 END)), 0)::BIGINT"
+    moved = {r: f"CASE WHEN q.rule = '{r}' THEN q.depth ELSE a_{r} END" for r in grids}
+    ranks = " UNION ALL ".join(
+        f"SELECT s, '{r}' AS rule, {i} AS place, {d} AS depth, coalesce(sum(n) FILTER (NOT good AND c_{r} <= {d}), 0) AS lost FROM cells GROUP BY s" for i, (r, g) in enumerate(grids.items()) for d in range(1, len(g) + 1)
+    )
+    cell = "{'n': n, " + ", ".join(f"'c_{r}': c_{r}" for r in grids) + "}"
+    terms = f"list_transform(range(0, k + 1), lambda i: exp(lgamma(total + 1) - lgamma(i + 1) - lgamma(total - i + 1) + i * ln({alpha}) + (total - i) * ln(1 - {alpha})))"
+    over = " OR ".join(f"(a_{r} > 0 AND v_{r} > {g}[greatest(a_{r}, 1)])" for r, g in grids.items())
+    return rf"""
+WITH RECURSIVE d AS (SELECT row_number() OVER () AS r, doc_id, lang, coalesce(text, '') AS t FROM documents),
+w AS (SELECT r, doc_id, lang, list_filter(regexp_split_to_array(t, '[\x20\x09-\x0D]+'), lambda x: x <> '') AS ws,
+      list_filter(string_split(t, chr(10)), lambda x: regexp_matches(x, '[^\x20\x09-\x0D]')) AS ls, length(t) - length(translate(t, '#*$%&|<>', '')) AS n_symbols FROM d),
+g AS (SELECT r, i, ws[i] || ' ' || ws[i + 1] || ' ' || ws[i + 2] AS gram FROM (SELECT r, ws, unnest(range(1, len(ws) - 1)) AS i FROM w)),
+often AS (SELECT r, i FROM (SELECT *, count(*) OVER (PARTITION BY r, gram) AS n FROM g) WHERE n > 1),
+rep AS (SELECT r, count(DISTINCT p) AS n FROM (SELECT r, unnest([i, i + 1, i + 2]) AS p FROM often) GROUP BY r),
+m0 AS (SELECT w.r, doc_id, lang, len(ws)::BIGINT AS n_words, coalesce(list_sum(list_transform(ws, lambda x: length(x))), 0)::BIGINT AS word_chars, n_symbols::BIGINT AS n_symbols,
+      (len(ls) - len(list_distinct(ls)))::BIGINT AS n_dup_lines, coalesce(n, 0)::BIGINT AS n_repeat_words, len(list_filter(ws, lambda x: length(x) <= 2)) AS n_short_words, len(ls) AS n_lines
+      FROM w LEFT JOIN rep USING (r)),
+m AS (SELECT *, n_words < {MIN_WORDS} OR 100 * n_repeat_words > 50 * n_words AS base_failed, {", ".join(f"({v})::DOUBLE AS v_{r}" for r, v in value.items())} FROM m0),
+marks AS (SELECT doc_id, min(quality) = 1 AS good FROM labels WHERE doc_id IS NOT NULL AND quality IS NOT NULL GROUP BY doc_id),
+cells AS (SELECT lang AS s, good, {", ".join(f"c_{r}" for r in grids)}, count(*)::BIGINT AS n FROM (SELECT lang, good, {first} FROM m JOIN marks USING (doc_id) WHERE NOT base_failed) GROUP BY ALL),
+strata AS (SELECT s, list({cell}) FILTER (good) AS fine, list({cell}) FILTER (NOT good) AS bad, (sum(n) FILTER (good))::BIGINT AS total, {delta} / count(*) OVER () AS level FROM cells GROUP BY s HAVING count(*) FILTER (good) > 0),
+seq AS (SELECT s, rule, depth, row_number() OVER (PARTITION BY s ORDER BY depth, lost DESC, place) AS t FROM ({ranks})),
+walk AS (
+SELECT s, 0::BIGINT AS t, {", ".join(f"0 AS a_{r}, 0 AS b_{r}" for r in grids)}, 0::BIGINT AS gone, true AS live FROM strata
+UNION ALL SELECT s, next, {", ".join(f"CASE WHEN more > gone THEN n_{r} ELSE a_{r} END, CASE WHEN more > gone AND passes THEN n_{r} ELSE b_{r} END" for r in grids)}, greatest(more, gone), live AND (more <= gone OR passes)
+FROM (SELECT *, live AND list_sum({terms}) <= level AND k < total AS passes FROM (SELECT *, {lost("fine", {r: f"n_{r}" for r in grids})} AS k, {lost("bad", {r: f"n_{r}" for r in grids})} AS more
+      FROM (SELECT walk.*, q.t AS next, fine, bad, total, level, {", ".join(f"{v} AS n_{r}" for r, v in moved.items())}
+            FROM walk JOIN seq q ON q.s IS NOT DISTINCT FROM walk.s AND q.t = walk.t + 1 JOIN strata ON strata.s IS NOT DISTINCT FROM walk.s)))),
+cut AS (SELECT s, {", ".join(f"b_{r} AS a_{r}" for r in grids)} FROM walk WHERE t = (SELECT max(t) FROM walk))
+SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND NOT coalesce({over}, false) AS kept
+FROM m LEFT JOIN cut ON cut.s IS NOT DISTINCT FROM m.lang
+"""

@@ -63,4 +63,5 @@ ORACLE_SQL = {
     "op5_url_filter": url_filter.VERDICT_SQL,
     "op8_license_scan": license_scan.scan_sql(),
     "op9_warc": warc.ROUND_TRIP_SQL,
+    "op10_quality_rules": quality.judge_sql(),
 }
