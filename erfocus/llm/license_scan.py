@@ -1,7 +1,9 @@
 """Licence scans by the Dice coefficient of word bigrams, with DataFrame functions only.
 
-A text's units are its lines and itself.  A unit is compared only with templates of a size that the
-coefficient allows: for a coefficient of t, a unit's bigrams number between t / (2 - t) and (2 - t) / t
+A text is cut into pieces at line breaks and ends of sentences; its units are runs of consecutive pieces, so that a
+notice is found also where it is wrapped over lines, stands inside a paragraph, or is a whole licence file.  A text
+is compared only with templates of which it has enough bigrams, and a unit only if its size is one that the
+coefficient allows: for a coefficient of t, a unit's distinct bigrams number between t / (2 - t) and (2 - t) / t
 times the template's.
 """
 
@@ -13,21 +15,12 @@ from fractions import Fraction
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from erfocus.llm.license_texts import TEMPLATES
+
 THRESHOLD = 0.8
-#: Licence statements by their SPDX identifiers.
-TEMPLATES = {
-    "Apache-2.0": "Licensed under the Apache License, Version 2.0.",
-    "Apache-2.0-notice": "Licensed under the Apache License, Version 2.0 (the \"License\"); you may not use this file except in compliance with the License.",
-    "BSD-3-Clause": "Use of this source code is governed by a BSD-style license that can be found in the LICENSE file.",
-    "CC-BY-4.0": "This work is licensed under a Creative Commons Attribution 4.0 International License.",
-    "CC-BY-NC-4.0": "Licensed under CC BY-NC 4.0.",
-    "CC-BY-SA-4.0": "Licensed under CC BY-SA 4.0.",
-    "GPL-3.0": "This work is licensed under the GNU General Public License, version 3.",
-    "GPL-3.0-notice": "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version.",
-    "MIT": "Released under the MIT License.",
-    "MIT-notice": "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the \"Software\"), to deal in the Software without restriction.",
-    "MPL-2.0": "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0.",
-}
+UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
+#: A unit's words are at most so many times the distinct bigrams that the bounds allow it.
+REPEATS = 2
 
 
 def bigrams_of(text: str) -> list[str]:
@@ -35,8 +28,8 @@ def bigrams_of(text: str) -> list[str]:
     return list(dict.fromkeys(f"{a} {b}" for a, b in zip(words, words[1:], strict=False)))
 
 
-def _words(unit: Column) -> Column:
-    return F.filter(F.split(F.lower(unit), "[^0-9a-z]+"), lambda w: w != "")
+def _words(text: Column) -> Column:
+    return F.filter(F.split(F.translate(text, UPPER, UPPER.lower()), "[^0-9a-z]+"), lambda w: w != "")
 
 
 def _let(value: Column, use) -> Column:
@@ -49,51 +42,86 @@ def _bounds(n: int, threshold: float) -> tuple[int, int]:
     return max(1, math.ceil(n * t / (2 - t))), math.floor(n * (2 - t) / t)
 
 
-def _best(bigrams: Column, templates: dict[str, str], threshold: float) -> Column:
-    """(dice, -number, licence) of the best template for distinct bigrams; null if none is allowed."""
-    n, scores = F.size(bigrams), []
-    for i, (name, text) in enumerate(templates.items()):
-        own = bigrams_of(text)
-        low, high = _bounds(len(own), threshold)
-        common = F.size(F.array_intersect(bigrams, F.array(*map(F.lit, own))))
-        scores.append(F.when(n.between(low, high), F.struct((2 * common / (n + len(own))).alias("dice"), F.lit(-i).alias("order"), F.lit(name).alias("license"))))
-    return F.greatest(*scores) if len(scores) > 1 else scores[0]
+def _hashed(bigrams: list[str]) -> Column:
+    return F.array(*[F.xxhash64(F.lit(a), F.lit(b)) for a, b in (x.split() for x in bigrams)])
+
+
+def _pairs(words: Column) -> Column:
+    """A hash of each two consecutive words."""
+    return F.zip_with(F.slice(words, 1, F.greatest(F.size(words) - 1, F.lit(0))), F.slice(words, 2, F.size(words)), lambda a, b: F.xxhash64(a, b))
+
+
+def _ends(pieces: Column) -> Column:
+    """0, and the number of words up to the end of each piece that has any."""
+    sizes = F.filter(F.transform(pieces, lambda p: F.size(_words(p))), lambda n: n > 0)
+    return F.aggregate(sizes, F.array(F.lit(0)), lambda acc, n: F.concat(acc, F.array(F.element_at(acc, -1) + n)))
+
+
+def _best(pairs: Column, ends: Column, grams: Column, n: int, threshold: float) -> Column:
+    """The highest coefficient of a run of pieces with one template; null if none is of an allowed size.
+
+    A run that begins with a piece without any of the template's bigrams is no better than without that piece.
+    """
+    low, high = _bounds(n, threshold)
+    starts = F.filter(F.sequence(F.lit(1), F.size(ends) - 1), lambda i: F.arrays_overlap(F.slice(pairs, F.get(ends, i - 1) + 1, F.get(ends, i) - F.get(ends, i - 1)), grams))
+
+    def dice(own: Column) -> Column:
+        size = F.size(own)
+        return F.when(size.between(low, high), 2 * F.size(F.array_intersect(own, grams)) / (size + n))
+
+    def from_(i: Column) -> Column:
+        first = F.get(ends, i - 1)
+        stops = F.filter(F.slice(ends, i + 1, F.lit(REPEATS * high + 1)), lambda e: (e - first - 1).between(low, REPEATS * high))
+        return F.array_max(F.transform(stops, lambda e: _let(F.array_distinct(F.slice(pairs, first + 1, e - first - 1)), dice)))
+
+    return F.array_max(F.transform(starts, from_))
 
 
 def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", templates: dict[str, str] = TEMPLATES, threshold: float = THRESHOLD) -> DataFrame:
-    """(doc_id, n_licensed, license, dice) of every row: units at or over the threshold, and the best.
+    """(doc_id, n_licensed, license, dice) of every row: templates at or over the threshold, and the best.
 
     Words are runs of ASCII letters and digits, lower-cased.  Null, empty and unlicensed texts have zero
-    and nulls; of equal coefficients the first template counts.  A text of one line is one unit.  Repeated
-    rows each give a row; extra columns are not read.
+    and nulls; of equal coefficients the first template counts.  A text of one piece is one unit.  Repeated
+    rows each give a row; null ids are kept; an empty table gives no row; extra columns are not read.
     """
-    text = F.col(text_col)
-    # A unit of b distinct bigrams has at least b + 1 words; the upper bound is on distinct bigrams only.
-    least = min(_bounds(len(bigrams_of(t)), threshold)[0] for t in templates.values())
-    lines = F.array_distinct(F.concat(F.split(text, "\n"), F.array(text)))
-    found = F.filter(
-        F.transform(lines, lambda u: _let(_words(u), lambda w: F.when(F.size(w) > least, _let(_bigrams(w), lambda b: _best(b, templates, threshold))))),
-        lambda s: s.isNotNull() & (s["dice"] >= threshold),
-    )
-    rows = docs.select(F.col(id_col).alias("doc_id"), text_col).select("doc_id", F.explode(F.array(found)).alias("__found"))
+    own = {name: bigrams_of(text) for name, text in templates.items()}
+    known = list(dict.fromkeys(b for grams in own.values() for b in grams))
+    need = {name: _bounds(len(grams), threshold)[0] for name, grams in own.items()}
+    rows = docs.select(F.col(id_col).alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("__text"))
+    rows = rows.select("doc_id", "__text", F.explode(F.array(_pairs(_words(F.col("__text"))))).alias("__pairs"))
+    rows = rows.select("*", F.explode(F.array(F.array_intersect(_hashed(known), "__pairs"))).alias("__some"))
+    some = F.col("__some")
+    likely = F.when(F.size(some) >= min(need.values()), F.array(*[F.size(F.array_intersect(some, _hashed(own[name]))) >= need[name] for name in own]))
+    rows = rows.select("*", F.explode(F.array(likely)).alias("__likely"))
+    any_ = F.coalesce(F.array_contains("__likely", True), F.lit(False))
+    pieces = F.split(F.regexp_replace("__text", r"([.;:!?])[\x20\x09-\x0D]+", "$1\n"), "\n")
+    rows = rows.select("doc_id", "__pairs", "__likely", F.explode(F.array(F.when(any_, _ends(pieces)))).alias("__ends"))
+    found = [
+        F.when(F.get("__likely", F.lit(i)), F.struct(_best(F.col("__pairs"), F.col("__ends"), _hashed(grams), len(grams), threshold).alias("dice"), F.lit(-i).alias("order"), F.lit(name).alias("license")))
+        for i, (name, grams) in enumerate(own.items())
+    ]
+    found = F.when(F.col("__ends").isNotNull(), F.filter(F.array(*found), lambda s: s["dice"] >= threshold))
+    rows = rows.select("doc_id", F.explode(F.array(found)).alias("__found"))
     best = F.array_max("__found")
     return rows.select("doc_id", F.coalesce(F.when(F.col("__found").isNotNull(), F.size("__found")), F.lit(0)).cast("long").alias("n_licensed"), best["license"].alias("license"), F.round(best["dice"], 6).alias("dice"))
 
 
-def _bigrams(words: Column) -> Column:
-    return F.array_distinct(F.zip_with(F.slice(words, 1, F.size(words) - 1), F.slice(words, 2, F.size(words)), lambda a, b: F.concat_ws(" ", a, b)))
-
-
 def scan_sql(templates: dict[str, str] = TEMPLATES, threshold: float = THRESHOLD) -> str:
-    """The same in SQL, by brute force over all lines and templates."""
-    rows = ", ".join("({}, '{}', [{}])".format(i, name, ", ".join(f"'{b}'" for b in bigrams_of(text))) for i, (name, text) in enumerate(templates.items()))
-    return f"""
-WITH t(k, license, grams) AS (VALUES {rows}),
-u AS (SELECT DISTINCT doc_id, unnest(list_append(string_split(text, chr(10)), text)) AS unit FROM documents),
-w AS (SELECT doc_id, unit, list_filter(regexp_split_to_array(lower(unit), '[^0-9a-z]+'), lambda x: x <> '') AS ws FROM u),
-b AS (SELECT doc_id, unit, list_distinct(list_transform(ws[1:len(ws) - 1], lambda x, i: x || ' ' || ws[i + 1])) AS grams FROM w WHERE len(ws) > 1),
-s AS (SELECT doc_id, unit, license, k, 2 * len(list_intersect(b.grams, t.grams)) / (len(b.grams) + len(t.grams)) AS dice FROM b, t),
-m AS (SELECT doc_id, unit, max(dice) AS dice, arg_max(license, (dice, -k)) AS license, arg_max(k, (dice, -k)) AS k FROM s WHERE dice >= {threshold} GROUP BY doc_id, unit),
-d AS (SELECT doc_id, count(*) AS n, arg_max(license, (dice, -k)) AS license, max(dice) AS dice FROM m GROUP BY doc_id)
-SELECT documents.doc_id, coalesce(n, 0)::BIGINT AS n_licensed, license, round(dice, 6) AS dice FROM documents LEFT JOIN d USING (doc_id)
+    """The same in SQL, by brute force over all runs of pieces of texts that have enough of a template's bigrams."""
+    rows = ", ".join("({}, '{}', [{}], {}, {})".format(i, name, ", ".join(f"'{b}'" for b in bigrams_of(text)), *_bounds(len(bigrams_of(text)), threshold)) for i, (name, text) in enumerate(templates.items()))
+    lower = f"translate(coalesce(text, ''), '{UPPER}', '{UPPER.lower()}')"
+    return rf"""
+WITH t(k, license, grams, low, high) AS (VALUES {rows}),
+u AS (SELECT row_number() OVER () AS r, doc_id, {lower} AS text FROM documents),
+p AS (SELECT r, doc_id, list_filter(list_transform(string_split(regexp_replace(text, '([.;:!?])[ 	-]+', '' || chr(10), 'g'), chr(10)),
+      lambda x: list_filter(regexp_split_to_array(x, '[^0-9a-z]+'), lambda y: y <> '')), lambda x: len(x) > 0) AS pieces FROM u),
+w AS (SELECT r, flatten(pieces) AS ws, list_transform(range(0, len(pieces) + 1), lambda i: coalesce(list_sum(list_transform(pieces[1:i], lambda x: len(x))), 0)::BIGINT) AS ends FROM p WHERE len(pieces) > 0),
+b AS (SELECT r, ends, list_transform(range(1, len(ws)), lambda i: ws[i] || ' ' || ws[i + 1]) AS grams FROM w),
+c AS (SELECT r, ends, b.grams AS own, k, license, t.grams AS grams, low, high FROM b, t WHERE len(list_intersect(b.grams, t.grams)) >= low),
+s AS (SELECT *, unnest(range(1, len(ends))) AS i FROM c),
+e AS (SELECT *, unnest(range(i + 1, len(ends) + 1)) AS j FROM s),
+n AS (SELECT r, k, license, grams, low, high, list_distinct(own[ends[i] + 1:ends[j] - 1]) AS run FROM e WHERE ends[j] - ends[i] - 1 BETWEEN low AND {REPEATS} * high),
+d AS (SELECT r, k, license, max(2 * len(list_intersect(run, grams)) / (len(run) + len(grams))) AS dice FROM n WHERE len(run) BETWEEN low AND high GROUP BY r, k, license),
+m AS (SELECT r, count(*) AS n, max(dice) AS dice, arg_max(license, (dice, -k)) AS license FROM d WHERE dice >= {threshold} GROUP BY r)
+SELECT doc_id, coalesce(n, 0)::BIGINT AS n_licensed, license, round(dice, 6) AS dice FROM u LEFT JOIN m USING (r)
 """
