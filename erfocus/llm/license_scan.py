@@ -12,6 +12,7 @@ from __future__ import annotations
 import math
 from fractions import Fraction
 
+import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -43,7 +44,9 @@ def _bounds(n: int, threshold: float) -> tuple[int, int]:
 
 
 def _hashed(bigrams: list[str]) -> Column:
-    return F.array(*[F.xxhash64(F.lit(a), F.lit(b)) for a, b in (x.split() for x in bigrams)])
+    """The hashes that _pairs gives bigrams, as one literal: xxhash64 takes the hash of a column as the next one's seed."""
+    numbers = [xxhash.xxh64_intdigest(b.encode(), xxhash.xxh64_intdigest(a.encode(), 42)) for a, b in (x.split() for x in bigrams)]
+    return F.expr("array(" + ", ".join(f"{n - (n >> 63 << 64)}L" for n in numbers) + ")")
 
 
 def _pairs(words: Column) -> Column:
@@ -113,7 +116,8 @@ def scan_sql(templates: dict[str, str] = TEMPLATES, threshold: float = THRESHOLD
     return rf"""
 WITH t(k, license, grams, low, high) AS (VALUES {rows}),
 u AS (SELECT row_number() OVER () AS r, doc_id, {lower} AS text FROM documents),
-p AS (SELECT r, doc_id, list_filter(list_transform(string_split(regexp_replace(text, '([.;:!?])[ 	-]+', '' || chr(10), 'g'), chr(10)),
+p AS (SELECT r, doc_id, list_filter(list_transform(string_split(regexp_replace(text, '([.;:!?])[ 	-
+]+', '' || chr(10), 'g'), chr(10)),
       lambda x: list_filter(regexp_split_to_array(x, '[^0-9a-z]+'), lambda y: y <> '')), lambda x: len(x) > 0) AS pieces FROM u),
 w AS (SELECT r, flatten(pieces) AS ws, list_transform(range(0, len(pieces) + 1), lambda i: coalesce(list_sum(list_transform(pieces[1:i], lambda x: len(x))), 0)::BIGINT) AS ends FROM p WHERE len(pieces) > 0),
 b AS (SELECT r, ends, list_transform(range(1, len(ws)), lambda i: ws[i] || ' ' || ws[i + 1]) AS grams FROM w),
