@@ -10,8 +10,8 @@ MIN_WORDS words.  A retained suffix gives one row for each of its matches.  Word
 of equal hashes byte by byte.
 
 First words that begin more than GROUP suffixes would make a task too large.  For those every place is retained:
-suffixes that begin anywhere are compared by a 128-bit hash of their first MIN_WORDS words, which is an aggregation
-and a join that can be split.
+suffixes that begin anywhere are range-sorted by a 128-bit hash of their first MIN_WORDS words, and compared with
+their neighbours; ranges split also suffixes of the same words.
 """
 
 from __future__ import annotations
@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from erfocus.llm import textarrays as ta
-from erfocus.llm.groups import by_group
+from erfocus.llm.groups import by_group, starts
 from erfocus.llm.kinds import arrow_kind
 from erfocus.operators.durable import cut
 
@@ -236,14 +236,58 @@ def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     sparse = over(few, suffixes).repartition("gram").sortWithinPartitions("gram")
     spans = sparse.mapInArrow(by_group(lambda table: _spans_of(table, min_words, anchor), "gram"), f"doc_id {kind.simpleString()}, start int, end int")
     if not many.isEmpty():
-        # Windows are made anew for the join: written down they would take the input's disk.  Those shared are kept
-        # first, so that both sides of the join are plain exchanges and a passage of many documents can be split.
-        every = over(many, windows)
-        shared = cut(_shared(every, "window", "check").drop("n"))
-        spans = spans.union(every.join(shared, ["window", "check"]).select("doc_id", F.col("place").alias("start"), (F.col("place") + min_words).alias("end")))
+        spans = spans.union(_neighbouring(over(many, windows), min_words))
     return _merged(spans, kind)
 
 
+def _neighbouring(every: DataFrame, min_words: int) -> DataFrame:
+    """(doc_id, start, end) of windows that a neighbour from another document is equal to.
+
+    Windows are sorted in ranges that also split a window of many documents, and lie written down; a window that
+    runs over the ends of ranges is settled by what the ranges begin and end with, a row each.
+    """
+    order = ["window", "check", "doc_id", "place"]
+    kind = every.schema["doc_id"].dataType.simpleString()
+    rows = cut(every.repartitionByRange(*order).sortWithinPartitions(*order))
+
+    def ends(batches):
+        found: list = []
+        for batch in batches:
+            table = pa.Table.from_batches([batch])
+            first = starts(table, ("window", "check"))
+            for at in sorted({0, len(first) - 1}) if len(first) else ():
+                a, b = int(first[at]), int(first[at + 1]) - 1 if at + 1 < len(first) else table.num_rows - 1
+                key = (table["window"][a].as_py(), table["check"][a].as_py())
+                low, high = table["doc_id"][a], table["doc_id"][b]
+                if found and found[-1][0] == key:
+                    found[-1][2] = high
+                else:
+                    del found[1:]
+                    found.append([key, low, high])
+        if found:
+            docs = pa.array([x for f in (found[0], found[-1]) for x in (f[1].as_py(), f[2].as_py())], found[0][1].type)
+            keys = [f[0] for f in (found[0], found[0], found[-1], found[-1])]
+            yield pa.RecordBatch.from_arrays([pa.array([k[0] for k in keys], pa.int64()), pa.array([k[1] for k in keys], pa.int64()), docs], names=["window", "check", "doc_id"])
+
+    edges = rows.mapInArrow(ends, f"window long, check long, doc_id {kind}").groupBy("window", "check").agg(F.min("doc_id").alias("a"), F.max("doc_id").alias("b")).where("a < b")
+    over = frozenset((r["window"], r["check"]) for r in edges.toLocalIterator())
+    handle = every.sparkSession.sparkContext.broadcast(over)
+
+    def shared(table: pa.Table):
+        first = starts(table, ("window", "check"))
+        last = np.append(first[1:], table.num_rows) - 1
+        docs = table.column("doc_id").combine_chunks()
+        code = docs.dictionary_encode().indices.to_numpy()
+        several = code[first] != code[last]
+        keys = zip(table.column("window").to_numpy()[first].tolist(), table.column("check").to_numpy()[first].tolist(), strict=True)
+        several |= np.fromiter((k in handle.value for k in keys), dtype=bool, count=len(first))
+        mine = np.flatnonzero(np.repeat(several, last - first + 1))
+        place = table.column("place").to_numpy()[mine]
+        yield pa.RecordBatch.from_arrays([docs.take(pa.array(mine)), pa.array(place), pa.array(place + np.int32(min_words))], names=["doc_id", "start", "end"])
+
+    return rows.mapInArrow(by_group(shared, "window", "check"), f"doc_id {kind}, start int, end int")
+
+
 def _sorted(live: DataFrame) -> np.ndarray:
     return np.sort(np.fromiter((r["gram"] for r in live.toLocalIterator()), dtype=np.int64))
 
