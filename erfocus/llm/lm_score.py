@@ -33,7 +33,7 @@ BITS_PER_INSERT = 8
 STRENGTH = 200.0
 BLOCK_BYTES = 256 << 20
 BIN_BITS = 6
-FLUSH = 3 << 20
+FLUSH = 2 << 20
 END = np.uint64(0x5851F42D4C957F2D)
 PARTIAL = "seg int, kind int, n int, keys binary, counts binary"
 SEGMENT = "seg int, bits binary, words binary, counts binary, n_words long, n_tokens long, bytes long"
@@ -85,9 +85,9 @@ def _counts(blob: bytes, n: int) -> np.ndarray:
 
 
 def summed(keys: np.ndarray, counts: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct keys in order, and how often each occurs."""
+    """Distinct keys in order, and how often each occurs; keys without counts are sorted where they lie."""
     if counts is None:
-        keys = np.sort(keys)
+        keys.sort()
     else:
         order = np.argsort(keys, kind="stable")
         keys, counts = keys[order], counts[order]
@@ -99,7 +99,9 @@ def summed(keys: np.ndarray, counts: np.ndarray | None = None) -> tuple[np.ndarr
 def _partials(parts: list, seg_bits: int, kind: int):
     if not parts:
         return
-    keys, counts = summed(np.concatenate(parts))
+    keys = np.concatenate(parts)
+    parts.clear()
+    keys, counts = summed(keys)
     segs = (keys >> ta.U(64 - seg_bits)).astype(np.int64)
     starts = np.flatnonzero(np.concatenate([[True], segs[1:] != segs[:-1]]))
     ends = np.append(starts[1:], len(keys))
@@ -211,7 +213,7 @@ def train(docs: DataFrame, text_col: str = "text") -> DataFrame:
                 if held >= FLUSH:
                     yield from _partials(pairs, seg_bits, 2)
                     yield from _partials(singles, seg_bits, 1)
-                    pairs, singles, held = [], [], 0
+                    held = 0
         yield from _partials(pairs, seg_bits, 2)
         yield from _partials(singles, seg_bits, 1)
 

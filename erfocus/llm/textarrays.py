@@ -1,7 +1,7 @@
 """Words of many texts at once, as numpy arrays over Arrow string buffers.
 
 No text is decoded: words are byte ranges of the UTF-8 buffer, hashes are wrapped 64-bit sums.
-Texts are taken in slices of a few megabytes, so the arrays stay small whatever the batch holds;
+Texts are taken in slices of a megabyte, so the arrays stay small whatever the batch holds;
 one very long text makes its own slice.
 """
 
@@ -13,7 +13,7 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 
-SLICE_BYTES = 2 << 20
+SLICE_BYTES = 1 << 20
 U = np.uint64
 _BASE = 0x9E3779B97F4A7C15
 _MASK = (1 << 64) - 1
