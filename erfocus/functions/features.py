@@ -17,6 +17,11 @@ from erfocus.functions.strings import normal, tokens
 LEVELS = ("none", "paragraph", "document")
 
 
+#: The weights of similarity from a tier on, highest first, and below the last.
+TIERS = ((0.99, 120), (0.90, 105), (0.80, 80), (0.70, 55), (0.60, 35), (0.50, 15), (0.40, -5), (0.30, -50), (0.20, -80))
+LOWEST_TIER = -100
+
+
 @dataclass(frozen=True)
 class FeatureSpec:
     name: str
@@ -24,9 +29,11 @@ class FeatureSpec:
     minus: int
     klass: str
     what: str
+    tiers: tuple[tuple[float, int], ...] = TIERS
+    lowest: int = LOWEST_TIER
 
 
-#: Weights by feature (holds / does not), and the tiers of similarity, highest first.
+#: Weights by feature (holds / does not).
 SPECS = (
     FeatureSpec("f01", 20, -15, "token", "same string"),
     FeatureSpec("f02", 5, 0, "token", "same first character"),
@@ -45,8 +52,8 @@ SPECS = (
     FeatureSpec("f15", 100, -5, "entity", "similar neighbour in the entity"),
     FeatureSpec("f16", 350, -15, "entity", "same document in the entity"),
 )
-TIERS = ((0.99, 120), (0.90, 105), (0.80, 80), (0.70, 55), (0.60, 35), (0.50, 15), (0.40, -5), (0.30, -50), (0.20, -80))
-LOWEST_TIER = -100
+#: The example of an entity-wide count: each equal string between two entities that become one; off unless asked for.
+MATCHING_STRINGS = FeatureSpec("f17", 0, 0, "entity", "matching strings of two entities")
 
 BY_NAME = {s.name: s for s in SPECS}
 PAIRWISE = tuple(s for s in SPECS if s.klass != "entity")
@@ -111,18 +118,22 @@ PREDICATES: dict[str, Callable[[Column, Column], Column]] = {
 }
 
 
-def tier(similarity: Column) -> Column:
-    """The weight of the highest tier reached; similarities are rounded first, so that engines agree at the edges."""
-    s, out = F.round(similarity, 9), None
-    for least, weight in TIERS:
-        out = F.when(s >= least, weight) if out is None else out.when(s >= least, weight)
-    return out.otherwise(LOWEST_TIER)
+def tier(similarity: Column, tiers: tuple[tuple[float, int], ...] = TIERS, lowest: int = LOWEST_TIER) -> Column:
+    """The weight of the highest tier reached; similarities are rounded first, so that engines agree at the edges.
+
+    A null similarity, of a side without context, has no weight.
+    """
+    s = F.round(similarity, 9)
+    out = F.when(s.isNull(), 0)
+    for least, weight in tiers:
+        out = out.when(s >= least, weight)
+    return out.otherwise(lowest)
 
 
 def value(spec: FeatureSpec, a: Column, b: Column, similarity: Column) -> Column:
     """A feature's weight for a pair; f13's stands for the predicate that holds."""
     if spec.name == "f08":
-        return tier(F.coalesce(similarity, F.lit(0.0)))
+        return tier(similarity, spec.tiers, spec.lowest)
     if spec.name == "f11":
         return F.when(_has_kw(a, b), F.when(F.coalesce(_kw_match(a, b), F.lit(False)), spec.plus).otherwise(spec.minus)).otherwise(0)
     holds = F.coalesce(PREDICATES[spec.name](a, b), F.lit(False))
@@ -147,69 +158,3 @@ def text_similarity(a: Column, b: Column, q: int = 3) -> Column:
     x, y = qgrams(a["m"], q), qgrams(b["m"], q)
     common = F.size(F.array_intersect(x, y))
     return common / (F.size(x) + F.size(y) - common)
-
-
-@dataclass(frozen=True)
-class Side:
-    """A prepared mention outside Spark, for weights that a chain works out as it needs them."""
-
-    m: str
-    toks: tuple[str, ...]
-    ctx: frozenset
-    kw: tuple[str, ...]
-
-
-def py_text_similarity(a: Side, b: Side, q: int = 3) -> float:
-    from erfocus.functions.strings import py_qgrams
-
-    x, y = py_qgrams(a.m, q), py_qgrams(b.m, q)
-    common = len(x & y)
-    return common / (len(x) + len(y) - common)
-
-
-def py_holds(name: str, a: Side, b: Side) -> bool:
-    s, t = set(a.toks), set(b.toks)
-    if name == "f01":
-        return a.m == b.m
-    if name == "f02":
-        return a.m[:1] == b.m[:1]
-    if name == "f03":
-        return a.m[1:2] == b.m[1:2] != ""
-    if name == "f04":
-        return a.m[2:3] == b.m[2:3]
-    if name == "f05":
-        return a.m in b.m or b.m in a.m
-    if name == "f06":
-        return len(a.m) == len(b.m)
-    if name == "f07":
-        return bool(a.toks and b.toks) and a.toks[0] == b.toks[0]
-    if name == "f09":
-        return bool(s & t)
-    if name == "f10":
-        return bool(s & b.ctx or t & a.ctx)
-    if name == "f12":
-        return any(k in a.m for k in b.kw) or any(k in b.m for k in a.kw)
-    if name == "f13":
-        return bool(s - t) and bool(t - s)
-    if name == "f14":
-        return bool(a.ctx & b.ctx)
-    raise KeyError(name)
-
-
-def py_total(specs: Iterable[FeatureSpec], a: Side, b: Side, similarity: float) -> int:
-    """The weight that total() gives the pair."""
-    out = 0
-    for s in specs:
-        if s.klass == "entity":
-            continue
-        if s.name == "f08":
-            r = round(similarity, 9)
-            out += next((w for least, w in TIERS if r >= least), LOWEST_TIER)
-        elif s.name == "f11":
-            if a.kw or b.kw:
-                out += s.plus if set(b.kw) & a.ctx or set(a.kw) & b.ctx else s.minus
-        elif s.name == "f13":
-            out += s.minus if py_holds("f13", a, b) else s.plus
-        else:
-            out += s.plus if py_holds(s.name, a, b) else s.minus
-    return out

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from erfocus.functions.strings import normal, qgrams
 from erfocus.operators.components import connected_components
-from erfocus.operators.durable import sized
+from erfocus.operators.durable import cut, held
 
 
 def string_table(mentions: DataFrame) -> DataFrame:
@@ -46,16 +46,24 @@ def probes(queries: DataFrame, grams: DataFrame | None, q: int = 3, min_shared:
     rows = rows.select("query_id", F.least(F.lit(min_shared), F.size("grams")).alias("need"), F.size("grams").alias("g"), F.explode("grams").alias("gram"))
     if grams is None:
         return rows.select("query_id", "gram", "need")
-    counted = grams.join(F.broadcast(rows.select("gram").distinct()), "gram").select("gram", "n_strings")
+    counted = grams.join(held(rows.select("gram").distinct()), "gram").select("gram", "n_strings")
     ranked = rows.join(counted, "gram", "left").withColumn("k", F.row_number().over(Window.partitionBy("query_id").orderBy(F.coalesce("n_strings", F.lit(0)), "gram")))
     return ranked.where("k <= g - need + 1").select("query_id", "gram", "need")
 
 
+#: Queries of a call whose grams are broadcast: some tens of grams each.
+MAX_BROADCAST_QUERIES = 20_000
+
+
 def candidates(queries: DataFrame, index: DataFrame, grams: DataFrame | None = None, q: int = 3, min_shared: int = 3) -> DataFrame:
-    """(query_id, string, shared, sim) of strings that share at least min_shared grams (all, if a query has fewer)."""
-    probe = sized(probes(queries, grams, q, min_shared).select("query_id", "gram", "need"))
-    found = index.join(probe, "gram").select("query_id", "string", "need").distinct()
-    own = sized(queries.select("query_id", qgrams(F.col("mention"), q).alias("own")))
+    """(query_id, string, shared, sim) of strings that share at least min_shared grams (all, if a query has fewer).
+
+    Queries are worked out once and counted where they lie; the index is read once.
+    """
+    asked = cut(queries.select("query_id", "mention"))
+    small = F.broadcast if asked.limit(MAX_BROADCAST_QUERIES + 1).count() <= MAX_BROADCAST_QUERIES else lambda df: df
+    found = index.join(small(probes(asked, grams, q, min_shared)), "gram").select("query_id", "string", "need").distinct()
+    own = small(asked.select("query_id", qgrams(F.col("mention"), q).alias("own")))
     shared = F.size(F.array_intersect(qgrams(F.col("string"), q), F.col("own")))
     verified = found.join(own, "query_id").withColumn("shared", shared).where("shared >= need")
     sim = F.col("shared") / (F.size(qgrams(F.col("string"), q)) + F.size("own") - F.col("shared"))
@@ -66,7 +74,8 @@ def canopy(mentions: DataFrame, queries: DataFrame, index: str | None = None, q:
     """(query_id, mention_id, shared, sim) of each query's canopy, all queries in one plan.
 
     With a persisted index only the buckets of the rarest query grams are read; without one the distinct
-    strings are matched directly.  Mentions are joined last, by their strings.
+    strings are matched directly.  The strings found are written down and counted; mentions are joined last, by
+    their strings, in the one pass over them that the result takes.
     """
     spark = mentions.sparkSession
     if index:
@@ -74,7 +83,7 @@ def canopy(mentions: DataFrame, queries: DataFrame, index: str | None = None, q:
     else:
         strings = candidates(queries, postings(string_table(mentions), q), None, q, min_shared)
     keyed = mentions.select("mention_id", normal(F.col("mention")).alias("string"))
-    return keyed.join(sized(strings), "string").select("query_id", "mention_id", "shared", "sim")
+    return keyed.join(held(strings), "string").select("query_id", "mention_id", "shared", "sim")
 
 
 def top_canopy(found: DataFrame, size: int) -> DataFrame:
@@ -96,8 +105,6 @@ def gold_selectivity(mentions: DataFrame, queries: DataFrame) -> DataFrame:
 
 def ranked(df: DataFrame, *order, name: str = "rn") -> DataFrame:
     """A row number over the whole table without bringing it to one task: ranks in ranges, then ranges' offsets."""
-    from erfocus.operators.durable import cut
-
     ranges = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     parts = cut(df.repartitionByRange(ranges, *order).withColumn("__p", F.spark_partition_id()))
     local = parts.withColumn("__k", F.row_number().over(Window.partitionBy("__p").orderBy(*order)))
@@ -144,7 +151,8 @@ def by_influence(scores: DataFrame, least: float | None = None, top: int | None
 def merge(found: DataFrame) -> DataFrame:
     """(query_id, component): queries whose canopies overlap, directly or through others, are of one model.
 
-    Links go through mentions by each mention's smallest query, so no mention's queries are paired.
+    Links go through mentions by each mention's smallest query, so no mention's queries are paired.  found is read
+    several times: it should lie written down.
     """
     least = found.groupBy("mention_id").agg(F.min("query_id").alias("least"))
     links = found.join(least, "mention_id").where("query_id <> least").select(F.col("query_id").alias("a"), F.col("least").alias("b")).distinct()

@@ -37,11 +37,13 @@ def tfidf(terms: DataFrame, n_docs: int | None = None) -> DataFrame:
 
 
 def cosine(vectors: DataFrame, pairs: DataFrame, a: str = "query_id", b: str = "mention_id") -> DataFrame:
-    """(a, b, cos) of pairs of mention ids; pairs without a common term have 0."""
+    """(a, b, cos) of pairs of mention ids; pairs without a common term have 0, those with a side without a vector null."""
     left = vectors.select(F.col("mention_id").alias(a), "term", F.col("w").alias("wa"))
     right = vectors.select(F.col("mention_id").alias(b), "term", F.col("w").alias("wb"))
     dots = pairs.select(a, b).join(left, a).join(right, [b, "term"]).groupBy(a, b).agg(F.sum(F.col("wa") * F.col("wb")).alias("cos"))
-    return pairs.select(a, b).join(dots, [a, b], "left").select(a, b, F.coalesce("cos", F.lit(0.0)).alias("cos"))
+    has = vectors.select("mention_id").distinct()
+    rows = pairs.select(a, b).join(dots, [a, b], "left").join(has.select(F.col("mention_id").alias(a), F.lit(True).alias("__a")), a, "left").join(has.select(F.col("mention_id").alias(b), F.lit(True).alias("__b")), b, "left")
+    return rows.select(a, b, F.when(F.col("__a") & F.col("__b"), F.coalesce("cos", F.lit(0.0))).alias("cos"))
 
 
 def apply(queries: DataFrame, level: str, keywords: tuple[str, ...] = ()) -> DataFrame:

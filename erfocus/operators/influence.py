@@ -8,7 +8,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from erfocus.functions import features
-from erfocus.operators.durable import sized
+from erfocus.operators.durable import held
 
 DECAY_P = 0.05
 STEPS = 100
@@ -18,7 +18,7 @@ def score(canopy: DataFrame, mentions: DataFrame, queries: DataFrame, specs: Ite
     """(query_id, mention_id, infl): the log-linear score of each canopy mention with its query.
 
     similarity: (query_id, mention_id, cos) for the tiers; without it the strings' q-gram Jaccard is used.
-    Contexts are fetched for canopy members only.
+    Contexts are fetched for canopy members only; queries are worked out once.
     """
     m = features.prepare(mentions.select("mention_id", "mention", "context"), level, "a").select("mention_id", "a")
     q = features.prepare(queries.select("query_id", "mention", "context"), level, "b").select("query_id", "b")
@@ -28,7 +28,7 @@ def score(canopy: DataFrame, mentions: DataFrame, queries: DataFrame, specs: Ite
         s = F.col("__s")
     else:
         s = features.text_similarity(F.col("a"), F.col("b"))
-    rows = m.join(pairs, "mention_id").join(sized(q), "query_id")
+    rows = m.join(pairs, "mention_id").join(held(q), "query_id")
     return rows.select("query_id", "mention_id", features.total(specs, F.col("a"), F.col("b"), s).alias("infl"))
 
 

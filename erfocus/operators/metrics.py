@@ -10,6 +10,8 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from erfocus.operators.durable import cut, sized
+
 
 def _f1(p: Column, r: Column) -> Column:
     return F.when(p + r > 0, 2 * p * r / (p + r)).otherwise(0.0)
@@ -23,12 +25,13 @@ def query_prf(answers: DataFrame, gold: DataFrame, queries: DataFrame, n_runs: i
     answer has precision 0, one without relevant mentions recall 0.  With n_runs, runs 0 to n_runs - 1 count
     also where they answer nothing.
     """
-    q = queries.select("query_id", F.col("mention_id").alias("own"), F.col("gold").alias("qgold"))
-    relevant = gold.join(F.broadcast(q), F.col("gold") == F.col("qgold")).where("mention_id <> own").groupBy("query_id").agg(F.count(F.lit(1)).alias("n_gold"))
-    judged = answers.join(gold, "mention_id").join(F.broadcast(q), "query_id").where("mention_id <> own")
+    q = cut(queries.select("query_id", F.col("mention_id").alias("own"), F.col("gold").alias("qgold")))
+    few = sized(q)
+    relevant = gold.join(few, F.col("gold") == F.col("qgold")).where("mention_id <> own").groupBy("query_id").agg(F.count(F.lit(1)).alias("n_gold"))
+    judged = answers.join(gold, "mention_id").join(few, "query_id").where("mention_id <> own")
     found = judged.groupBy("run_id", "query_id").agg(F.count_if(F.col("gold") == F.col("qgold")).alias("tp"), F.count(F.lit(1)).alias("n_answer"))
     runs = answers.select("run_id").distinct() if n_runs is None else answers.sparkSession.range(n_runs).select(F.col("id").cast("int").alias("run_id"))
-    every = F.broadcast(q.select("query_id")).crossJoin(runs)
+    every = q.select("query_id").crossJoin(F.broadcast(runs))
     rows = every.join(found, ["run_id", "query_id"], "left").join(relevant, "query_id", "left")
     rows = rows.select("run_id", "query_id", *[F.coalesce(c, F.lit(0)).cast("long").alias(c) for c in ("tp", "n_answer", "n_gold")])
     p = F.when(F.col("n_answer") > 0, F.col("tp") / F.col("n_answer")).otherwise(0.0)

@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterable
-from dataclasses import asdict, dataclass
+import pickle
+import zlib
+from collections.abc import Callable, Iterable
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pandas as pd
@@ -13,10 +15,12 @@ from pyspark.sql import functions as F
 from erfocus.functions import features
 from erfocus.functions.rand import py_h32
 from erfocus.operators.alias import vose
-from erfocus.operators.kernel import Biased, Budget, Chain, Dense, EntityFeatures, OnDemand, Query
+from erfocus.operators.durable import held
+from erfocus.operators.kernel import Biased, Budget, Chain, EntityFeatures, Query
+from erfocus.operators.pairs import PairModel, Sides
 from erfocus.operators.schedule import QUANTUM, Turns
 
-PACKED = "component long, ids array<long>, docs array<long>, edges binary, sides array<struct<m:string,toks:array<string>,ctx:array<string>,kw:array<string>>>, queries array<struct<query_id:long,at:int,infl:array<double>,sel:int>>"
+PACKED = "component long, n int, model binary"
 RESULT = "component long, run_id int, mention_id long, entity_id long, step int, query_id long, kind string, m long, e_from long, e_to long, delta long, accepted boolean, seconds double"
 MAX_CANOPY = 100_000
 WHOLE = 1_000_000
@@ -24,7 +28,14 @@ WHOLE = 1_000_000
 
 @dataclass(frozen=True)
 class Settings:
-    """What a chain is run with; see the kernel for the samplers."""
+    """What a chain is run with; see the kernel for the samplers.  'auto' sheds from one entity of all (expel) where most of
+    a canopy is of positive influence on its query, and gathers (influence_to_query) elsewhere, component by component.
+
+    until: a function of the last `every` rows of the trace that ends the chain when it is true (see converge); idle:
+    ends it after so many proposals in a row without an accepted one.  cosines: whether similarity is of contexts.
+    init: singletons, single, random or previous (what pack() was given); by default as the sampler wants it.
+    matching: the weight of each pair of equal strings of an entity, with entity_wide.
+    """
 
     sampler: str = "influence_to_query"
     tau: float = 0.9
@@ -38,68 +49,85 @@ class Settings:
     draw: str = "alias"
     r: int = 1
     p: float = 0.05
+    scaled: bool = True
     unit: str = "rank"
     idle: int | None = None
+    until: Callable[[list], bool] | None = None
+    every: int = 100
     entity_wide: bool = False
-    similar_from: float = 0.5
+    matching: int = 0
+    cosines: bool = True
+    hold: bool | None = None
+
+
+@dataclass
+class Packed:
+    """A component: its mentions, its queries as (query_id, own place, places of its canopy), labels to start from."""
 
+    sides: Sides
+    queries: list[tuple[int, int, np.ndarray]]
+    start: np.ndarray | None
 
-def pack(canopy: DataFrame, mentions: DataFrame, edges: DataFrame | None, influence: DataFrame, queries: DataFrame, components: DataFrame | None = None, level: str = "document", max_canopy: int = MAX_CANOPY) -> DataFrame:
-    """A row per component of canopies: members, edges (if given), sides (if not), and each query's influence.
 
-    canopy: (query_id, mention_id), queries' own mentions among them; edges: (component, i, j, w).  A component
-    of over max_canopy members is refused: it is for the bulk-synchronous rounds.
+def pack(canopy: DataFrame, mentions: DataFrame, queries: DataFrame, components: DataFrame | None = None, level: str = "document", max_canopy: int = MAX_CANOPY, start: DataFrame | None = None) -> DataFrame:
+    """A row per component of canopies: mentions with strings and contexts, and which of them each query's canopy has.
+
+    canopy: (query_id, mention_id), queries' own mentions among them; components: (query_id, component), or each query
+    for itself; start: (mention_id, entity_id) of an earlier result.  Weights and influence are worked out from this by
+    the chain, so that no pair of mentions is shipped.  A component of over max_canopy members is refused: it is for
+    the bulk-synchronous rounds.
     """
-    owner = components if components is not None else canopy.select("query_id").distinct().select("query_id", F.col("query_id").alias("component"))
-    placed = canopy.select("query_id", "mention_id").join(F.broadcast(owner), "query_id")
-    members = placed.select("component", "mention_id").distinct()
-    own = mentions.select("mention_id", "doc_id", "mention", "context")
-    rows = members.join(own, "mention_id")
-    if edges is None:
-        rows = features.prepare(rows, level, "side")
-    else:
-        rows = rows.withColumn("side", F.lit(None).cast("struct<m:string,toks:array<string>,ctx:array<string>,kw:array<string>>"))
-    rows = rows.select("component", "mention_id", "doc_id", "side")
-    per_query = influence.join(F.broadcast(owner), "query_id").groupBy("component", "query_id").agg(F.collect_list(F.struct("mention_id", F.col("infl").cast("double").alias("infl"))).alias("infl"), F.count(F.lit(1)).cast("int").alias("sel"))
-    per_query = per_query.join(queries.select("query_id", F.col("mention_id").alias("own")), "query_id")
-    q = per_query.groupBy("component").agg(F.collect_list(F.struct("query_id", "own", "infl", "sel")).alias("qs"))
-    m = rows.groupBy("component").agg(F.array_sort(F.collect_list(F.struct("mention_id", "doc_id", "side"))).alias("ms"))
-    joined = m.join(q, "component")
-    if edges is not None:
-        e = edges.groupBy("component").agg(F.collect_list(F.struct("i", "j", "w")).alias("es"))
-        joined = joined.join(e, "component", "left")
+    own = queries.select("query_id", F.col("mention_id").alias("own"))
+    owner = own if components is None else own.join(components, "query_id")
+    owner = owner.withColumn("component", F.col("query_id")) if components is None else owner
+    members = canopy.select("query_id", "mention_id").join(held(owner.select("query_id", "own", "component")), "query_id")
+    members = members.groupBy("component", "mention_id").agg(F.collect_set(F.struct("query_id", (F.col("own") == F.col("mention_id")).alias("own"))).alias("of"))
+    rows = features.prepare(mentions.select("mention_id", "doc_id", "mention", "context"), level, "side").join(members, "mention_id")
+    if start is not None:
+        rows = rows.join(start.select("mention_id", F.col("entity_id").alias("label")), "mention_id", "left")
     else:
-        joined = joined.withColumn("es", F.lit(None).cast("array<struct<i:long,j:long,w:long>>"))
-    dense = edges is not None
+        rows = rows.withColumn("label", F.lit(None).cast("long"))
+    rows = rows.select("component", "mention_id", F.coalesce("doc_id", "mention_id").alias("doc_id"), F.coalesce("side.m", F.lit("")).alias("m"), "side.toks", "side.ctx", "side.kw", "of", F.coalesce("label", "mention_id").alias("label"))
+    warm = start is not None
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values("mention_id", ignore_index=True)
+        if len(pdf) > max_canopy:
+            raise ValueError(f"component {pdf['component'].iloc[0]} has {len(pdf)} mentions; resolve it by rounds")
+        found: dict[int, list] = {}
+        for i, of in enumerate(pdf["of"]):
+            for x in of:
+                q = found.setdefault(int(x["query_id"]), [None, []])
+                q[1].append(i)
+                if x["own"]:
+                    q[0] = i
+        sides = Sides.of(pdf["mention_id"], pdf["doc_id"], pdf["m"], pdf["toks"], pdf["ctx"], pdf["kw"])
+        whole = Packed(sides, [(k, at, np.array(places)) for k, (at, places) in sorted(found.items())], pdf["label"].to_numpy() if warm else None)
+        return pd.DataFrame({"component": [pdf["component"].iloc[0]], "n": [len(pdf)], "model": [zlib.compress(pickle.dumps(whole, protocol=5), 1)]})
+
+    return rows.groupBy("component").applyInPandas(run, PACKED)
+
+
+def unpacked(blob: bytes) -> Packed:
+    return pickle.loads(zlib.decompress(blob))
+
+
+def edges(packed: DataFrame, specs: Iterable[features.FeatureSpec] = features.PAIRWISE, cosines: bool = True) -> DataFrame:
+    """(component, i, j, w) with i < j: the weights that chains over the packed components use, written out.
+
+    As many rows as half the squares of the components' sizes: for small ones, and for checks.
+    """
+    specs = tuple(specs)
 
     def run(batches):
         for pdf in batches:
-            out = []
-            for component, ms, qs, es in zip(pdf["component"], pdf["ms"], pdf["qs"], pdf["es"], strict=True):
-                if len(ms) > max_canopy:
-                    raise ValueError(f"component {component} has {len(ms)} mentions; resolve it by rounds")
-                ids = np.array([x["mention_id"] for x in ms], dtype=np.int64)
-                blob, sides = None, None
-                if dense:
-                    w = np.zeros((len(ids), len(ids)), dtype=np.int32)
-                    if es is not None and len(es):
-                        i = np.searchsorted(ids, [x["i"] for x in es])
-                        j = np.searchsorted(ids, [x["j"] for x in es])
-                        v = [x["w"] for x in es]
-                        w[i, j] = v
-                        w[j, i] = v
-                    blob = w.tobytes()
-                else:
-                    sides = [x["side"] for x in ms]
-                found = []
-                for x in sorted(qs, key=lambda x: x["query_id"]):
-                    infl = np.full(len(ids), -np.inf)
-                    infl[np.searchsorted(ids, [y["mention_id"] for y in x["infl"]])] = [y["infl"] for y in x["infl"]]
-                    found.append({"query_id": x["query_id"], "at": int(np.searchsorted(ids, x["own"])), "infl": infl.tolist(), "sel": x["sel"]})
-                out.append((component, ids.tolist(), [x["doc_id"] for x in ms], blob, sides, found))
-            yield pd.DataFrame(out, columns=["component", "ids", "docs", "edges", "sides", "queries"])
-
-    return joined.select("component", "ms", "qs", "es").mapInPandas(run, PACKED)
+            for component, blob in zip(pdf["component"], pdf["model"], strict=True):
+                sides = unpacked(blob).sides
+                model = PairModel(specs, sides, cosines, 0)
+                for i in range(len(sides) - 1):
+                    yield pd.DataFrame({"component": component, "i": sides.ids[i], "j": sides.ids[i + 1 :], "w": model.row(i)[i + 1 :].astype(np.int64)})
+
+    return packed.select("component", "model").mapInPandas(run, "component long, i long, j long, w long")
 
 
 def decay_weights(infl: np.ndarray, s: Settings) -> np.ndarray:
@@ -110,7 +138,7 @@ def decay_weights(infl: np.ndarray, s: Settings) -> np.ndarray:
     if s.unit == "rank":
         order = np.argsort(np.where(inside, -infl, np.inf), kind="stable")
         pos[order] = np.arange(len(infl))
-        p = min(s.p, 5.0 / max(n, 1))
+        p = min(s.p, 5.0 / max(n, 1)) if s.scaled else s.p
     else:
         top, low = infl[inside].max(), infl[inside].min()
         pos[inside] = 0 if top == low else np.floor(100 * (top - infl[inside]) / (top - low))
@@ -136,28 +164,35 @@ def biased(weights: np.ndarray, draw: str) -> Biased:
     return Biased(prob, alias)
 
 
-def _chain(ids, docs, edges, sides, queries, run_id: int, s: Settings, specs) -> tuple[Chain, list[dict]]:
-    n = len(ids)
-    ids = np.asarray(ids, dtype=np.int64)
-    lookup = None
-    if edges is not None:
-        w = np.frombuffer(edges, dtype=np.int32).reshape(n, n)
-        weights = Dense(w)
-        similar = lambda i, j: w[i, j] > 0
-    else:
-        lookup = [features.Side(x["m"], tuple(x["toks"]), frozenset(x["ctx"]), tuple(x["kw"])) for x in sides]
-        weights = OnDemand(lambda i, j: features.py_total(specs, lookup[i], lookup[j], features.py_text_similarity(lookup[i], lookup[j])))
-        similar = lambda i, j: weights.one(i, j) > 0
-    nodes = []
-    for q in queries:
-        infl = np.asarray(q["infl"], dtype=float)
-        inverse = s.sampler in ("expel", "expel_both")
-        nodes.append(Query(int(q["query_id"]), int(q["at"]), None if inverse else biased(decay_weights(infl, s), s.draw), biased(inverse_weights(infl), s.draw) if inverse else None))
-    wide = EntityFeatures(np.asarray(docs), similar) if s.entity_wide else None
+def _chain(whole: Packed, run_id: int, s: Settings, specs) -> Chain:
+    sides = whole.sides
+    model = PairModel(specs, sides, s.cosines)
+    asked = []
+    for query_id, at, places in whole.queries:
+        infl = np.full(len(sides), -np.inf)
+        infl[places] = model.row(at)[places]
+        infl[at] = model.own_weight(at)
+        asked.append((query_id, at, infl))
+    if s.sampler == "auto":
+        s = replace(s, sampler="expel" if np.mean([(x[np.isfinite(x)] > 0).mean() for _, _, x in asked]) > 0.5 else "influence_to_query")
+    inverse, nodes = s.sampler in ("expel", "expel_both"), []
+    for query_id, at, infl in asked:
+        nodes.append(Query(query_id, at, None if inverse else biased(decay_weights(infl, s), s.draw), biased(inverse_weights(infl), s.draw) if inverse else None))
+    wide = None
+    if s.entity_wide:
+        by = {x.name: (x.plus, x.minus) for x in specs if x.klass == "entity"}
+        off = (0, 0)
+        wide = EntityFeatures(np.unique(sides.docs, return_inverse=True)[1], lambda i: model.row(i) > 0, by.get("f15", off), by.get("f16", off), sides.sid, s.matching)
+    start = None
+    if s.init == "random":
+        start = np.array([py_h32(f"init|{s.seed}|{i}") % 8 for i in sides.ids.tolist()])
+    elif s.init == "previous":
+        start = whole.start
+        if start is None:
+            raise ValueError("the previous state is needed: pack it")
     single = None if s.init is None else s.init == "single"
-    start = np.array([py_h32(f"init|{s.seed}|{i}") % 8 for i in ids.tolist()]) if s.init == "random" else None
     # Metropolis-Hastings takes no move whose reverse is never proposed: without new entities none could be merged.
-    return Chain(ids, weights, nodes, s.sampler, s.tau, s.seed, run_id, s.accept, s.temperature, single, start, wide, s.accept == "mh"), queries
+    return Chain(sides.ids, model, nodes, s.sampler, s.tau, s.seed, run_id, s.accept, s.temperature, single, start, wide, s.accept == "mh", s.hold)
 
 
 def run(packed: DataFrame, settings: Settings = Settings(), runs: int = 1, specs: Iterable[features.FeatureSpec] = features.PAIRWISE, first_run: int = 0) -> tuple[DataFrame, DataFrame]:
@@ -183,7 +218,7 @@ def seconds(both: DataFrame) -> DataFrame:
 
 
 def chains(packed: DataFrame, settings: Settings = Settings(), runs: int = 1, specs: Iterable[features.FeatureSpec] = features.PAIRWISE, first_run: int = 0) -> DataFrame:
-    specs, s = tuple(specs), Settings(**asdict(settings))
+    specs, s = tuple(specs), settings
     rows = packed.withColumn("run_id", F.explode(F.sequence(F.lit(first_run), F.lit(first_run + runs - 1))))
     parallel = packed.sparkSession.sparkContext.defaultParallelism
     rows = rows.repartition(max(parallel, runs), "component", "run_id")
@@ -194,9 +229,10 @@ def chains(packed: DataFrame, settings: Settings = Settings(), runs: int = 1, sp
         for pdf in batches:
             for r in pdf.itertuples(index=False):
                 began = time.perf_counter()
-                chain, queries = _chain(r.ids, r.docs, r.edges, r.sides, list(r.queries), int(r.run_id), s, specs)
-                turns = Turns(chain.queries, s.policy, s.samples, s.quantum, {int(q["query_id"]): int(q["sel"]) for q in queries})
-                Budget(s.samples, idle=s.idle).spend(chain, turns)
+                whole = unpacked(r.model)
+                chain = _chain(whole, int(r.run_id), s, specs)
+                turns = Turns(chain.queries, s.policy, s.samples, s.quantum, {q: len(places) for q, _, places in whole.queries})
+                Budget(s.samples, s.until, s.every, s.idle).spend(chain, turns)
                 took = time.perf_counter() - began
                 yield _frame(int(r.component), chain, took)
 
@@ -237,6 +273,6 @@ def answers(state: DataFrame, queries: DataFrame, components: DataFrame | None =
         q = q.join(components, "query_id")
     else:
         q = q.withColumn("component", F.col("query_id"))
-    at = state.withColumnRenamed("mention_id", "own").join(F.broadcast(q), ["component", "own"]).select("component", "run_id", "query_id", "own", "entity_id")
-    return state.join(F.broadcast(at), ["component", "run_id", "entity_id"]).where("mention_id <> own").select("run_id", "query_id", "mention_id")
+    at = held(state.withColumnRenamed("mention_id", "own").join(held(q), ["component", "own"]).select("component", "run_id", "query_id", "own", "entity_id"))
+    return state.join(at, ["component", "run_id", "entity_id"]).where("mention_id <> own").select("run_id", "query_id", "mention_id")
 

@@ -4,20 +4,17 @@ from __future__ import annotations
 
 from collections.abc import Iterable
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from erfocus.functions import features
 
-#: Edges of larger canopies are worked out by the kernel when it needs them.
-MAX_DENSE = 2_000
-
-
 def pair_edges(canopy: DataFrame, mentions: DataFrame, specs: Iterable[features.FeatureSpec] = features.PAIRWISE, cosines: DataFrame | None = None, level: str = "document", key: str = "query_id") -> DataFrame:
     """(key, i, j, w) with i < j of each canopy's pairs: a theta join inside a canopy, never over the table.
 
-    Canopies are to be of at most MAX_DENSE mentions.  cosines: (i, j, cos) for the tiers; without them the
-    strings' q-gram Jaccard is used.
+    As many rows as half the squares of the canopies' sizes: for small ones, exact inference and checks; chains
+    work rows of weights out as they need them (pairs.PairModel).  cosines: (i, j, cos) for the tiers; without
+    them the strings' q-gram Jaccard is used.
     """
     own = features.prepare(mentions.select("mention_id", "mention", "context"), level, "s").select("mention_id", "s")
     rows = canopy.select(key, "mention_id").join(own, "mention_id")
@@ -32,15 +29,6 @@ def pair_edges(canopy: DataFrame, mentions: DataFrame, specs: Iterable[features.
     return pairs.select(key, "i", "j", features.total(specs, F.col("a"), F.col("b"), s).alias("w"))
 
 
-def pair_cosines(canopy: DataFrame, vectors: DataFrame, key: str = "query_id") -> DataFrame:
-    """(i, j, cos) of pairs of a canopy that share a term."""
-    rows = canopy.select(key, "mention_id").join(vectors, "mention_id")
-    a = rows.select(key, "term", F.col("mention_id").alias("i"), F.col("w").alias("wi"))
-    b = rows.select(key, "term", F.col("mention_id").alias("j"), F.col("w").alias("wj"))
-    dots = a.join(b, [key, "term"]).where("i < j")
-    return dots.groupBy(key, "i", "j").agg(F.sum(F.col("wi") * F.col("wj")).alias("cos")).groupBy("i", "j").agg(F.max("cos").alias("cos"))
-
-
 def config_score(state: DataFrame, edges: DataFrame) -> DataFrame:
     """(run_id, score): the sum of edges inside entities; zero for a run without any."""
     a = state.select("run_id", F.col("mention_id").alias("i"), F.col("entity_id").alias("ei"))
@@ -91,3 +79,35 @@ def move_delta(state: DataFrame, edges: DataFrame, moves: DataFrame) -> DataFram
     sums = reached.groupBy("run_id", "m", "entity_to").agg(F.sum(change).alias("delta"))
     out = asked.join(sums, ["run_id", "m", "entity_to"], "left")
     return out.select("run_id", F.col("m").alias("mention_id"), "entity_from", "entity_to", F.when(F.col("entity_from") == F.col("entity_to"), 0).otherwise(F.coalesce("delta", F.lit(0))).cast("long").alias("delta"))
+
+
+def sides(mentions: DataFrame, level: str = "document", vectors: DataFrame | None = None) -> DataFrame:
+    """(mention_id, s, v): prepared mentions, with their context vector as a map if vectors (mention_id, term, w) are given."""
+    rows = features.prepare(mentions.select("mention_id", "mention", "context"), level, "s").select("mention_id", "s")
+    if vectors is None:
+        return rows.withColumn("v", F.lit(None).cast("map<string,double>"))
+    maps = vectors.groupBy("mention_id").agg(F.map_from_entries(F.array_sort(F.collect_list(F.struct("term", "w")))).alias("v"))
+    return rows.join(maps, "mention_id", "left")
+
+
+def _cosine(a: Column, b: Column) -> Column:
+    dot = F.aggregate(F.map_entries(a), F.lit(0.0), lambda acc, e: acc + e["value"] * F.coalesce(F.try_element_at(b, e["key"]), F.lit(0.0)))
+    return F.when(a.isNotNull() & b.isNotNull(), dot)
+
+
+def move_delta_on_demand(state: DataFrame, side: DataFrame, moves: DataFrame, specs: Iterable[features.FeatureSpec] = features.PAIRWISE, cosines: bool = False) -> DataFrame:
+    """What move_delta() gives, with the weights of only those pairs that the moves meet, worked out from sides().
+
+    A pair for each member of the two entities of each move; nothing of the model is stored.
+    """
+    own = state.select("run_id", "mention_id", F.col("entity_id").alias("entity_from"))
+    asked = moves.select("run_id", "mention_id", "entity_to").join(own, ["run_id", "mention_id"])
+    asked = asked.join(side.select("mention_id", F.col("s").alias("a"), F.col("v").alias("va")), "mention_id")
+    ends = asked.withColumn("end", F.explode(F.array_distinct(F.array("entity_from", "entity_to"))))
+    other = state.select("run_id", F.col("mention_id").alias("x"), F.col("entity_id").alias("end"))
+    met = ends.join(other, ["run_id", "end"]).where("x <> mention_id").join(side.select(F.col("mention_id").alias("x"), F.col("s").alias("b"), F.col("v").alias("vb")), "x")
+    similar = _cosine(F.col("va"), F.col("vb")) if cosines else features.text_similarity(F.col("a"), F.col("b"))
+    w = features.total(specs, F.col("a"), F.col("b"), similar)
+    sums = met.where("entity_from <> entity_to").groupBy("run_id", "mention_id", "entity_to").agg(F.sum(F.when(F.col("end") == F.col("entity_to"), w).otherwise(-w)).alias("delta"))
+    out = asked.select("run_id", "mention_id", "entity_from", "entity_to").join(sums, ["run_id", "mention_id", "entity_to"], "left")
+    return out.select("run_id", "mention_id", "entity_from", "entity_to", F.coalesce("delta", F.lit(0)).cast("long").alias("delta"))

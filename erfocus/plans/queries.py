@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import cached_property
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -13,9 +14,9 @@ from erfocus.functions.strings import normal
 from erfocus.operators import alias, baselines, blocking, context, converge, exact, extract, influence, metrics, parallel, samplers, schedule, score, state, train
 from erfocus.operators.durable import cut
 from erfocus.plans import session, workloads
-from erfocus.plans.oracles import EDGE_TOP, STEPS, TOP, WATCH
+from erfocus.plans.oracles import BSP_ROUNDS, BSP_WORKERS, LARGE_SHARED, LARGE_STEPS, RESOLVE_STEPS, SELECT_STEPS, STEPS, WATCH
 from erfocus.sources import fixtures
-from erfocus.sources.schema import as_queries
+from erfocus.sources.schema import QueryNode, as_queries
 from erfocus.streaming import growth
 
 TWO = features.TWO_WORD_NAMES
@@ -26,23 +27,30 @@ def r9(c: str):
 
 
 class Part:
-    """Part mentions with the watchlist of the smallest ids."""
+    """Part mentions with a watchlist: the first plain mention of some names, in hash order."""
 
     def __init__(self, spark: SparkSession, sf_dir: str):
         self.spark = spark
         self.mentions = fixtures.part_mentions(spark, sf_dir)
-        self.watch = as_queries(self.mentions.where(F.col("mention_id") < WATCH))
-        self.one = self.watch.where("query_id = 0")
         self.gold = self.mentions.select("mention_id", "gold")
 
+    @cached_property
+    def watch(self) -> DataFrame:
+        plain = self.mentions.where(F.lower("mention") == F.col("gold")).groupBy("gold").agg(F.min("mention_id").alias("mention_id"))
+        picked = plain.orderBy(h32(F.concat(F.lit("name|"), F.col("gold"))), "gold").limit(WATCH).select("mention_id")
+        return cut(as_queries(self.mentions.join(F.broadcast(picked), "mention_id")).select("query_id", "mention_id", "doc_id", "startpos", "mention", "context", "gold"))
+
+    @cached_property
+    def one(self) -> DataFrame:
+        return cut(self.watch.orderBy("query_id").limit(1))
+
     def canopy(self, queries: DataFrame | None = None) -> DataFrame:
         return blocking.canopy(self.mentions, self.watch if queries is None else queries)
 
-    def top(self, k: int, queries: DataFrame | None = None) -> DataFrame:
-        """(query_id, mention_id): each query's own mention and its k - 1 best."""
+    def members(self, queries: DataFrame | None = None) -> DataFrame:
+        """(query_id, mention_id): whole canopies, each query's own mention among them."""
         queries = self.watch if queries is None else queries
-        best = blocking.top_canopy(self.canopy(queries).where("query_id <> mention_id"), k - 1)
-        return best.select("query_id", "mention_id").union(queries.select("query_id", "mention_id"))
+        return cut(self.canopy(queries).select("query_id", "mention_id").union(queries.select("query_id", "mention_id")).distinct())
 
     def scores(self) -> DataFrame:
         return influence.score(self.canopy(), self.mentions, self.watch)
@@ -55,19 +63,17 @@ class Part:
             out = s if out is None else out.unionByName(s)
         return out
 
-    def packed(self, k: int) -> DataFrame:
-        members = cut(self.top(k, self.one))
-        infl = influence.score(members, self.mentions, self.one, TWO, None, "paragraph")
-        edges = score.pair_edges(members, self.mentions, TWO, None, "paragraph").withColumnRenamed("query_id", "component")
-        return samplers.pack(members, self.mentions, edges, infl, self.one, None, "paragraph")
+    def packed(self) -> DataFrame:
+        return cut(samplers.pack(self.members(self.one), self.mentions, self.one, None, "paragraph"))
 
-    def chain(self, sampler: str, k: int = TOP, steps: int = STEPS, runs: int = 1) -> DataFrame:
-        return samplers.chains(self.packed(k), samplers.Settings(sampler=sampler, samples=steps, draw="cdf"), runs, TWO)
+    def chain(self, sampler: str, steps: int = STEPS, runs: int = 1, **changes) -> DataFrame:
+        settings = samplers.Settings(**{"sampler": sampler, "samples": steps, "draw": "cdf", "cosines": False} | changes)
+        return samplers.chains(self.packed(), settings, runs, TWO)
 
 
-def _chain(sampler: str) -> Callable:
+def _chain(sampler: str, **changes) -> Callable:
     def query(spark: SparkSession, sf_dir: str) -> DataFrame:
-        trace = samplers.traces(Part(spark, sf_dir).chain(sampler))
+        trace = samplers.traces(Part(spark, sf_dir).chain(sampler, **changes))
         return trace.select("step", "m", "e_from", "e_to", "delta", "accepted")
 
     return query
@@ -132,7 +138,7 @@ def canopy_quality(spark, sf_dir):
 
 
 def merged_components(spark, sf_dir):
-    return blocking.merge(Part(spark, sf_dir).canopy())
+    return blocking.merge(cut(Part(spark, sf_dir).canopy().select("query_id", "mention_id")))
 
 
 def term_stats(spark, sf_dir):
@@ -141,7 +147,7 @@ def term_stats(spark, sf_dir):
 
 def tfidf_cosine(spark, sf_dir):
     p = Part(spark, sf_dir)
-    members = cut(p.canopy(p.one).select("query_id", "mention_id").union(p.one.select("query_id", "mention_id")).distinct())
+    members = p.members(p.one)
     vectors = context.tfidf(context.context_terms(p.mentions.join(members.select("mention_id"), "mention_id", "left_semi")))
     return context.cosine(vectors, members).select("query_id", "mention_id", F.round("cos", 6).alias("cos"))
 
@@ -153,7 +159,7 @@ def pair_features(spark, sf_dir):
 
 def pair_edges(spark, sf_dir):
     p = Part(spark, sf_dir)
-    return score.pair_edges(p.top(EDGE_TOP), p.mentions)
+    return score.pair_edges(p.members(p.one), p.mentions)
 
 
 def influence_scores(spark, sf_dir):
@@ -190,33 +196,34 @@ def alias_presample(spark, sf_dir):
 
 def init_states(spark, sf_dir):
     p = Part(spark, sf_dir)
-    return p.three_states(p.top(EDGE_TOP, p.one)).select("how", "mention_id", "entity_id")
+    return p.three_states(p.members(p.one)).select("how", "mention_id", "entity_id")
 
 
-def _forty(spark, sf_dir):
+def _configured(spark, sf_dir):
+    """Mentions, three states and the weights of one whole canopy."""
     p = Part(spark, sf_dir)
-    members = cut(p.top(EDGE_TOP, p.one))
-    return p, p.three_states(members), score.pair_edges(members, p.mentions).drop("query_id")
+    members = p.members(p.one)
+    return p, cut(p.three_states(members)), cut(score.pair_edges(members, p.mentions).drop("query_id"))
 
 
 def config_score(spark, sf_dir):
-    _, states, edges = _forty(spark, sf_dir)
+    _, states, edges = _configured(spark, sf_dir)
     return score.config_score(states, edges).join(states.select("run_id", "how").distinct(), "run_id").select("how", "score")
 
 
 def entity_score(spark, sf_dir):
-    p, states, edges = _forty(spark, sf_dir)
+    p, states, edges = _configured(spark, sf_dir)
     found = score.entity_score(states, p.mentions, edges.where("w > 0").select("i", "j"))
     return found.join(states.select("run_id", "how").distinct(), "run_id").select("how", "score")
 
 
 def matching_strings(spark, sf_dir):
-    p, states, _ = _forty(spark, sf_dir)
+    p, states, _ = _configured(spark, sf_dir)
     return score.matching_strings(states.where("how = 'random'"), p.mentions).select("entity_a", "entity_b", "n")
 
 
 def move_delta(spark, sf_dir):
-    _, states, edges = _forty(spark, sf_dir)
+    _, states, edges = _configured(spark, sf_dir)
     s = cut(states.where("how = 'random'").drop("how"))
     moves = s.select("run_id", "mention_id").crossJoin(F.broadcast(s.select(F.col("entity_id").alias("entity_to")).distinct()))
     return score.move_delta(s, edges, moves).drop("run_id")
@@ -287,7 +294,7 @@ def query_ratios(spark, sf_dir):
 
 def pairwise_closure(spark, sf_dir):
     p = Part(spark, sf_dir)
-    members = cut(p.top(EDGE_TOP, p.one))
+    members = p.members(p.one)
     return baselines.pairwise(score.pair_edges(members, p.mentions), 60, members).select("mention_id", "entity_id")
 
 
@@ -348,24 +355,40 @@ def bsp_winners(spark, sf_dir):
     return parallel.winners(p, 0).drop("run_id")
 
 
-def bsp_rounds(spark, sf_dir):
-    """Twelve bulk-synchronous rounds for the watchlist over its merged canopies."""
+def _rounds(spark, sf_dir):
+    """Queries, initial state, alias tables and weights of the watchlist's merged canopies."""
     p = Part(spark, sf_dir)
-    members = cut(p.top(EDGE_TOP))
-    infl = influence.score(members, p.mentions, p.watch, TWO, None, "paragraph")
-    tables = cut(alias.build(influence.decay(infl)))
-    one = members.select("mention_id").distinct().withColumn("query_id", F.lit(0).cast("long"))
-    edges = cut(score.pair_edges(one, p.mentions, TWO, None, "paragraph").drop("query_id"))
-    return parallel.bsp(state.init(members), edges, tables, p.watch, 12, per_query=4)
+    members = p.members()
+    tables = cut(alias.build(influence.decay(influence.score(members, p.mentions, p.watch, TWO, None, "paragraph"))))
+    side = cut(score.sides(p.mentions.join(members.select("mention_id").distinct(), "mention_id", "left_semi"), "paragraph"))
+    return p.watch, state.init(members), tables, lambda s, moves: score.move_delta_on_demand(s, side, moves, TWO)
+
+
+def bsp_rounds(spark, sf_dir):
+    """Bulk-synchronous rounds for the watchlist over its merged canopies: random schedule, fall-back, improvements."""
+    watch, start, tables, by_pairs = _rounds(spark, sf_dir)
+    return parallel.bsp(start, by_pairs, tables, watch, BSP_ROUNDS, workers=BSP_WORKERS).select("mention_id", "entity_id")
+
+
+def bsp_proposals(spark, sf_dir):
+    """A round's proposals by a random schedule, before any claim."""
+    watch, start, tables, _ = _rounds(spark, sf_dir)
+    return parallel.propose(start, tables, watch, 0, workers=BSP_WORKERS).drop("run_id")
 
 
 def bsp_merge_round(spark, sf_dir):
-    p = Part(spark, sf_dir)
-    members = cut(p.top(EDGE_TOP))
-    tables = cut(alias.build(influence.decay(influence.score(members, p.mentions, p.watch, TWO, None, "paragraph"))))
-    one = members.select("mention_id").distinct().withColumn("query_id", F.lit(0).cast("long"))
-    edges = cut(score.pair_edges(one, p.mentions, TWO, None, "paragraph").drop("query_id"))
-    return parallel.merge_round(state.init(members), edges, tables, p.watch, 0)
+    watch, start, tables, by_pairs = _rounds(spark, sf_dir)
+    return parallel.merge_round(start, by_pairs, tables, watch, 0, per_query=BSP_WORKERS).select("mention_id", "entity_id")
+
+
+def move_delta_on_demand(spark, sf_dir):
+    """The deltas of move_delta from the pairs that moves meet, with cosines of contexts."""
+    p, states, _ = _configured(spark, sf_dir)
+    inside = p.mentions.join(states.select("mention_id").distinct(), "mention_id", "left_semi")
+    side = cut(score.sides(inside, "document", context.tfidf(context.context_terms(inside))))
+    s = cut(states.where("how = 'random'").drop("how"))
+    moves = s.select("run_id", "mention_id").crossJoin(F.broadcast(s.select(F.col("entity_id").alias("entity_to")).distinct()))
+    return score.move_delta_on_demand(s, side, moves, features.SPECS, True).drop("run_id")
 
 
 def passage_watchlist(spark, sf_dir):
@@ -392,7 +415,8 @@ def _curves(spark, sf_dir):
     p = Part(spark, sf_dir)
     both = cut(p.chain("influence_to_query"))
     start = samplers.states(both).select("component", "mention_id", F.col("mention_id").alias("entity_id"))
-    return metrics.curve(samplers.traces(both), start, p.gold, p.one)
+    inside = p.gold.join(start.select("mention_id"), "mention_id", "left_semi")
+    return metrics.curve(samplers.traces(both), start, inside, p.one)
 
 
 def trace_curve(spark, sf_dir):
@@ -417,60 +441,132 @@ def steady_state(spark, sf_dir):
 
 
 def _resolver(p: Part, **options) -> session.EntityResolution:
-    return session.EntityResolution(p.mentions, TWO, "paragraph", cosines=False, **options)
+    return session.EntityResolution(p.mentions, TWO, "paragraph", **options)
 
 
 def select_entity(spark, sf_dir):
+    """Selection over a whole canopy."""
     p = Part(spark, sf_dir)
-    er = _resolver(p, max_canopy=16, settings=samplers.Settings(samples=150, draw="cdf"))
+    er = _resolver(p, settings=samplers.Settings(samples=SELECT_STEPS, draw="cdf"))
     return er.select_entity(p.one).select("query_id", "mention_id")
 
 
+def select_entity_large(spark, sf_dir):
+    """Selection over a large canopy, by the published features with contexts' cosines: the model is the same at any size."""
+    m = fixtures.line_mentions(spark, sf_dir)
+    plain = m.where(F.lower("mention") == F.col("gold")).groupBy("gold").agg(F.min("mention_id").alias("mention_id"))
+    own = plain.orderBy(h32(F.concat(F.lit("name|"), F.col("gold"))), "gold").limit(1).select("mention_id")
+    q = cut(as_queries(m.join(F.broadcast(own), "mention_id")))
+    er = session.EntityResolution(m, level="document", min_shared=LARGE_SHARED, settings=samplers.Settings(samples=LARGE_STEPS, draw="cdf"))
+    packed, _, frame, _ = er.packed(q)
+    both = cut(samplers.chains(packed, er.settings, 1, er.specs))
+    return samplers.traces(both).select("step", "m", "e_from", "e_to", "delta", "accepted")
+
+
+def select_auto(spark, sf_dir):
+    """Selection in the direction that each canopy's quality calls for."""
+    p = Part(spark, sf_dir)
+    er = _resolver(p, settings=samplers.Settings(samples=SELECT_STEPS, draw="cdf"))
+    return er.select_entity(p.watch, direction="auto").select("query_id", "mention_id")
+
+
+def canopy_direction(spark, sf_dir):
+    p = Part(spark, sf_dir)
+    members = p.members()
+    return session.choose_direction(members, influence.score(members, p.mentions, p.watch, TWO, None, "paragraph")).select("query_id", r9("share"), "direction")
+
+
+def warm_start(spark, sf_dir):
+    """A selection carried on from an earlier result: as many proposals again."""
+    p = Part(spark, sf_dir)
+    er = _resolver(p, settings=samplers.Settings(samples=SELECT_STEPS, draw="cdf"))
+    packed, *_ = er.packed(p.one)
+    before = cut(er.states(packed).select("mention_id", "entity_id"))
+    return er.select_entity(p.one, start=before, seed=2).select("query_id", "mention_id")
+
+
 def join_entities(spark, sf_dir):
+    """A watchlist join over merged whole canopies."""
     p = Part(spark, sf_dir)
-    er = _resolver(p, max_canopy=8, settings=samplers.Settings(samples=150, draw="cdf", quantum=25))
+    er = _resolver(p, settings=samplers.Settings(samples=SELECT_STEPS, draw="cdf", quantum=25))
     return er.join_entities(p.watch, "round_robin").select("query_id", "mention_id")
 
 
+def join_by_selectivity(spark, sf_dir):
+    p = Part(spark, sf_dir)
+    er = _resolver(p, settings=samplers.Settings(samples=SELECT_STEPS, draw="cdf", quantum=25))
+    return er.join_entities(p.watch, "by_selectivity").select("query_id", "mention_id")
+
+
+TEMPLATE = QueryNode("red plate", keywords=("topic_red_plate",))
+
+
+def _by_template(spark, sf_dir) -> session.EntityResolution:
+    return _resolver(Part(spark, sf_dir), settings=samplers.Settings(samples=SELECT_STEPS, draw="cdf"))
+
+
 def select_keywords(spark, sf_dir):
     """A declared template with keywords, over its whole canopy."""
-    from erfocus.sources.schema import QueryNode
-
-    p = Part(spark, sf_dir)
-    er = session.EntityResolution(p.mentions, TWO, "paragraph", settings=samplers.Settings(samples=1500))
-    return er.select_entity(QueryNode("red plate", keywords=("topic_red_plate",))).select("query_id", "mention_id")
+    return _by_template(spark, sf_dir).select_entity(TEMPLATE).select("query_id", "mention_id")
 
 
 def select_sql(spark, sf_dir):
     """The same question in SQL."""
-    from erfocus.sources.schema import QueryNode
-
-    p = Part(spark, sf_dir)
-    er = session.EntityResolution(p.mentions, TWO, "paragraph", settings=samplers.Settings(samples=1500))
-    return er.sql("SELECT mention_id, mention FROM mentions WHERE same_entity(mentions, :q)", q=QueryNode("red plate", keywords=("topic_red_plate",)))
+    return _by_template(spark, sf_dir).sql("SELECT mention_id, mention FROM mentions WHERE same_entity(mentions, :q)", q=TEMPLATE)
 
 
 def select_udtf(spark, sf_dir):
+    """The same as a table function over a canopy, without cosines."""
     from erfocus.plans import udtf
 
     p = Part(spark, sf_dir)
     udtf.register(spark)
-    found = p.canopy(p.one).select("mention_id").distinct()
+    node = TEMPLATE.frame(spark)
+    found = blocking.canopy(p.mentions, node).select("mention_id").distinct()
     p.mentions.join(found, "mention_id", "left_semi").createOrReplaceTempView("erfocus_canopy")
-    return spark.sql("SELECT * FROM er_select(TABLE(SELECT mention_id, mention, context FROM erfocus_canopy) WITH SINGLE PARTITION, 'red plate', array('topic_red_plate'), 1500)")
+    return spark.sql(f"SELECT * FROM er_select(TABLE(SELECT mention_id, mention, context FROM erfocus_canopy) WITH SINGLE PARTITION, 'red plate', array('topic_red_plate'), {SELECT_STEPS})")
 
 
 def resolve_all(spark, sf_dir):
     """The exhaustive view over customer mentions in blocks of customers' names without their padding."""
     m = fixtures.customer_mentions(spark, sf_dir)
     er = session.EntityResolution(m, features.SHORT_NAMES, "paragraph")
-    return er.resolve_all("regexp_extract(mention, '([0-9]{8})', 1)", samples=200)
+    return er.resolve_all(workloads.CUSTOMER_BLOCK, samples=RESOLVE_STEPS)
 
 
 def _with_mh(spark, sf_dir):
+    """Metropolis-Hastings acceptance with explicit proposal probabilities."""
+    return _chain("influence_to_query", accept="mh", temperature=30.0)(spark, sf_dir)
+
+
+def chain_idle(spark, sf_dir):
+    """Where a chain over each watchlist canopy ends that stops after 200 proposals in vain."""
+    p = Part(spark, sf_dir)
+    packed = cut(samplers.pack(p.members(), p.mentions, p.watch, None, "paragraph"))
+    both = samplers.chains(packed, samplers.Settings(samples=4000, idle=200, draw="cdf", cosines=False), 1, TWO)
+    return samplers.traces(both).groupBy(F.col("component").alias("query_id")).agg(F.count(F.lit(1)).alias("proposals"), F.count_if("accepted").alias("accepted"))
+
+
+def first_correct(spark, sf_dir):
+    p = Part(spark, sf_dir)
+    return metrics.first_correct(samplers.traces(p.chain("uniform", 2 * STEPS)), p.gold, p.one).select("query_id", "step")
+
+
+def salient_terms(spark, sf_dir):
+    """Keywords that tell a canopy's true mentions from the others."""
     p = Part(spark, sf_dir)
-    s = samplers.Settings(sampler="influence_to_query", samples=500, accept="mh", temperature=30.0)
-    return samplers.traces(samplers.chains(p.packed(TOP), s, 3, TWO)).select("run_id", "step", "m", "delta", "accepted")
+    members = p.members(p.one)
+    terms = members.join(context.context_terms(p.mentions), "mention_id")
+    wanted = members.join(p.gold, "mention_id").join(p.one.select("query_id", F.col("gold").alias("g")), "query_id").where("gold = g").select("query_id", "mention_id")
+    return context.salient(terms, wanted, 3)
+
+
+def stream_windows(spark, sf_dir):
+    return growth.replay_windows(spark, sf_dir)
+
+
+def stream_sessions(spark, sf_dir):
+    return growth.replay_sessions(spark, sf_dir)
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
@@ -483,13 +579,14 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
         alias_mass, alias_bytes, alias_presample, init_states, config_score, entity_score, matching_strings, move_delta,
         acceptance_rates, query_prf, mean_f1q, metric_cube, average_runs, b_cubed, query_ratios, pairwise_closure, blocked_baseline,
         coref_view, clusters, same_entity, context_levels, exact_posterior, exact_map, exact_marginal, bsp_winners, bsp_rounds, bsp_merge_round,
-        passage_watchlist, trace_curve, time_to_target, score_trace, proposal_counts, steady_state,
-        select_entity, join_entities, select_keywords, select_sql, select_udtf, resolve_all,
+        bsp_proposals, move_delta_on_demand, passage_watchlist, trace_curve, time_to_target, score_trace, proposal_counts, steady_state, first_correct, salient_terms,
+        select_entity, select_entity_large, select_auto, canopy_direction, warm_start, join_entities, join_by_selectivity, select_keywords, select_sql, select_udtf, resolve_all, chain_idle,
+        stream_windows, stream_sessions,
     )
 }
 QUERIES |= {f"chain_{s}": _chain(s) for s in ("uniform", "pin_target", "influence_both", "influence_to_query", "expel", "expel_both")}
 QUERIES |= {"stream_canopy": lambda spark, sf_dir: growth.replay(spark, sf_dir)}
 QUERIES |= workloads.WORKLOADS
-QUERIES |= {"chain_mh": _with_mh}
+QUERIES |= {"chain_mh": _with_mh, "chain_alias": _chain("influence_to_query", draw="alias"), "chain_entity_wide": _chain("influence_to_query", entity_wide=True)}
 QUERIES |= {f"schedule_{p}": _plan(p) for p in ("round_robin", "by_selectivity", "equal")}
 QUERIES |= {f"schedule_{p}": _next(p) for p in ("closest_first", "farthest_first", "slowest_first")}

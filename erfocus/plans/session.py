@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from erfocus.functions import features
-from erfocus.operators import blocking, context, influence, metrics, samplers, score
+from erfocus.operators import blocking, metrics, samplers
 from erfocus.operators.durable import cut
 from erfocus.sources.schema import MENTION, MentionSchema, QueryNode, query_frame
 
@@ -24,7 +24,7 @@ class EntityResolution:
     def __init__(
         self,
         mentions: DataFrame,
-        specs: Iterable[features.FeatureSpec] = features.SHORT_NAMES,
+        specs: Iterable[features.FeatureSpec] = features.SPECS,
         level: str = "document",
         min_shared: int = 3,
         index: str | None = None,
@@ -35,7 +35,8 @@ class EntityResolution:
         self.mentions = MentionSchema.validate(mentions)
         self.spark: SparkSession = mentions.sparkSession
         self.specs, self.level, self.min_shared, self.index = tuple(specs), level, min_shared, index
-        self.cosines, self.settings, self.max_canopy = cosines, settings, max_canopy
+        self.settings = replace(settings, cosines=cosines and level != "none")
+        self.max_canopy = max_canopy
         self.timings = metrics.Timings()
 
     # query nodes
@@ -62,65 +63,62 @@ class EntityResolution:
 
     # plans
 
-    def canopy(self, table: DataFrame, queries: DataFrame) -> DataFrame:
-        """(query_id, mention_id, shared, sim) with each query's own mention in its canopy."""
+    def canopy(self, queries: DataFrame) -> DataFrame:
+        """(query_id, mention_id) with each query's own mention in its canopy."""
         found = blocking.canopy(self.mentions, queries, self.index, min_shared=self.min_shared)
         own = queries.select("query_id", "mention_id")
         if self.max_canopy:
             found = blocking.top_canopy(found.join(own, ["query_id", "mention_id"], "left_anti"), self.max_canopy - 1)
-        keys = found.select("query_id", "mention_id").union(own).distinct()
-        return keys.join(found, ["query_id", "mention_id"], "left")
-
-    def scored(self, found: DataFrame, table: DataFrame, queries: DataFrame) -> tuple[DataFrame, DataFrame | None]:
-        """(influence, cosines of canopy pairs or null)."""
-        if not self.cosines or self.level == "none":
-            return influence.score(found, table, queries, self.specs, None, self.level), None
-        members = found.select("mention_id").distinct()
-        vectors = cut(context.tfidf(context.context_terms(table.join(members, "mention_id", "left_semi"), self.level)))
-        own = queries.select("query_id", F.col("mention_id").alias("own"))
-        asked = found.select("query_id", "mention_id").join(F.broadcast(own), "query_id")
-        to_query = context.cosine(vectors, asked, "own", "mention_id").join(F.broadcast(own), "own").select("query_id", "mention_id", "cos")
-        return influence.score(found, table, queries, self.specs, to_query.distinct(), self.level), vectors
-
-    def packed(self, queries, merged: bool = False) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame | None]:
-        """(packed canopies, mention table, queries, components or null): everything before the chains."""
+        return found.select("query_id", "mention_id").union(own).distinct()
+
+    def packed(self, queries, merged: bool = False, start: DataFrame | None = None) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame | None]:
+        """(packed canopies, mention table, queries, components or null): everything before the chains.
+
+        start: (mention_id, entity_id) of an earlier result, for chains that set out from it (init='previous').
+        """
         with self.timings.stage("blocking"):
             table, frame = self.nodes(queries)
-            found = cut(self.canopy(table, frame))
+            frame = cut(frame)
+            found = cut(self.canopy(frame))
             components = cut(blocking.merge(found)) if merged else None
-        with self.timings.stage("influence"):
-            infl, vectors = self.scored(found, table, frame)
-            keyed = found.select("query_id", "mention_id")
-            owner = components if components is not None else keyed.select("query_id").distinct().select("query_id", F.col("query_id").alias("component"))
-            members = keyed.join(F.broadcast(owner), "query_id").select("component", "mention_id").distinct()
-            largest = members.groupBy("component").count().agg(F.max("count")).first()[0] or 0
-            edges = None
-            if largest <= score.MAX_DENSE:
-                pairs = score.pair_cosines(members, vectors, "component") if vectors is not None else None
-                if vectors is not None:
-                    edges = score.pair_edges(members, table, self.specs, pairs, self.level, "component")
-                else:
-                    edges = score.pair_edges(members, table, self.specs, None, self.level, "component")
-            out = cut(samplers.pack(keyed, table, edges, infl, frame, components, self.level))
+        with self.timings.stage("context"):
+            out = cut(samplers.pack(found, table, frame, components, self.level, start=start))
         return out, table, frame, components
 
     # queries
 
-    def select_entity(self, query, runs: int = 1, **changes) -> DataFrame:
-        """(run_id, query_id, mention_id): mentions that are of the query's entity."""
-        packed, _, frame, components = self.packed(query)
-        return self._answers(packed, frame, components, runs, **changes)
+    def select_entity(self, query, runs: int = 1, direction: str | None = None, start: DataFrame | None = None, **changes) -> DataFrame:
+        """(run_id, query_id, mention_id): mentions that are of the query's entity.
+
+        direction: 'attract' gathers single mentions, 'repel' sheds from one entity of all, 'auto' takes the latter
+        for canopies whose mentions are mostly of positive influence.  start: an earlier result to set out from.
+        """
+        changes |= self._directed(direction)
+        packed, _, frame, components = self.packed(query, start=start)
+        return self._answers(packed, frame, components, runs, **({"init": "previous"} if start is not None else {}), **changes)
 
-    def join_entities(self, watchlist: DataFrame, policy: str = "by_selectivity", runs: int = 1, **changes) -> DataFrame:
+    def join_entities(self, watchlist: DataFrame, policy: str = "by_selectivity", runs: int = 1, direction: str | None = None, start: DataFrame | None = None, **changes) -> DataFrame:
         """(run_id, query_id, mention_id): mentions joined with the watchlist's nodes, scheduled over merged canopies."""
-        packed, _, frame, components = self.packed(watchlist, merged=True)
-        return self._answers(packed, frame, components, runs, policy=policy, **changes)
+        changes |= self._directed(direction)
+        packed, _, frame, components = self.packed(watchlist, merged=True, start=start)
+        return self._answers(packed, frame, components, runs, policy=policy, **({"init": "previous"} if start is not None else {}), **changes)
+
+    DIRECTIONS = {"attract": "influence_to_query", "repel": "expel", "auto": "auto"}
+
+    def _directed(self, direction: str | None) -> dict:
+        if direction is None:
+            return {}
+        if direction not in self.DIRECTIONS:
+            raise ValueError(f"direction {direction} is none of {tuple(self.DIRECTIONS)}")
+        return {"sampler": self.DIRECTIONS[direction]}
 
     def _answers(self, packed: DataFrame, frame: DataFrame, components: DataFrame | None, runs: int, **changes) -> DataFrame:
-        settings = replace(self.settings, **changes)
+        return samplers.answers(self.states(packed, runs, **changes), frame, components)
+
+    def states(self, packed: DataFrame, runs: int = 1, **changes) -> DataFrame:
+        """(component, run_id, mention_id, entity_id) after the chains: also what a later call may start from."""
         with self.timings.stage("inference"):
-            both = cut(samplers.chains(packed, settings, runs, self.specs))
-        return samplers.answers(samplers.states(both), frame, components)
+            return samplers.states(cut(samplers.chains(packed, replace(self.settings, **changes), runs, self.specs)))
 
     def refine(self, query: QueryNode, add: Iterable[str] = (), drop: Iterable[str] = (), runs: int = 1, **changes) -> tuple[QueryNode, DataFrame]:
         """The query with changed keywords, and its answers: a step of an interactive search."""
@@ -131,7 +129,8 @@ class EntityResolution:
     def resolve_all(self, block: str = "mention", runs: int = 1, samples: int | None = None, **changes) -> DataFrame:
         """(run_id, mention_id, entity_id) of the whole table: the exhaustive baseline, block by block.
 
-        Blocks are components of mentions with common normalised strings, or of an expression's equal values.
+        Blocks are components of mentions with common normalised strings, or of an expression's equal values.  With
+        `idle` each block's chain runs until so many proposals in a row have changed nothing, or its samples are spent.
         """
         from erfocus.functions.strings import normal
 
@@ -139,12 +138,10 @@ class EntityResolution:
         blocks = cut(self.mentions.select("mention_id", key.alias("b")))
         least = blocks.groupBy("b").agg(F.min("mention_id").alias("component"), F.count(F.lit(1)).alias("n"))
         members = blocks.join(least, "b").select("component", "mention_id", "n")
-        single = members.where("n = 1 OR n IS NULL").select(F.explode(F.sequence(F.lit(0), F.lit(runs - 1))).alias("run_id"), "mention_id", F.col("mention_id").alias("entity_id"))
-        several = cut(members.where("n > 1").select("component", "mention_id"))
-        edges = score.pair_edges(several, self.mentions, self.specs, None, self.level, "component")
-        firsts = several.select(F.col("component").alias("query_id"), F.col("component").alias("mention_id")).distinct()
-        infl = several.select(F.col("component").alias("query_id"), "mention_id", F.lit(0).alias("infl"))
-        packed = samplers.pack(several.select(F.col("component").alias("query_id"), "mention_id"), self.mentions, edges, infl, firsts, None, self.level)
+        single = blocks.join(least.where("n > 1"), "b", "left_anti").select(F.explode(F.sequence(F.lit(0), F.lit(runs - 1))).alias("run_id"), "mention_id", F.col("mention_id").alias("entity_id"))
+        several = cut(members.where("n > 1").select(F.col("component").alias("query_id"), "mention_id"))
+        firsts = several.select("query_id", F.col("query_id").alias("mention_id")).distinct()
+        packed = samplers.pack(several, self.mentions, firsts, None, self.level)
         settings = replace(self.settings, sampler="uniform", **({"samples": samples} if samples else {}), **changes)
         done = samplers.states(samplers.chains(packed, settings, runs, self.specs)).select("run_id", "mention_id", "entity_id")
         return done.unionByName(single)

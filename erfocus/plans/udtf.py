@@ -31,20 +31,22 @@ class SelectEntity:
 
         from erfocus.functions import features
         from erfocus.functions.strings import py_tokens
-        from erfocus.operators.kernel import Budget, Chain, OnDemand, Query
+        from erfocus.operators.kernel import Budget, Chain, Query
+        from erfocus.operators.pairs import PairModel, Sides
         from erfocus.operators.samplers import Settings, biased, decay_weights
 
         text, keywords, samples = self.args
-        rows = sorted([*self.rows, (-1, text, [])])
-        side = lambda m, ctx, kw=(): features.Side(m.strip(" ").lower(), tuple(py_tokens(m)), frozenset(ctx), tuple(kw))
-        sides = [side(m or "", ctx, keywords if i == -1 else ()) for i, m, ctx in rows]
-        weight = lambda i, j: features.py_total(features.SHORT_NAMES, sides[i], sides[j], features.py_text_similarity(sides[i], sides[j]))
+        rows = sorted([*self.rows, (-1, text, [])], key=lambda r: r[0])
+        names = [m or "" for _, m, _ in rows]
+        sides = Sides.of([r[0] for r in rows], [r[0] for r in rows], [m.strip(" ").lower() for m in names], [py_tokens(m) for m in names], [ctx for _, _, ctx in rows], [keywords if i == -1 else () for i, _, _ in rows])
+        model = PairModel(features.SHORT_NAMES, sides, cosines=False)
         at = next(k for k, r in enumerate(rows) if r[0] == -1)
-        infl = np.array([weight(k, at) for k in range(len(rows))], dtype=float)
+        infl = model.row(at).astype(float)
+        infl[at] = model.own_weight(at)
         s = Settings()
-        chain = Chain(np.array([r[0] for r in rows]), OnDemand(weight), [Query(-1, at, biased(decay_weights(infl, s), "alias"))])
+        chain = Chain(sides.ids, model, [Query(-1, at, biased(decay_weights(infl, s), "cdf"))])
         Budget(samples).spend(chain, lambda c: (c.queries[0], samples))
-        for k in chain.members[chain.entity[at]]:
+        for k in chain.members[int(chain.entity[at])]:
             if k != at:
                 yield rows[k][0], rows[k][1]
 

@@ -6,16 +6,14 @@ not reached is null, never lowered.
 
 from __future__ import annotations
 
-import time
-
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from erfocus.functions import features
 from erfocus.functions.rand import h32
-from erfocus.operators import alias, baselines, blocking, context, exact, extract, influence, metrics, parallel, samplers, score
+from erfocus.operators import alias, baselines, blocking, context, exact, extract, influence, metrics, parallel, samplers, score, state, train
 from erfocus.operators.components import connected_components
-from erfocus.operators.durable import cut
+from erfocus.operators.durable import cut, held
 from erfocus.plans import session
 from erfocus.sources import fixtures
 from erfocus.sources.schema import QueryNode, as_queries
@@ -35,61 +33,45 @@ def names(mentions: DataFrame, n: int) -> DataFrame:
     """(query_id, gold, own): n names, in hash order, with a representative query: their first clean mention in its own topic."""
     topic = F.concat(F.lit("topic_"), F.replace("gold", F.lit(" "), F.lit("_")))
     clean = mentions.where((F.lower("mention") == F.col("gold")) & F.array_contains("context.paragraph", topic)).groupBy("gold").agg(F.min("mention_id").alias("own"))
-    w = Window.orderBy(h32(F.concat(F.lit("name|"), F.col("gold"))), "gold")
-    return clean.withColumn("query_id", (F.row_number().over(w)).cast("long")).where(F.col("query_id") <= n).select("query_id", "gold", "own")
+    order = (h32(F.concat(F.lit("name|"), F.col("gold"))), "gold")
+    w = Window.orderBy(*order)
+    return clean.orderBy(*order).limit(n).withColumn("query_id", (F.row_number().over(w)).cast("long")).select("query_id", "gold", "own")
 
 
 def designed(mentions: DataFrame, wanted: DataFrame) -> tuple[DataFrame, DataFrame]:
     """(members (query_id, mention_id), queries) from (query_id, gold, own, sel, size): canopies of size mentions, sel of the label.
 
-    Others are the best matches of the other labels, of each label in turn.
+    Others are the best matches of the other labels, of each label in turn.  mentions should lie written down.
     """
-    queries = mentions.join(F.broadcast(wanted), mentions["mention_id"] == wanted["own"]).select(wanted["query_id"], mentions["*"])
-    same = mentions.join(F.broadcast(wanted), "gold").where("mention_id <> own").select("query_id", "mention_id", "sel", F.row_number().over(Window.partitionBy("query_id").orderBy("mention_id")).alias("k")).where("k < sel")
-    found = blocking.canopy(mentions, queries, min_shared=2).join(mentions.select("mention_id", F.col("gold").alias("g")), "mention_id").join(F.broadcast(wanted), "query_id").where("g <> gold")
-    found = found.withColumn("turn", F.row_number().over(Window.partitionBy("query_id", "g").orderBy(F.desc("shared"), "mention_id")))
+    few = held(wanted)
+    queries = cut(mentions.join(few.select("query_id", "own"), F.col("mention_id") == F.col("own")).drop("own"))
+    same = mentions.join(few, "gold").where("mention_id <> own").select("query_id", "mention_id", "sel", F.row_number().over(Window.partitionBy("query_id").orderBy("mention_id")).alias("k")).where("k < sel")
+    named = mentions.select("mention_id", F.col("gold").alias("g"))
+    found = blocking.canopy(mentions, queries, min_shared=2).join(named, "mention_id").join(few, "query_id").where("g <> gold")
+    found = found.withColumn("turn", F.row_number().over(Window.partitionBy("query_id", "g").orderBy(F.desc("shared"), "mention_id"))).where("turn <= size")
     w = Window.partitionBy("query_id").orderBy("turn", F.desc("shared"), "mention_id")
     other = found.withColumn("k", F.row_number().over(w)).where("k <= size - sel").select("query_id", "mention_id")
     members = same.select("query_id", "mention_id").union(other).union(queries.select("query_id", "mention_id")).distinct()
-    return cut(members), cut(queries)
-
-
-def packed(mentions: DataFrame, members: DataFrame, queries: DataFrame, level: str = LEVEL, components: DataFrame | None = None, specs=TWO) -> DataFrame:
-    owner = components if components is not None else members.select("query_id").distinct().withColumn("component", F.col("query_id"))
-    infl = influence.score(members, mentions, queries, specs, None, level) if level == "none" else _with_cosines(mentions, members, queries, level, specs)
-    joined = members.join(F.broadcast(owner), "query_id").select("component", "mention_id").distinct()
-    cosines = None
-    if level != "none":
-        vectors = cut(_vectors(mentions, members, level))
-        cosines = score.pair_cosines(joined, vectors, "component")
-    edges = score.pair_edges(joined, mentions, specs, cosines, level, "component")
-    return cut(samplers.pack(members, mentions, edges, infl, queries, components, level))
-
-
-def _vectors(mentions: DataFrame, members: DataFrame, level: str) -> DataFrame:
-    inside = mentions.join(members.select("mention_id").distinct(), "mention_id", "left_semi")
-    return context.tfidf(context.context_terms(inside, level))
+    return cut(members), queries
 
 
-def _with_cosines(mentions: DataFrame, members: DataFrame, queries: DataFrame, level: str, specs) -> DataFrame:
-    vectors = cut(_vectors(mentions, members, level))
-    own = queries.select("query_id", F.col("mention_id").alias("own"))
-    asked = members.join(F.broadcast(own), "query_id")
-    cos = context.cosine(vectors, asked, "own", "mention_id").join(F.broadcast(own), "own").select("query_id", "mention_id", "cos").distinct()
-    return influence.score(members, mentions, queries, specs, cos, level)
+def packed(mentions: DataFrame, members: DataFrame, queries: DataFrame, level: str = LEVEL, components: DataFrame | None = None) -> DataFrame:
+    return cut(samplers.pack(members, mentions, queries, components, level))
 
 
 def start_of(members: DataFrame, single: bool, components: DataFrame | None = None) -> DataFrame:
     owner = components if components is not None else members.select("query_id").distinct().withColumn("component", F.col("query_id"))
-    rows = members.join(F.broadcast(owner), "query_id").select("component", "mention_id").distinct()
-    return rows.withColumn("entity_id", F.min("mention_id").over(Window.partitionBy("component")) if single else F.col("mention_id"))
+    rows = members.join(held(owner), "query_id").select("component", "mention_id").distinct()
+    least = rows.groupBy("component").agg(F.min("mention_id").alias("entity_id"))
+    return rows.join(least, "component") if single else rows.withColumn("entity_id", F.col("mention_id"))
 
 
-def run(rows: DataFrame, mentions: DataFrame, members: DataFrame, queries: DataFrame, settings: samplers.Settings, runs: int, components: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
+def run(rows: DataFrame, mentions: DataFrame, members: DataFrame, queries: DataFrame, settings: samplers.Settings, runs: int, components: DataFrame | None = None, specs=TWO) -> tuple[DataFrame, DataFrame]:
     """(curves, seconds by component and run)."""
-    both = cut(samplers.chains(rows, settings, runs, TWO))
+    both = cut(samplers.chains(rows, settings, runs, specs))
     single = settings.sampler in ("expel", "expel_both") and settings.init is None
-    curves = metrics.curve(samplers.traces(both), start_of(members, single, components), mentions.select("mention_id", "gold"), queries, components)
+    gold = mentions.select("mention_id", "gold").join(members.select("mention_id").distinct(), "mention_id", "left_semi")
+    curves = metrics.curve(samplers.traces(both), start_of(members, single, components), gold, queries, components)
     return cut(curves), samplers.seconds(both)
 
 
@@ -98,122 +80,247 @@ def _wanted(picked: DataFrame, sizes: list[tuple[int, int]]) -> DataFrame:
     return picked.join(F.broadcast(rows), "query_id")
 
 
+REAL_TIME_SIZES = [(round(n * f / (2 - f)), n) for n, f in REAL_TIME]
+REAL_TIME_SETTINGS = samplers.Settings(sampler="expel", samples=500, draw="cdf")
+
+
+def _real_time(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame, metrics.Timings]:
+    """(accuracy and size by query, chain seconds by query, seconds of the stages)."""
+    t = metrics.Timings()
+    with t.stage("corpus"):
+        m = cut(fixtures.line_mentions(spark, sf_dir))
+        wanted = cut(_wanted(names(m, 3), REAL_TIME_SIZES))
+    with t.stage("blocking"):
+        members, queries = designed(m, wanted)
+    with t.stage("context"):
+        rows = packed(m, members, queries)
+    with t.stage("inference"):
+        both = cut(samplers.chains(rows, REAL_TIME_SETTINGS, 6, TWO))
+    with t.stage("answers"):
+        cut(samplers.answers(samplers.states(both), queries))
+    gold = m.select("mention_id", "gold").join(members.select("mention_id").distinct(), "mention_id", "left_semi")
+    curves = cut(metrics.curve(samplers.traces(both), start_of(members, True), gold, queries))
+    at = lambda step, name: metrics.at_step(curves, step).groupBy("query_id").agg(F.avg("f1q").alias(name))
+    size = members.groupBy("query_id").agg(F.count(F.lit(1)).alias("canopy"))
+    found = size.join(at(-1, "f1_start"), "query_id").join(at(49, "f1_50"), "query_id").join(at(499, "f1_500"), "query_id")
+    return found, samplers.seconds(both).groupBy(F.col("component").alias("query_id")).agg(F.avg("seconds").alias("chain_seconds")), t
+
+
 def w1_real_time(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Three single queries over line mentions: expulsion from one entity of all, first 50 proposals, 6 runs."""
-    m = fixtures.line_mentions(spark, sf_dir)
-    sizes = [(round(n * f / (2 - f)), n) for n, f in REAL_TIME]
-    wanted = cut(_wanted(names(m, 3), sizes))
-    began = time.perf_counter()
-    members, queries = designed(m, wanted)
-    blocking_s = time.perf_counter() - began
-    began = time.perf_counter()
-    rows = packed(m, members, queries)
-    build_s = time.perf_counter() - began
-    began = time.perf_counter()
-    curves, took = run(rows, m, members, queries, samplers.Settings(sampler="expel", samples=500), 6)
-    chain_s = time.perf_counter() - began
-    first = metrics.at_step(curves, -1).groupBy("query_id").agg(F.avg("f1q").alias("f1_start"))
-    then = metrics.at_step(curves, 49).groupBy("query_id").agg(F.avg("f1q").alias("f1_50"))
-    last = metrics.at_step(curves, 499).groupBy("query_id").agg(F.avg("f1q").alias("f1_500"))
-    size = members.groupBy("query_id").agg(F.count(F.lit(1)).alias("canopy"))
-    seconds_ = took.groupBy(F.col("component").alias("query_id")).agg(F.avg("seconds").alias("chain_seconds"))
-    out = size.join(first, "query_id").join(then, "query_id").join(last, "query_id").join(seconds_, "query_id")
-    return out.withColumn("blocking_seconds", F.lit(blocking_s)).withColumn("influence_seconds", F.lit(build_s)).withColumn("all_chains_seconds", F.lit(chain_s))
+    found, _, _ = _real_time(spark, sf_dir)
+    return found.select("query_id", "canopy", *[F.round(c, 9).alias(c) for c in ("f1_start", "f1_50", "f1_500")])
+
 
+def w1_timings(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Seconds of the stages of the same, for all three queries together, and of a query's chain."""
+    found, seconds_, t = _real_time(spark, sf_dir)
+    out = found.select("query_id", "canopy").join(seconds_, "query_id")
+    for name, s in t.seconds.items():
+        out = out.withColumn(f"{name}_seconds", F.lit(round(s, 3)))
+    return out.withColumn("total_seconds", F.lit(round(t.total, 3)))
 
-def _compare(spark: SparkSession, sf_dir: str, sels: tuple[int, ...], canopy: int, kinds: tuple[str, ...], samples: int, runs: int, informative: int = fixtures.INFORMATIVE, **changes) -> DataFrame:
-    m = fixtures.part_mentions(spark, sf_dir, informative=informative)
-    picked = names(m if informative else m.withColumn("context", F.col("context").withField("paragraph", F.array(F.concat(F.lit("topic_"), F.replace("gold", F.lit(" "), F.lit("_")))))), len(sels))
+
+#: Proposals, canopy and runs of the comparisons.
+COMPARISON = dict(canopy=300, samples=2500, runs=10)
+KINDS = ("uniform", "pin_target", "influence_both", "influence_to_query")
+
+
+def _without_topics(m: DataFrame) -> DataFrame:
+    """Every mention with a topic word of its own label, for names() where no topic says anything."""
+    own = F.array(F.concat(F.lit("topic_"), F.replace("gold", F.lit(" "), F.lit("_"))))
+    return m.withColumn("context", F.col("context").withField("paragraph", own))
+
+
+def _compare(spark: SparkSession, sf_dir: str, sels: tuple[int, ...], canopy: int, kinds: tuple[str, ...], samples: int, runs: int, informative: int = fixtures.INFORMATIVE, specs=TWO, seconds: bool = False, **changes) -> DataFrame:
+    m = cut(fixtures.part_mentions(spark, sf_dir, informative=informative))
+    picked = names(m if informative else _without_topics(m), len(sels))
     members, queries = designed(m, cut(_wanted(picked, [(s, canopy) for s in sels])))
     rows = packed(m, members, queries)
     true = members.join(m.select("mention_id", "gold"), "mention_id").join(queries.select("query_id", F.col("gold").alias("g")), "query_id").where("gold = g").groupBy("query_id").agg(F.count(F.lit(1)).alias("selectivity"))
     out = None
     for kind in kinds:
-        curves, took = run(rows, m, members, queries, samplers.Settings(sampler=kind, samples=samples, **changes), runs)
+        curves, took = run(rows, m, members, queries, samplers.Settings(sampler=kind, samples=samples, draw="cdf", **changes), runs, specs=specs)
         end = metrics.at_step(curves, samples).join(metrics.time_to(curves, TARGET), ["component", "run_id", "query_id"]).join(took, ["component", "run_id"])
         reached = end.groupBy("query_id").agg(
             F.avg("f1q").alias("f1_at_budget"), F.stddev("f1q").alias("sd"), F.avg("first_step").alias("steps_to_target"), F.count("first_step").alias("runs_reached"), F.count(F.lit(1)).alias("runs"), F.avg("seconds").alias("chain_seconds")
         ).withColumn("sampler", F.lit(kind))
         out = reached if out is None else out.unionByName(reached)
-    return out.join(F.broadcast(true), "query_id").select("sampler", "selectivity", "f1_at_budget", "sd", "steps_to_target", "runs_reached", "runs", "chain_seconds")
+    rounded = [F.round(c, 9).alias(c) for c in ("f1_at_budget", "sd", "steps_to_target")]
+    return out.join(true, "query_id").select("sampler", "query_id", "selectivity", *rounded, "runs_reached", "runs", *(["chain_seconds"] if seconds else []))
 
 
 def w2_samplers(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Four samplers, gathering, at three selectivities and one canopy size."""
-    return _compare(spark, sf_dir, COMPARED, 300, ("uniform", "pin_target", "influence_both", "influence_to_query"), 2500, 10)
+    return _compare(spark, sf_dir, COMPARED, kinds=KINDS, **COMPARISON)
 
 
 def w2_uninformative(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The same without any topic word that names an entity: what strings alone give."""
-    return _compare(spark, sf_dir, COMPARED, 300, ("uniform", "pin_target", "influence_both", "influence_to_query"), 2500, 10, informative=0)
+    return _compare(spark, sf_dir, COMPARED, kinds=KINDS, informative=0, **COMPARISON)
 
 
 def w2_annealed(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The same with Metropolis-Hastings acceptance at a temperature."""
-    return _compare(spark, sf_dir, COMPARED, 300, ("uniform", "pin_target", "influence_both", "influence_to_query"), 2500, 10, accept="mh", temperature=30.0)
+    return _compare(spark, sf_dir, COMPARED, kinds=KINDS, accept="mh", temperature=30.0, **COMPARISON)
+
+
+def w2_published(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same with the published table's weights, the decay's p as published, and entity-wide terms."""
+    return _compare(spark, sf_dir, COMPARED, kinds=KINDS, specs=features.SPECS, scaled=False, entity_wide=True, **COMPARISON)
+
+
+#: Names that weights are learned from stand after those that workloads ask for.
+TRAINING = (12, 20)
+
+
+def learned_specs(spark: SparkSession, m: DataFrame) -> tuple:
+    """Weights learned by ranking on the labels of names that no workload asks for."""
+    every = names(m, TRAINING[1])
+    picked = every.where(F.col("query_id") > TRAINING[0])
+    sizes = F.lit(60).alias("sel"), F.lit(200).alias("size")
+    members, queries = designed(m, cut(picked.select("*", *sizes)))
+    learned = cut(train.sample_rank(packed(m, members, queries), m.select("mention_id", "gold"), features.PAIRWISE, 6000, 1))
+    return train.fitted(learned, features.PAIRWISE)
+
+
+def w2_learned(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same with weights learned on the labels of other names, as for the labelled corpus of the experiments."""
+    m = cut(fixtures.part_mentions(spark, sf_dir))
+    return _compare(spark, sf_dir, COMPARED, kinds=KINDS, specs=learned_specs(spark, m), **COMPARISON)
+
+
+def trained_weights(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(feature, w_pos, w_neg): what ranking on labels makes of the pairwise features; tiers as features of their own."""
+    specs = learned_specs(spark, cut(fixtures.part_mentions(spark, sf_dir)))
+    rows = [(s.name, s.plus, s.minus) for s in specs if s.name != "f08"]
+    rows += [(f"f08>={least}", w, 0) for s in specs if s.name == "f08" for least, w in (*s.tiers, (0.0, s.lowest))]
+    return spark.createDataFrame(rows, "feature string, w_pos long, w_neg long")
 
 
 def w3_score_decay(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Rising selectivity with decay on the score instead of the rank."""
-    return _compare(spark, sf_dir, RISING, 600, ("influence_both", "influence_to_query"), 8000, 3, unit="score")
+    return _compare(spark, sf_dir, RISING, 1000, ("influence_both", "influence_to_query"), 8000, 3, unit="score")
 
 
 def w3_selectivity(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Proposals to the target over rising selectivity at one canopy size."""
-    return _compare(spark, sf_dir, RISING, 600, ("pin_target", "influence_both", "influence_to_query"), 8000, 3)
+    """Proposals to the target over rising selectivity at one canopy size; weights learned on other names."""
+    m = cut(fixtures.part_mentions(spark, sf_dir))
+    return _compare(spark, sf_dir, RISING, 1000, KINDS, 8000, 3, specs=learned_specs(spark, m))
 
 
 def w4_schedules(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Nine queries over one merged model under each schedule: mean accuracy along the way, 3 runs."""
-    m = fixtures.part_mentions(spark, sf_dir)
+    m = cut(fixtures.part_mentions(spark, sf_dir))
     members, queries = designed(m, cut(_wanted(names(m, len(SCHEDULED)), [(s, 2 * s + 40) for s in SCHEDULED])))
     one = queries.select("query_id").withColumn("component", F.lit(0).cast("long"))
     rows = packed(m, members, queries, components=one)
     total, out = 18_000, None
     for policy in ("round_robin", "by_selectivity", "closest_first", "farthest_first", "slowest_first", "equal"):
-        curves, _ = run(rows, m, members, queries, samplers.Settings(samples=total, policy=policy), 3, one)
+        curves, _ = run(rows, m, members, queries, samplers.Settings(samples=total, policy=policy, draw="cdf"), 3, one)
         for at in (total // 8, total // 4, total // 2, total):
             mean = metrics.at_step(curves, at).groupBy("run_id").agg(F.avg("f1q").alias("f")).agg(F.avg("f").alias("mean_f1q"), F.stddev("f").alias("sd"))
-            row = mean.select(F.lit(policy).alias("policy"), F.lit(at).alias("proposals"), "mean_f1q", "sd")
+            row = mean.select(F.lit(policy).alias("policy"), F.lit(at).alias("proposals"), F.round("mean_f1q", 9).alias("mean_f1q"), F.round("sd", 9).alias("sd"))
             out = row if out is None else out.unionByName(row)
     return out
 
 
+#: What the query's context may be: its level, whether it has keywords, the level at which mentions are read.
+CONTEXTS = (("none", "none", False, "paragraph"), ("paragraph", "paragraph", False, "paragraph"), ("document", "document", False, "document"), ("paragraph+keywords", "paragraph", True, "paragraph"), ("document+keywords", "document", True, "document"))
+CONTEXT_SETTINGS = samplers.Settings(sampler="expel", samples=600, draw="cdf")
+
+
 def w5_context(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Accuracy of expulsion by how much context the query has, and with keywords, 6 runs."""
-    m = fixtures.part_mentions(spark, sf_dir)
+    m = cut(fixtures.part_mentions(spark, sf_dir))
     members, queries = designed(m, cut(_wanted(names(m, 1), [(46, 103)])))
     gold = queries.first()["gold"]
-    words = (f"topic_{gold.replace(' ', '_')}",)
+    words, out = (f"topic_{gold.replace(' ', '_')}",), None
+    inside = cut(m.join(members.select("mention_id").distinct(), "mention_id", "left_semi"))
+    for label, of_query, with_words, level in CONTEXTS:
+        row = _in_context(inside, members, queries, of_query, words if with_words else (), level, TWO)
+        out = row.withColumn("level", F.lit(label)) if out is None else out.unionByName(row.withColumn("level", F.lit(label)))
+    return out.select("level", "f1_start", "f1_end", "sd")
+
+
+def _in_context(m: DataFrame, members: DataFrame, queries: DataFrame, of_query: str, words: tuple, level: str, specs) -> DataFrame:
+    """(f1_start, f1_end, sd): expulsion with the queries' context changed, 6 runs, averaged over queries."""
+    q = context.apply(queries, of_query, words)
+    changed = m.join(q.select("mention_id", F.col("context").alias("qc")), "mention_id", "left").withColumn("context", F.coalesce("qc", "context")).select(m.columns)
+    curves, _ = run(packed(changed, members, q, level), m, members, queries, CONTEXT_SETTINGS, 6, specs=specs)
+    start = metrics.at_step(curves, -1).agg(F.round(F.avg("f1q"), 9).alias("f1_start"))
+    end = metrics.at_step(curves, CONTEXT_SETTINGS.samples).groupBy("run_id").agg(F.avg("f1q").alias("f1q")).agg(F.round(F.avg("f1q"), 9).alias("f1_end"), F.round(F.stddev("f1q"), 9).alias("sd"))
+    return start.crossJoin(end)
+
+
+def w5_documents(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same over text: near copies of documents, whose contexts are the words of a paragraph or of the whole text.
+
+    Queries are the six largest groups' first documents; keywords are the words most particular to the group.
+    """
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    gold = cut(near_copy_gold(docs))
+    m = cut(fixtures.document_mentions(spark, sf_dir).drop("gold").join(gold, "mention_id").select("mention_id", "doc_id", "startpos", "mention", "context", "gold"))
+    sizes = gold.groupBy("gold").agg(F.count(F.lit(1)).alias("n"), F.min("mention_id").alias("mention_id")).where("n > 1")
+    q = cut(as_queries(m.join(sizes.orderBy(F.desc("n"), "mention_id").limit(6).select("mention_id"), "mention_id")))
+    every = m.select("mention_id", h32(F.concat(F.lit("d|"), F.col("mention_id").cast("string"))).alias("h"), F.col("gold").alias("g"))
+    rows = every.crossJoin(F.broadcast(q.select("query_id", F.col("gold").alias("qgold"))))
+    rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.when(F.col("g") == F.col("qgold"), 0).otherwise(1), "h", "mention_id"))
+    n_gold = F.count_if(F.col("g") == F.col("qgold")).over(Window.partitionBy("query_id"))
+    members = cut(rows.select("query_id", "mention_id", rank.alias("k"), n_gold.alias("n")).where("k <= 3 * n + 20").select("query_id", "mention_id"))
+    inside = cut(m.join(members.select("mention_id").distinct(), "mention_id", "left_semi"))
+    terms = members.join(context.context_terms(inside, "document"), "mention_id")
+    wanted = members.join(inside.select("mention_id", F.col("gold").alias("g")), "mention_id").join(q.select("query_id", "gold"), "query_id").where("g = gold").select("query_id", "mention_id")
+    words = tuple(sorted({r["term"] for r in context.salient(terms, wanted, 2).toLocalIterator()}))
     out = None
-    for label, level, kw in (("none", "none", ()), ("paragraph", "paragraph", ()), ("document", "document", ()), ("paragraph+keywords", "paragraph", words), ("document+keywords", "document", words)):
-        q = context.apply(queries, level, kw)
-        changed = m.join(q.select("mention_id", F.col("context").alias("qc")), "mention_id", "left").withColumn("context", F.coalesce("qc", "context")).select(m.columns)
-        rows = packed(changed, members, q, "document" if level == "document" else "paragraph")
-        curves, _ = run(rows, m, members, queries, samplers.Settings(sampler="expel", samples=600), 6)
-        start = metrics.at_step(curves, -1).agg(F.avg("f1q").alias("f1_start"))
-        end = metrics.at_step(curves, 600).agg(F.avg("f1q").alias("f1_end"), F.stddev("f1q").alias("sd"))
-        row = start.crossJoin(end).select(F.lit(label).alias("level"), "f1_start", "f1_end", "sd")
+    for label, of_query, with_words, level in CONTEXTS:
+        row = _in_context(inside, members, q, of_query, words if with_words else (), level, features.SHORT_NAMES).withColumn("level", F.lit(label))
         out = row if out is None else out.unionByName(row)
-    return out
+    return out.select("level", "f1_start", "f1_end", "sd")
+
 
+#: Queries, workers of a round, and the rounds after which accuracy is taken.
+PARALLEL = dict(counts=(1, 8, 64, 512), workers=4096, marks=(1, 2))
 
-def w6_parallel(spark: SparkSession, sf_dir: str, counts: tuple[int, ...] = (1, 8, 64)) -> DataFrame:
-    """Rising numbers of random queries over line mentions: alias-table seconds and bytes only; no rounds are run."""
-    m = fixtures.line_mentions(spark, sf_dir)
-    order = m.select("mention_id", h32(F.concat(F.lit("q|"), F.col("mention_id").cast("string"))).alias("h"))
-    picked = cut(as_queries(m.join(F.broadcast(order.orderBy("h", "mention_id").limit(max(counts)).withColumn("rank", F.row_number().over(Window.orderBy("h", "mention_id")))), "mention_id")))
-    entities = m.select("gold").distinct().count()
+
+def w6_parallel(spark: SparkSession, sf_dir: str, counts: tuple[int, ...] = PARALLEL["counts"], marks: tuple[int, ...] = PARALLEL["marks"]) -> DataFrame:
+    """Rising numbers of random queries over line mentions: parallel rounds of the hybrid at tau 1 over one merged
+    canopy, beside rounds of uniform proposals; mean accuracy, and seconds and bytes of the alias tables.
+
+    Whole canopies (five grams shared) are taken.  A round has the same number of workers for any number of queries; each
+    takes a query at random.  Workers of one query would all claim its entity: its improvements are merged at once and
+    repaired.  The baseline makes as many proposals, all uniform.
+    """
+    m = cut(fixtures.line_mentions(spark, sf_dir))
+    order = m.select("mention_id", h32(F.concat(F.lit("q|"), F.col("mention_id").cast("string"))).alias("h")).orderBy("h", "mention_id").limit(max(counts))
+    ranked = order.withColumn("rank", F.row_number().over(Window.orderBy("h", "mention_id"))).select("mention_id", "rank")
+    picked = cut(as_queries(m.join(held(ranked), "mention_id")))
+    gold, entities = m.select("mention_id", "gold"), m.select("gold").distinct().count()
     out = []
     for n in counts:
-        queries = picked.where(F.col("rank") <= n)
-        found = blocking.top_canopy(blocking.canopy(m, queries).where("query_id <> mention_id"), 200)
-        members = cut(found.select("query_id", "mention_id").union(queries.select("query_id", "mention_id")).distinct())
-        infl = cut(influence.decay(influence.score(members, m, queries, TWO, None, LEVEL)))
-        tables, seconds_ = parallel.parallel_alias_seconds(infl)
-        pool = members.select("mention_id").distinct().count()
-        out.append((n, entities, n / entities, pool, members.count(), seconds_, int(alias.table_bytes(tables).agg(F.sum("bytes")).first()[0])))
-    return spark.createDataFrame(out, "n_queries long, n_entities long, queries_per_entity double, pool long, table_entries long, alias_seconds double, alias_bytes long")
+        queries = cut(picked.where(F.col("rank") <= n))
+        found = blocking.canopy(m, queries, min_shared=5).select("query_id", "mention_id")
+        members = cut(found.union(queries.select("query_id", "mention_id")).distinct())
+        inside = cut(m.join(members.select("mention_id").distinct(), "mention_id", "left_semi"))
+        weights = cut(influence.decay(influence.score(members, inside, queries, TWO, None, LEVEL)))
+        tables, seconds_ = parallel.parallel_alias_seconds(weights)
+        side = cut(score.sides(inside, LEVEL))
+        by_pairs = lambda state, moves, side=side: score.move_delta_on_demand(state, side, moves, TWO)
+        pool = inside.count()
+        workers = PARALLEL["workers"]
+        parts = queries.select("query_id").withColumn("component", F.lit(0).cast("long"))
+        judge = lambda s, q=queries, parts=parts: metrics.query_prf(samplers.answers(s.withColumn("component", F.lit(0).cast("long")), q, parts), gold, q, 1).agg(F.avg("f1q")).first()[0]
+        s = base = state.init(inside.select("mention_id"))
+        done = 0
+        for mark in marks:
+            for step in range(done, mark):
+                s = cut(parallel.merge_round(s, by_pairs, tables, queries, step, workers=workers))
+                base = parallel.uniform_round(base, by_pairs, workers, step)
+            done = mark
+            out.append((n, entities, n / entities, pool, members.count(), mark, workers * mark, judge(s), judge(base), round(seconds_, 3), int(alias.table_bytes(tables).agg(F.sum("bytes")).first()[0])))
+    return spark.createDataFrame(
+        out, "n_queries long, n_entities long, queries_per_entity double, pool long, table_entries long, rounds long, proposals long, mean_f1q double, uniform_f1q double, alias_seconds double, alias_bytes long"
+    )
 
 
 def w7_worked_example(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -221,33 +328,38 @@ def w7_worked_example(spark: SparkSession, sf_dir: str) -> DataFrame:
     toy = fixtures.toy(spark)
     members = toy.select(F.lit(0).cast("long").alias("query_id"), "mention_id")
     queries = as_queries(toy.where("mention_id = 0"))
-    edges = cut(score.pair_edges(members, toy, features.CONTEXT_FIRST, None, LEVEL).withColumnRenamed("query_id", "component"))
-    infl = influence.score(members, toy, queries, features.CONTEXT_FIRST, None, LEVEL)
-    rows = cut(samplers.pack(members, toy, edges, infl, queries, None, LEVEL))
+    rows = cut(samplers.pack(members, toy, queries, None, LEVEL))
+    edges = cut(samplers.edges(rows, features.CONTEXT_FIRST))
     best = exact.map_partition(exact.partition_posterior(toy.select("mention_id"), edges)).first()["score"]
     out = None
     for kind in ("uniform", "pin_target", "influence_both", "influence_to_query", "expel", "expel_both"):
-        states = samplers.states(samplers.chains(rows, samplers.Settings(sampler=kind, samples=400), 20, features.CONTEXT_FIRST))
+        states = samplers.states(samplers.chains(rows, samplers.Settings(sampler=kind, samples=400, draw="cdf"), 20, features.CONTEXT_FIRST))
         got = score.config_score(states, edges).agg(F.max("score").alias("best_score"), F.avg("score").alias("mean_score"))
         row = got.select(F.lit(kind).alias("sampler"), "best_score", "mean_score", F.lit(best).alias("exact_score"))
         out = row if out is None else out.unionByName(row)
     return out
 
 
+#: Blocks of customers; proposals of a block's chain stopped early, the most of a whole one, and how many in vain end it.
+CUSTOMER_BLOCK = "regexp_extract(mention, '([0-9]{8})', 1)"
+EXHAUSTIVE = (300, 60_000, 3000)
+
+
 def w8_exhaustive(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Customer mentions resolved wholly, beside baselines, by B-cubed."""
     m = fixtures.customer_mentions(spark, sf_dir)
     gold = m.select("mention_id", "gold")
     er = session.EntityResolution(m, features.SHORT_NAMES, LEVEL)
     found = {
-        "exhaustive": er.resolve_all("regexp_extract(mention, '([0-9]{8})', 1)", samples=300),
+        "stopped early": er.resolve_all(CUSTOMER_BLOCK, samples=EXHAUSTIVE[0]),
+        "exhaustive": er.resolve_all(CUSTOMER_BLOCK, samples=EXHAUSTIVE[1], idle=EXHAUSTIVE[2]),
         "same_string": baselines.same_string(m),
-        "blocked": baselines.blocked(m, F.regexp_extract("mention", "([0-9]{8})", 1)),
+        "blocked": baselines.blocked(m, F.expr(CUSTOMER_BLOCK)),
         "alone": baselines.alone(m),
     }
     out = None
     for k, s in found.items():
-        row = metrics.b_cubed(s, gold).select(F.lit(k).alias("method"), "precision", "recall", "f1")
+        row = metrics.b_cubed(s, gold).select(F.lit(k).alias("method"), *[F.round(c, 9).alias(c) for c in ("precision", "recall", "f1")])
         out = row if out is None else out.unionByName(row)
     return out
 
@@ -287,8 +399,7 @@ def w9_text(spark: SparkSession, sf_dir: str) -> DataFrame:
     picked = m.join(sizes.orderBy(F.desc("n"), "mention_id").limit(12).select("mention_id"), "mention_id")
     q = cut(as_queries(picked))
     er = session.EntityResolution(m, features.SHORT_NAMES, "document", settings=samplers.Settings(samples=600))
-    rows, _, frame, parts = er.packed(q)
-    answers = er._answers(rows, frame, parts, 1)
+    answers = er.select_entity(q)
     prf = metrics.mean_f1q(metrics.query_prf(answers, m.select("mention_id", "gold"), q, 1)).select(F.lit("near_copies").alias("what"), F.col("n_queries").alias("n"), F.col("mean_f1q").alias("value"))
     mails = fixtures.email_mentions(spark, sf_dir)
     same = metrics.b_cubed(baselines.same_string(mails), mails.select("mention_id", "gold")).select(F.lit("addresses").alias("what"), F.lit(mails.count()).alias("n"), F.col("f1").alias("value"))
@@ -317,10 +428,13 @@ def w11_negative_control(spark: SparkSession, sf_dir: str) -> DataFrame:
     v = fixtures.embedding_mentions(spark, sf_dir)
     blocks = blocking.by_vector(v, 6).join(v.select("mention_id", "gold"), "mention_id")
     s = blocks.withColumn("entity_id", F.min("mention_id").over(Window.partitionBy("block"))).select(F.lit(0).alias("run_id"), "mention_id", "entity_id")
-    shuffled = v.select("mention_id", "gold", F.row_number().over(Window.orderBy("mention_id")).alias("a")).join(v.select(F.col("gold").alias("other"), F.row_number().over(Window.orderBy(h32(F.col("mention_id").cast("string")), "mention_id")).alias("a")), "a")
+    order = blocking.ranked(v.select("mention_id", "gold"), "mention_id", name="a")
+    other = blocking.ranked(v.select(F.col("gold").alias("other"), h32(F.col("mention_id").cast("string")).alias("h"), F.col("mention_id").alias("m")), "h", "m", name="a")
+    shuffled = order.join(other, "a")
     chance = metrics.b_cubed(s, shuffled.select("mention_id", F.col("other").alias("gold")))
     real = metrics.b_cubed(s, v.select("mention_id", "gold"))
-    return real.select(F.lit("labels").alias("what"), "precision", "recall", "f1").unionByName(chance.select(F.lit("shuffled labels").alias("what"), "precision", "recall", "f1"))
+    cells = [F.round(c, 9).alias(c) for c in ("precision", "recall", "f1")]
+    return real.select(F.lit("labels").alias("what"), *cells).unionByName(chance.select(F.lit("shuffled labels").alias("what"), *cells))
 
 
 def w12_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -331,4 +445,10 @@ def w12_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
     return growth.replay(spark, sf_dir).withColumnRenamed("n_mentions", "streamed").join(growth.counts(m, growth.watch(m)).withColumnRenamed("n_mentions", "batch"), "query_id", "full")
 
 
-WORKLOADS = {f.__name__: f for f in (w1_real_time, w2_samplers, w2_uninformative, w2_annealed, w3_selectivity, w3_score_decay, w4_schedules, w5_context, w6_parallel, w7_worked_example, w8_exhaustive, w9_text, w10_refine, w11_negative_control, w12_stream)}
+WORKLOADS = {
+    f.__name__: f
+    for f in (
+        w1_real_time, w1_timings, w2_samplers, w2_uninformative, w2_annealed, w2_published, w2_learned, w3_selectivity, w3_score_decay, w4_schedules,
+        w5_context, w5_documents, w6_parallel, w7_worked_example, w8_exhaustive, w9_text, w10_refine, w11_negative_control, w12_stream, trained_weights,
+    )
+}

@@ -107,7 +107,7 @@ def document_mentions(spark: SparkSession, sf_dir: str) -> DataFrame:
     The gold label is left null; near_copy_gold() makes one.
     """
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    sentences = F.filter(F.transform(F.split("text", "[.\n]"), F.trim), lambda s: s != "")
+    sentences = F.filter(F.transform(F.split("text", "[.\n]"), lambda s: F.trim(s)), lambda s: s != "")
     longest = F.array_max(F.transform(sentences, lambda s, i: F.struct(F.char_length(s).alias("n"), (-i).alias("i"), s.alias("s"))))["s"]
     rows = docs.select("doc_id", "text", F.explode(F.array(longest)).alias("sentence")).where("sentence IS NOT NULL")
     paragraph = F.get(F.filter(F.split("text", "\n"), lambda p: p.contains(F.col("sentence"))), F.lit(0))
