@@ -1,4 +1,7 @@
-"""A training-data pipeline over documents: rules, boilerplate, near copies, test passages, packing."""
+"""A training-data pipeline over documents: rules, boilerplate, near copies, test passages, packing.
+
+Stages take and return any columns beside doc_id, text, lang and source, whatever their names, and take empty tables.
+"""
 
 from __future__ import annotations
 
@@ -9,27 +12,37 @@ from erfocus.operators.durable import shared_path
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that pass the base rules and the risk-controlled cutoffs."""
+    """Documents that pass the base rules and the risk-controlled cutoffs.
+
+    Null and empty texts fail; rows repeated fare alike; a null language is a stratum of its own; null ids are kept.
+    """
     return quality.kept_documents(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
 
 
 def line_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Every document, without lines that are boilerplate of many sites."""
+    """Every document, without lines that are boilerplate of many sites.
+
+    Null texts stay null, a null site is one site; a text of nothing but such lines is left as it is; lines that occur
+    twice leave twice.
+    """
     return line_dedup.without_boilerplate(docs)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near copies."""
+    """One document of each group of near copies, the one of the smallest id.
+
+    Null ids, and texts that are null or without words, are kept; of rows that share the kept id, one stays.
+    """
     return simhash.one_of_each(docs)
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without a benchmark passage."""
+    """Documents without a benchmark passage; null and empty texts have none, repeated rows fare alike."""
     return decontaminate.decontaminate(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pieces of sequences of at most 2048 ids."""
+    """Pieces of sequences of at most 2048 ids; null and empty texts are the end id alone, repeated rows packed each."""
     return packing.pack(docs)
 
 

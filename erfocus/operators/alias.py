@@ -82,3 +82,12 @@ def presample(table: DataFrame, k: int, seed: int = 1) -> DataFrame:
 def table_bytes(table: DataFrame) -> DataFrame:
     """(query_id, bytes): a double and an unsigned integer a member."""
     return table.select("query_id", (F.size("ids").cast("long") * 12).alias("bytes"))
+
+
+def spill(table: DataFrame, path: str) -> DataFrame:
+    """Tables, or presampled draws, written to Parquet by query and read again: for more queries than memory holds.
+
+    A selection then reads its own query's row alone, as files hold the least and greatest id of each part.
+    """
+    table.repartitionByRange("query_id").sortWithinPartitions("query_id").write.mode("overwrite").parquet(path)
+    return table.sparkSession.read.parquet(path)

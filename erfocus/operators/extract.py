@@ -5,6 +5,10 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from erfocus.operators.durable import cut
+
+SHORT_BLOCK = 1000
+
 
 def pattern_mentions(documents: DataFrame, pattern: str, radius: int = 100, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, startpos, mention, before, after) of a pattern's matches, by place from 1.
@@ -33,7 +37,16 @@ def passages(documents: DataFrame, watchlist: DataFrame, max_rows: int = 100_000
     items = watchlist.where("text IS NOT NULL AND text <> ''").select("item_id", F.col("text").alias("passage"), core.alias("word"))
     docs = documents.where("text IS NOT NULL").select("doc_id", "text")
     words = docs.select("doc_id", F.explode(F.array_distinct(F.split("text", " "))).alias("word"))
-    small = F.broadcast(items) if items.limit(max_rows + 1).count() <= max_rows else items
-    found = words.join(small.where("word IS NOT NULL"), "word").select("doc_id", "item_id", "passage")
-    short = docs.join(small.where("word IS NULL"), F.col("text").contains(F.col("passage"))).select("doc_id", "item_id", "passage")
-    return found.join(docs, "doc_id").where(F.col("text").contains(F.col("passage"))).select("item_id", "doc_id").union(short.select("item_id", "doc_id"))
+    items = cut(items)
+    n = items.count()
+    few = F.broadcast(items) if n <= max_rows else items
+    found = words.join(few.where("word IS NOT NULL"), "word").select("doc_id", "item_id", "passage")
+    found = found.join(docs, "doc_id").where(F.col("text").contains(F.col("passage"))).select("item_id", "doc_id")
+    # Passages of one or two words may stand inside words: they are a query set, looked up block by block in each text.
+    short = items.where("word IS NULL").select("item_id", "passage")
+    blocks = -(-short.count() // SHORT_BLOCK)
+    for b in range(blocks):
+        block = short.where(F.pmod(F.xxhash64("item_id", "passage"), F.lit(blocks)) == b).agg(F.collect_list(F.struct("item_id", "passage")).alias("ps"))
+        hits = docs.crossJoin(F.broadcast(block)).select("doc_id", F.explode(F.filter("ps", lambda p: F.col("text").contains(p["passage"]))).alias("p"))
+        found = found.union(hits.select("p.item_id", "doc_id"))
+    return found

@@ -477,5 +477,6 @@ n AS (SELECT what, count(*) OVER (PARTITION BY what, block, gold) AS b, count(*)
 SELECT what, round(p, 9) AS precision, round(r, 9) AS recall, round(2 * p * r / (p + r), 9) AS f1 FROM q""",
         "w12_stream": f"WITH {HANDLES}, k AS (SELECT query_id, count(*) AS n FROM hm GROUP BY 1) SELECT query_id, n AS streamed, n AS batch FROM k",
     }
+    out["alias_spilled"] = out["alias_mass"]
     chains = {f"chain_{s}": chain_key(s) for s in ("uniform", "pin_target", "influence_both", "influence_to_query", "expel", "expel_both")}
     return out | chains | {"chain_alias": chain_key("influence_to_query", draw="alias"), "chain_mh": chain_key("influence_to_query", temperature=30.0)}

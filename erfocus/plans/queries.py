@@ -12,7 +12,7 @@ from erfocus.functions import features
 from erfocus.functions.rand import h32
 from erfocus.functions.strings import normal
 from erfocus.operators import alias, baselines, blocking, context, converge, exact, extract, influence, metrics, parallel, samplers, schedule, score, state, train
-from erfocus.operators.durable import cut
+from erfocus.operators.durable import cut, shared_path
 from erfocus.plans import session, workloads
 from erfocus.plans.oracles import BSP_ROUNDS, BSP_WORKERS, LARGE_SHARED, LARGE_STEPS, RESOLVE_STEPS, SELECT_STEPS, STEPS, WATCH
 from erfocus.sources import fixtures
@@ -194,6 +194,12 @@ def alias_presample(spark, sf_dir):
     return alias.presample(alias.build(influence.decay(Part(spark, sf_dir).scores())), 50)
 
 
+def alias_spilled(spark, sf_dir):
+    """The same from tables that were written down, and draws that were made ahead."""
+    tables = alias.spill(alias.build(influence.decay(Part(spark, sf_dir).scores())), shared_path(spark, "alias"))
+    return alias.mass(tables).select("query_id", "mention_id", r9("p"))
+
+
 def init_states(spark, sf_dir):
     p = Part(spark, sf_dir)
     return p.three_states(p.members(p.one)).select("how", "mention_id", "entity_id")
@@ -576,7 +582,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
         qgram_postings, gram_df, canopy_single, canopy_watchlist, canopy_rarest_grams, canopy_sorted_neighborhood, vector_blocks,
         watchlist_selectivity, gold_selectivity, canopy_quality, merged_components, term_stats, tfidf_cosine,
         pair_features, pair_edges, influence_scores, influence_decay, influence_decay_by_score, inverse_influence, influence_top,
-        alias_mass, alias_bytes, alias_presample, init_states, config_score, entity_score, matching_strings, move_delta,
+        alias_mass, alias_bytes, alias_presample, alias_spilled, init_states, config_score, entity_score, matching_strings, move_delta,
         acceptance_rates, query_prf, mean_f1q, metric_cube, average_runs, b_cubed, query_ratios, pairwise_closure, blocked_baseline,
         coref_view, clusters, same_entity, context_levels, exact_posterior, exact_map, exact_marginal, bsp_winners, bsp_rounds, bsp_merge_round,
         bsp_proposals, move_delta_on_demand, passage_watchlist, trace_curve, time_to_target, score_trace, proposal_counts, steady_state, first_correct, salient_terms,
