@@ -783,6 +783,53 @@ def test_no_model_and_no_items(spark, docs, sf):
     assert url_filter.judge(sf("pages"), ()).where("verdict = 'allow' AND rule IS NULL").count() == sf("pages").count()
 
 
+def brute_pipeline(own, items):
+    """Stage by stage: {doc_id: text} kept, from (doc_id, text, source); without cutoffs, as a small table has none."""
+    own = [(i, t, s) for i, t, s in own if (m := brute_measures(t))[0] >= 50 and 100 * m[4] <= 50 * m[0]]
+    yield {i: t for i, t, _ in own}
+    sites = {}
+    for _, t, s in own:
+        for x in t.split("\n"):
+            if words(x):
+                sites.setdefault(x.strip(" "), set()).add(s)
+    hit = lambda x: len(sites.get(x.strip(" "), ())) >= 10
+    cut = lambda t: "\n".join(x for x in t.split("\n") if not hit(x)) if any(words(x) and not hit(x) for x in t.split("\n")) else t
+    texts_ = {i: cut(t) for i, t, _ in own}
+    yield texts_
+    sets = {i: {tuple(ws[k : k + 5]) for k in range(max(1, len(ws) - 4))} if (ws := words((t or "").translate(LOWER))) else set() for i, t in texts_.items()}
+    label = {i: i for i in sets}
+    for a, b in itertools.combinations([i for i in sets if sets[i]], 2):
+        if len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b]) and label[a] != label[b]:
+            old, new = max(label[a], label[b]), min(label[a], label[b])
+            label = {i: new if x == old else x for i, x in label.items()}
+    texts_ = {i: t for i, t in texts_.items() if label[i] == i}
+    yield texts_
+    yield {i: t for i, t in texts_.items() if not brute_hits(t, items)[1]}
+
+
+def test_pipeline_brute_force(spark, small):
+    import corpus_pipeline
+
+    docs = spark.read.parquet(f"{small}/documents.parquet")
+    items = [(r.item_id, r.text) for r in spark.read.parquet(f"{small}/benchmark.parquet").collect()]
+    own = [(r.doc_id, r.text, r.source) for r in docs.collect()]
+    for (name, stage), want in zip(corpus_pipeline.STAGES[:-1], brute_pipeline(own, items), strict=True):
+        docs = stage(spark, docs, small)
+        assert {r.doc_id: r.text for r in docs.collect()} == want, name
+    pieces = corpus_pipeline.run(spark, small).collect()
+    assert {r.doc_id for r in pieces} == set(want) and 0 < len(want) < len(own)
+    by = {}
+    for r in pieces:
+        by.setdefault(r.doc_id, []).append((r.start, r.length, r.doc_tokens))
+    encoded = dict(zip(want, packing.encode(list(want.values())), strict=True))
+    for i, parts in by.items():
+        at = 0
+        for start, length, total in sorted(parts):
+            assert start == at and total == len(encoded[i])
+            at += length
+        assert at == len(encoded[i])
+
+
 def test_pipeline(spark, small):
     import corpus_pipeline
 
