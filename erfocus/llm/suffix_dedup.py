@@ -10,25 +10,28 @@ MIN_WORDS words.  A retained suffix gives one row for each of its matches.  Word
 of equal hashes byte by byte.
 
 First words that begin more than GROUP suffixes would make a task too large.  For those every place is retained:
-suffixes that begin anywhere are range-sorted by a 128-bit hash of their first MIN_WORDS words, and compared with
-their neighbours; ranges split also suffixes of the same words.
+suffixes that begin anywhere are sorted by a 128-bit hash of their first MIN_WORDS words and compared with their
+neighbours, first within a task that reads texts, then, a place from each such task, by ranges of hashes.
 """
 
 from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from erfocus.llm import textarrays as ta
-from erfocus.llm.groups import by_group, starts
+from erfocus.llm.groups import by_group
 from erfocus.llm.kinds import arrow_kind
 from erfocus.operators.durable import cut
 
 MIN_WORDS = 50
 ANCHOR = 10
-GROUP = 2048
+GROUP = 1024
+#: Places that a task holds before it settles them.
+FLUSH = 1 << 20
 MAX_LIVE = 8 << 20
 
 
@@ -184,12 +187,37 @@ def _spans_of(table: pa.Table, min_words: int, anchor: int):
         yield pa.RecordBatch.from_arrays([docs.take(pa.array(at)), pa.array((place[at] - found[:, 1]).astype(np.int32)), pa.array((place[at] + found[:, 2]).astype(np.int32))], names=["doc_id", "start", "end"])
 
 
-def windows(rows: DataFrame, known: np.ndarray | None, min_words: int, anchor: int) -> DataFrame:
-    """(window, check, doc_id, place) of every place whose window's minimiser has known first words."""
-    kind = rows.schema["doc_id"].dataType.simpleString()
+def _runs(window: np.ndarray, check: np.ndarray, code: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(order, first, several): rows sorted by window and document, where each window begins, whether two documents have it."""
+    order = np.lexsort((code, check, window))
+    w, c, d = window[order], check[order], code[order]
+    first = np.flatnonzero(np.concatenate([[True], (w[1:] != w[:-1]) | (c[1:] != c[:-1])])) if len(w) else np.empty(0, dtype=np.int64)
+    last = np.append(first[1:], len(w)) - 1
+    return order, first, d[first] != d[last]
+
+
+def _intervals(docs: pa.Array, code: np.ndarray, place: np.ndarray, min_words: int) -> tuple[pa.Array, pa.Array, pa.Array]:
+    """(doc_id, start, end) of the unions of windows at these places, document by document."""
+    order = np.lexsort((place, code))
+    code, place = code[order], place[order].astype(np.int64)
+    new = np.concatenate([[True], (code[1:] != code[:-1]) | (place[1:] > place[:-1] + min_words)]) if len(place) else np.empty(0, dtype=bool)
+    first = np.flatnonzero(new)
+    end = place[np.append(first[1:], len(place)) - 1] if len(first) else first
+    return docs.take(pa.array(order[first])), pa.array(place[first], pa.int32()), pa.array(end + min_words, pa.int32())
+
+
+def windows(rows: DataFrame, known: np.ndarray | None, min_words: int, anchor: int, buckets: int) -> DataFrame:
+    """(bucket, window, check, doc_id, place, until): every place whose window's minimiser has known first words, by lists.
+
+    A task settles what its own texts settle: windows that two of them have are spans, in a list of a bucket below 0, and one
+    place of each (-1) goes on as a witness; places of windows that one document of the task has go on to the
+    window's bucket.  So a window of many documents is at most a place from each task.
+    """
+    kind = rows.schema["doc_id"].dataType
     handle = rows.sparkSession.sparkContext.broadcast(known)
 
     def run(batches):
+        held: list = []
         for batch in batches:
             docs = batch.column(0)
             for row, end, data, offsets in ta.slices(batch.column(1)):
@@ -197,19 +225,63 @@ def windows(rows: DataFrame, known: np.ndarray | None, min_words: int, anchor: i
                 h = ta.word_hashes(w)
                 start, place, grams = minimisers(h, w, min_words, anchor)
                 start = start[_among(_known(batch, row, end, handle.value), grams[place].view(np.int64))] if len(start) else start
-                if not len(start):
-                    continue
-                yield pa.RecordBatch.from_arrays(
-                    [
-                        pa.array(ta.gram_hashes(h, min_words)[start].view(np.int64)),
-                        pa.array(ta.gram_hashes(ta.mix(h, 0x51ED27), min_words)[start].view(np.int64)),
-                        docs.take(pa.array(row + w.text[start])),
-                        pa.array((start - w.first[w.text[start]]).astype(np.int32)),
-                    ],
-                    names=["window", "check", "doc_id", "place"],
-                )
+                if len(start):
+                    text = w.text[start]
+                    held.append((ta.gram_hashes(h, min_words)[start].view(np.int64), ta.gram_hashes(ta.mix(h, 0x51ED27), min_words)[start].view(np.int64), docs.take(pa.array(row + text)), (start - w.first[text]).astype(np.int32)))
+                if sum(len(x[0]) for x in held) >= FLUSH:
+                    yield settle(held)
+                    held = []
+        if held:
+            yield settle(held)
 
-    return rows.mapInArrow(run, f"window long, check long, doc_id {kind}, place int")
+    def settle(held: list) -> pa.RecordBatch:
+        window, check, place = (np.concatenate([x[k] for x in held]) for k in (0, 1, 3))
+        docs = pa.chunked_array([x[2] for x in held]).combine_chunks()
+        code = docs.dictionary_encode().indices.to_numpy()
+        order, first, several = _runs(window, check, code)
+        size = np.diff(np.append(first, len(order)))
+        mine = order[np.repeat(several, size)]
+        spans = _intervals(docs.take(pa.array(mine)), code[mine], place[mine], min_words)
+        on = np.concatenate([order[first[several]], order[~np.repeat(several, size)]])
+        at = np.where(np.arange(len(on)) < several.sum(), np.int32(-1), place[on])
+        bucket = (window[on].view(ta.U) % ta.U(buckets)).astype(np.int64)
+        by = np.argsort(bucket, kind="stable")
+        on, at, bucket = on[by], at[by], bucket[by]
+        cut_ = np.flatnonzero(np.concatenate([[True], bucket[1:] != bucket[:-1]])) if len(on) else np.empty(0, dtype=np.int64)
+        # The first list holds the spans; lists of places follow, one for each bucket.
+        n = len(spans[0])
+        none = np.zeros(n, dtype=np.int64)
+        values = [
+            pa.array(np.concatenate([none, window[on]])),
+            pa.array(np.concatenate([none, check[on]])),
+            pa.concat_arrays([spans[0], docs.take(pa.array(on))]),
+            pa.concat_arrays([spans[1], pa.array(at)]),
+            pa.concat_arrays([spans[2], pa.array(at + np.int32(min_words))]),
+        ]
+        offsets = pa.array(np.concatenate([[0], n + cut_, [n + len(on)]] if len(on) else [[0, n]]).astype(np.int32))
+        lists = [pa.ListArray.from_arrays(offsets, x) for x in values]
+        return pa.RecordBatch.from_arrays([pa.array(np.concatenate([[-1 - TaskContext.get().partitionId() % buckets], bucket[cut_]]), pa.int32()), *lists], names=["bucket", "window", "check", "doc_id", "place", "until"])
+
+    return rows.mapInArrow(run, f"bucket int, window array<long>, check array<long>, doc_id array<{kind.simpleString()}>, place array<int>, until array<int>")
+
+
+def _met(table: pa.Table, min_words: int):
+    """(doc_id, start, end) from the lists of whole buckets."""
+    flat = {c: table.column(c).combine_chunks().flatten() for c in ("window", "check", "doc_id", "place", "until")}
+    size = np.diff(table.column("window").combine_chunks().offsets.to_numpy())
+    settled = np.repeat(table.column("bucket").to_numpy() < 0, size)
+    docs, done = flat["doc_id"], np.flatnonzero(settled)
+    if len(done):
+        yield pa.RecordBatch.from_arrays([docs.take(pa.array(done)), flat["place"].take(pa.array(done)), flat["until"].take(pa.array(done))], names=["doc_id", "start", "end"])
+    open_ = np.flatnonzero(~settled)
+    if not len(open_):
+        return
+    code, place = docs.dictionary_encode().indices.to_numpy()[open_], flat["place"].to_numpy()[open_]
+    order, first, several = _runs(flat["window"].to_numpy()[open_], flat["check"].to_numpy()[open_], code)
+    # A witness stands for at least two documents.
+    several |= np.minimum.reduceat(place[order], first) < 0
+    mine = order[np.repeat(several, np.diff(np.append(first, len(order)))) & (place[order] >= 0)]
+    yield pa.RecordBatch.from_arrays([*_intervals(docs.take(pa.array(open_[mine])), code[mine], place[mine], min_words)], names=["doc_id", "start", "end"])
 
 
 def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_words: int = MIN_WORDS, anchor: int = ANCHOR, max_live: int = MAX_LIVE, group: int = GROUP) -> DataFrame:
@@ -236,58 +308,12 @@ def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     sparse = over(few, suffixes).repartition("gram").sortWithinPartitions("gram")
     spans = sparse.mapInArrow(by_group(lambda table: _spans_of(table, min_words, anchor), "gram"), f"doc_id {kind.simpleString()}, start int, end int")
     if not many.isEmpty():
-        spans = spans.union(_neighbouring(over(many, windows), min_words))
+        buckets = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+        every = over(many, lambda *given: windows(*given, buckets)).repartition("bucket").sortWithinPartitions("bucket")
+        spans = spans.union(every.mapInArrow(by_group(lambda table: _met(table, min_words), "bucket"), f"doc_id {kind.simpleString()}, start int, end int"))
     return _merged(spans, kind)
 
 
-def _neighbouring(every: DataFrame, min_words: int) -> DataFrame:
-    """(doc_id, start, end) of windows that a neighbour from another document is equal to.
-
-    Windows are sorted in ranges that also split a window of many documents, and lie written down; a window that
-    runs over the ends of ranges is settled by what the ranges begin and end with, a row each.
-    """
-    order = ["window", "check", "doc_id", "place"]
-    kind = every.schema["doc_id"].dataType.simpleString()
-    rows = cut(every.repartitionByRange(*order).sortWithinPartitions(*order))
-
-    def ends(batches):
-        found: list = []
-        for batch in batches:
-            table = pa.Table.from_batches([batch])
-            first = starts(table, ("window", "check"))
-            for at in sorted({0, len(first) - 1}) if len(first) else ():
-                a, b = int(first[at]), int(first[at + 1]) - 1 if at + 1 < len(first) else table.num_rows - 1
-                key = (table["window"][a].as_py(), table["check"][a].as_py())
-                low, high = table["doc_id"][a], table["doc_id"][b]
-                if found and found[-1][0] == key:
-                    found[-1][2] = high
-                else:
-                    del found[1:]
-                    found.append([key, low, high])
-        if found:
-            docs = pa.array([x for f in (found[0], found[-1]) for x in (f[1].as_py(), f[2].as_py())], found[0][1].type)
-            keys = [f[0] for f in (found[0], found[0], found[-1], found[-1])]
-            yield pa.RecordBatch.from_arrays([pa.array([k[0] for k in keys], pa.int64()), pa.array([k[1] for k in keys], pa.int64()), docs], names=["window", "check", "doc_id"])
-
-    edges = rows.mapInArrow(ends, f"window long, check long, doc_id {kind}").groupBy("window", "check").agg(F.min("doc_id").alias("a"), F.max("doc_id").alias("b")).where("a < b")
-    over = frozenset((r["window"], r["check"]) for r in edges.toLocalIterator())
-    handle = every.sparkSession.sparkContext.broadcast(over)
-
-    def shared(table: pa.Table):
-        first = starts(table, ("window", "check"))
-        last = np.append(first[1:], table.num_rows) - 1
-        docs = table.column("doc_id").combine_chunks()
-        code = docs.dictionary_encode().indices.to_numpy()
-        several = code[first] != code[last]
-        keys = zip(table.column("window").to_numpy()[first].tolist(), table.column("check").to_numpy()[first].tolist(), strict=True)
-        several |= np.fromiter((k in handle.value for k in keys), dtype=bool, count=len(first))
-        mine = np.flatnonzero(np.repeat(several, last - first + 1))
-        place = table.column("place").to_numpy()[mine]
-        yield pa.RecordBatch.from_arrays([docs.take(pa.array(mine)), pa.array(place), pa.array(place + np.int32(min_words))], names=["doc_id", "start", "end"])
-
-    return rows.mapInArrow(by_group(shared, "window", "check"), f"doc_id {kind}, start int, end int")
-
-
 def _sorted(live: DataFrame) -> np.ndarray:
     return np.sort(np.fromiter((r["gram"] for r in live.toLocalIterator()), dtype=np.int64))
 

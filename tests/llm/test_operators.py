@@ -559,6 +559,21 @@ def test_repeated_spans_brute_force(docs, sf, live, group):
         assert got == brute_spans(own) and got
 
 
+@pytest.mark.parametrize("parts", [1, 5])
+def test_hot_windows_are_settled_in_and_between_tasks(spark, parts, monkeypatch):
+    rng = np.random.default_rng(6)
+    core = [f"c{i}" for i in range(120)]
+    own = [(k, " ".join([*core[: 60 + k % 3], *(f"e{k}_{i}" for i in range(5)), *core[60 + k % 3 :]])) for k in range(40)] + [(k % 7 + 50, " ".join(core)) for k in range(14)]
+    own += [(90, " ".join(core[:49])), (91, " ".join([*core[:50]] * 2)), (91, " ".join(core[20:75]))]
+    rng.shuffle(own)
+    df = spark.createDataFrame([(int(i), t) for i, t in own], "doc_id long, text string").repartition(parts)
+    got = {(r.doc_id, r.start_word, r.end_word) for r in suffix_dedup.repeated_spans(df, group=1).collect()}
+    assert got == {(r.doc_id, r.start_word, r.end_word) for r in suffix_dedup.repeated_spans(df).collect()}
+    one = [(int(i), t) for i, t in own if [x for x, _ in own].count(i) == 1]
+    some = df.where(df.doc_id.isin([i for i, _ in one]))
+    assert {(r.doc_id, r.start_word, r.end_word) for r in suffix_dedup.repeated_spans(some, group=1).collect()} == brute_spans(one)
+
+
 def test_matches_extend_both_ways_in_neighbours(spark):
     rng = np.random.default_rng(5)
     core = [f"c{i}" for i in range(70)]
