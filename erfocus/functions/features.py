@@ -155,6 +155,10 @@ def text_similarity(a: Column, b: Column, q: int = 3) -> Column:
     """Jaccard of q-grams of the strings, for tiers without context statistics."""
     from erfocus.functions.strings import qgrams
 
-    x, y = qgrams(a["m"], q), qgrams(b["m"], q)
+    return gram_similarity(qgrams(a["m"], q), qgrams(b["m"], q))
+
+
+def gram_similarity(x: Column, y: Column) -> Column:
+    """Jaccard of two strings' q-grams: for joins, where a side's grams are worked out once and not for each pair."""
     common = F.size(F.array_intersect(x, y))
     return common / (F.size(x) + F.size(y) - common)

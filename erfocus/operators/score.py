@@ -8,24 +8,32 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from erfocus.functions import features
+from erfocus.functions.strings import qgrams
+from erfocus.operators.durable import cut, sized
+
+#: Mentions with their contexts that pair_edges() broadcasts.
+MAX_BROADCAST_MENTIONS = 20_000
+
 
 def pair_edges(canopy: DataFrame, mentions: DataFrame, specs: Iterable[features.FeatureSpec] = features.PAIRWISE, cosines: DataFrame | None = None, level: str = "document", key: str = "query_id") -> DataFrame:
     """(key, i, j, w) with i < j of each canopy's pairs: a theta join inside a canopy, never over the table.
 
     As many rows as half the squares of the canopies' sizes: for small ones, exact inference and checks; chains
-    work rows of weights out as they need them (pairs.PairModel).  cosines: (i, j, cos) for the tiers; without
-    them the strings' q-gram Jaccard is used.
+    work rows of weights out as they need them (pairs.PairModel).  Canopies of up to MAX_BROADCAST_MENTIONS in
+    all are compared map-side.  cosines: (i, j, cos) for the tiers; without them the strings' q-gram Jaccard is used.
     """
-    own = features.prepare(mentions.select("mention_id", "mention", "context"), level, "s").select("mention_id", "s")
-    rows = canopy.select(key, "mention_id").join(own, "mention_id")
-    a = rows.select(key, F.col("mention_id").alias("i"), F.col("s").alias("a"))
-    b = rows.select(F.col(key).alias("__k"), F.col("mention_id").alias("j"), F.col("s").alias("b"))
+    own = features.prepare(mentions.select("mention_id", "mention", "context"), level, "s").select("mention_id", "s", qgrams(F.col("s.m")).alias("g"))
+    rows = cut(canopy.select(key, "mention_id").join(own, "mention_id"))
+    # One canopy is one key: its left mentions are dealt over tasks, so that its pairs are not all one task's.
+    tasks = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    a = rows.select(key, F.col("mention_id").alias("i"), F.col("s").alias("a"), F.col("g").alias("ga")).repartition(tasks, "i")
+    b = sized(rows.select(F.col(key).alias("__k"), F.col("mention_id").alias("j"), F.col("s").alias("b"), F.col("g").alias("gb")), MAX_BROADCAST_MENTIONS)
     pairs = a.join(b, (a[key] == b["__k"]) & (a["i"] < b["j"]))
     if cosines is not None:
         pairs = pairs.join(cosines.withColumnRenamed("cos", "__s"), ["i", "j"], "left")
         s = F.col("__s")
     else:
-        s = features.text_similarity(F.col("a"), F.col("b"))
+        s = features.gram_similarity(F.col("ga"), F.col("gb"))
     return pairs.select(key, "i", "j", features.total(specs, F.col("a"), F.col("b"), s).alias("w"))
 
 
@@ -41,15 +49,15 @@ def entity_score(state: DataFrame, mentions: DataFrame, similar: DataFrame | Non
     """(run_id, score) of the entity-wide features: for each mention of an entity of several, whether another
     is similar to it (similar: (i, j) pairs, i < j) and whether another is of its document."""
     by = {s.name: s for s in specs}
-    sized = state.join(state.groupBy("run_id", "entity_id").agg(F.count(F.lit(1)).alias("n")), ["run_id", "entity_id"]).where("n > 1")
-    docs = sized.join(mentions.select("mention_id", "doc_id"), "mention_id")
+    several = state.join(state.groupBy("run_id", "entity_id").agg(F.count(F.lit(1)).alias("n")), ["run_id", "entity_id"]).where("n > 1")
+    docs = several.join(mentions.select("mention_id", "doc_id"), "mention_id")
     same = docs.groupBy("run_id", "entity_id", "doc_id").agg(F.count(F.lit(1)).alias("k"))
     out = same.select("run_id", F.when(F.col("k") > 1, F.col("k") * by["f16"].plus).otherwise(F.col("k") * by["f16"].minus).alias("s"))
     if similar is not None:
         e = state.select("run_id", "mention_id", "entity_id")
         near = similar.join(e.withColumnsRenamed({"mention_id": "i", "entity_id": "ei"}), "i").join(e.withColumnsRenamed({"mention_id": "j", "entity_id": "ej"}), ["run_id", "j"]).where("ei = ej")
         has = near.select("run_id", F.col("i").alias("mention_id")).union(near.select("run_id", F.col("j").alias("mention_id"))).distinct().withColumn("has", F.lit(1))
-        marked = sized.join(has, ["run_id", "mention_id"], "left")
+        marked = several.join(has, ["run_id", "mention_id"], "left")
         out = out.union(marked.select("run_id", F.when(F.col("has") == 1, by["f15"].plus).otherwise(by["f15"].minus).alias("s")))
     total = out.groupBy("run_id").agg(F.sum("s").alias("score"))
     return state.select("run_id").distinct().join(total, "run_id", "left").select("run_id", F.coalesce("score", F.lit(0)).cast("long").alias("score"))
@@ -82,8 +90,8 @@ def move_delta(state: DataFrame, edges: DataFrame, moves: DataFrame) -> DataFram
 
 
 def sides(mentions: DataFrame, level: str = "document", vectors: DataFrame | None = None) -> DataFrame:
-    """(mention_id, s, v): prepared mentions, with their context vector as a map if vectors (mention_id, term, w) are given."""
-    rows = features.prepare(mentions.select("mention_id", "mention", "context"), level, "s").select("mention_id", "s")
+    """(mention_id, s, g, v): prepared mentions with their grams, and their context vector as a map if vectors (mention_id, term, w) are given."""
+    rows = features.prepare(mentions.select("mention_id", "mention", "context"), level, "s").select("mention_id", "s", qgrams(F.col("s.m")).alias("g"))
     if vectors is None:
         return rows.withColumn("v", F.lit(None).cast("map<string,double>"))
     maps = vectors.groupBy("mention_id").agg(F.map_from_entries(F.array_sort(F.collect_list(F.struct("term", "w")))).alias("v"))
@@ -102,11 +110,11 @@ def move_delta_on_demand(state: DataFrame, side: DataFrame, moves: DataFrame, sp
     """
     own = state.select("run_id", "mention_id", F.col("entity_id").alias("entity_from"))
     asked = moves.select("run_id", "mention_id", "entity_to").join(own, ["run_id", "mention_id"])
-    asked = asked.join(side.select("mention_id", F.col("s").alias("a"), F.col("v").alias("va")), "mention_id")
+    asked = asked.join(side.select("mention_id", F.col("s").alias("a"), F.col("g").alias("ga"), F.col("v").alias("va")), "mention_id")
     ends = asked.withColumn("end", F.explode(F.array_distinct(F.array("entity_from", "entity_to"))))
     other = state.select("run_id", F.col("mention_id").alias("x"), F.col("entity_id").alias("end"))
-    met = ends.join(other, ["run_id", "end"]).where("x <> mention_id").join(side.select(F.col("mention_id").alias("x"), F.col("s").alias("b"), F.col("v").alias("vb")), "x")
-    similar = _cosine(F.col("va"), F.col("vb")) if cosines else features.text_similarity(F.col("a"), F.col("b"))
+    met = ends.join(other, ["run_id", "end"]).where("x <> mention_id").join(side.select(F.col("mention_id").alias("x"), F.col("s").alias("b"), F.col("g").alias("gb"), F.col("v").alias("vb")), "x")
+    similar = _cosine(F.col("va"), F.col("vb")) if cosines else features.gram_similarity(F.col("ga"), F.col("gb"))
     w = features.total(specs, F.col("a"), F.col("b"), similar)
     sums = met.where("entity_from <> entity_to").groupBy("run_id", "mention_id", "entity_to").agg(F.sum(F.when(F.col("end") == F.col("entity_to"), w).otherwise(-w)).alias("delta"))
     out = asked.select("run_id", "mention_id", "entity_from", "entity_to").join(sums, ["run_id", "mention_id", "entity_to"], "left")
