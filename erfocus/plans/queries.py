@@ -593,6 +593,6 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 QUERIES |= {f"chain_{s}": _chain(s) for s in ("uniform", "pin_target", "influence_both", "influence_to_query", "expel", "expel_both")}
 QUERIES |= {"stream_canopy": lambda spark, sf_dir: growth.replay(spark, sf_dir)}
 QUERIES |= workloads.WORKLOADS
-QUERIES |= {"chain_mh": _with_mh, "chain_alias": _chain("influence_to_query", draw="alias"), "chain_entity_wide": _chain("influence_to_query", entity_wide=True)}
+QUERIES |= {"chain_mh": _with_mh, "chain_alias": _chain("influence_to_query", draw="alias")}
 QUERIES |= {f"schedule_{p}": _plan(p) for p in ("round_robin", "by_selectivity", "equal")}
 QUERIES |= {f"schedule_{p}": _next(p) for p in ("closest_first", "farthest_first", "slowest_first")}
