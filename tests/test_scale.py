@@ -35,3 +35,32 @@ def test_scores_by_class_equal_those_of_all_pairs_and_copies_add_no_pair(spark,
     moves = state.select("run_id", "mention_id").crossJoin(state.select(F.col("entity_id").alias("entity_to")).distinct())
     assert rows(score.move_delta(state, by_class, moves, of)) == rows(score.move_delta(state, every, moves))
     assert rows(baselines.pairwise(by_class, 60, members, of=of)) == rows(baselines.pairwise(every, 60, members))
+
+
+def _many(spark, n):
+    """Mentions of a few strings, one of them the query's."""
+    from erfocus.sources.fixtures import with_context
+
+    word = F.array(F.concat(F.lit("topic_"), (F.col("id") % 7).cast("string")))
+    flat = spark.range(n).select(F.col("id").alias("mention_id"), F.col("id").alias("doc_id"), F.lit(0).alias("startpos"), F.concat(F.lit("red plate "), (F.col("id") % 5).cast("string")).alias("mention"), word.alias("paragraph"), word.alias("document"), F.lit("x").alias("gold"))
+    return with_context(flat)
+
+
+def test_a_canopy_of_over_a_hundred_thousand_is_packed_and_sampled(spark):
+    from erfocus.operators import samplers
+
+    m = _many(spark, 120_000)
+    q = m.where("mention_id = 0").withColumn("query_id", F.col("mention_id"))
+    packed = samplers.pack(m.select(F.lit(0).cast("long").alias("query_id"), "mention_id"), m, q, None, "paragraph")
+    both = samplers.chains(packed, samplers.Settings(samples=20, draw="cdf", cosines=False)).localCheckpoint()
+    assert samplers.states(both).count() == 120_000
+    assert samplers.traces(both).count() == 20
+
+
+def test_the_table_function_takes_partitions_of_over_five_thousand(spark):
+    from erfocus.plans import udtf
+
+    udtf.register(spark)
+    _many(spark, 6_000).createOrReplaceTempView("many_mentions")
+    found = spark.sql("SELECT * FROM er_select(TABLE(SELECT mention_id, mention, context FROM many_mentions) WITH SINGLE PARTITION, 'red plate 1', array('topic_1'), 50)")
+    assert found.count() > 0
