@@ -64,3 +64,12 @@ def test_the_table_function_takes_partitions_of_over_five_thousand(spark):
     _many(spark, 6_000).createOrReplaceTempView("many_mentions")
     found = spark.sql("SELECT * FROM er_select(TABLE(SELECT mention_id, mention, context FROM many_mentions) WITH SINGLE PARTITION, 'red plate 1', array('topic_1'), 50)")
     assert found.count() > 0
+
+
+def test_near_copies_write_no_text_and_no_shingles_of_a_text_down(spark, small, monkeypatch):
+    from erfocus.plans import workloads
+
+    written, cut = [], workloads.cut
+    monkeypatch.setattr(workloads, "cut", lambda df: (written.extend(t for _, t in df.dtypes), cut(df))[1])
+    assert workloads.near_copy_gold(spark.read.parquet(f"{small}/documents.parquet")).count() == 200
+    assert written and not [t for t in written if t.startswith("array")]
