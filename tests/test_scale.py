@@ -73,3 +73,34 @@ def test_near_copies_write_no_text_and_no_shingles_of_a_text_down(spark, small,
     monkeypatch.setattr(workloads, "cut", lambda df: (written.extend(t for _, t in df.dtypes), cut(df))[1])
     assert workloads.near_copy_gold(spark.read.parquet(f"{small}/documents.parquet")).count() == 200
     assert written and not [t for t in written if t.startswith("array")]
+
+
+def test_whole_blocks_end_where_traced_chains_end_with_few_sums_and_no_trace(spark, small, monkeypatch):
+    from erfocus.functions import features
+    from erfocus.operators import kernel, samplers
+    from erfocus.plans import session, workloads
+    from erfocus.sources import fixtures
+
+    m = fixtures.customer_mentions(spark, small).localCheckpoint()
+    er = session.EntityResolution(m, features.SHORT_NAMES, "paragraph")
+    packed = er.packed_blocks(workloads.CUSTOMER_BLOCK)
+    s = samplers.Settings(sampler="uniform", samples=5000, idle=400, seed=3)
+    traced = samplers.states(samplers.chains(packed, s, 2, features.SHORT_NAMES))
+    assert rows(samplers.resolved(packed, s, 2, features.SHORT_NAMES)) == rows(traced)
+    whole = samplers.unpacked(packed.first()["model"])
+    chain = samplers._chain(whole, 0, s, features.SHORT_NAMES, traced=False)
+    assert isinstance(chain, kernel.ClassChain) and len(chain.own) < len(chain.ids)
+    same = samplers._chain(whole, 0, s, features.SHORT_NAMES)
+    for c in (chain, same):
+        kernel.Budget(5000, idle=400).spend(c, samplers.Turns(c.queries, "round_robin", 5000))
+    assert chain.step == same.step and chain.last == same.last and not chain.trace and chain.labels().tolist() == same.labels().tolist()
+
+
+def test_mentions_without_a_block_or_alone_in_it_are_kept(spark):
+    from erfocus.plans import session
+
+    m = _many(spark, 12)
+    er = session.EntityResolution(m, level="paragraph")
+    found = er.resolve_all("CASE WHEN mention_id = 5 THEN 'own' WHEN mention_id % 4 > 0 THEN mention END", runs=2, samples=50)
+    assert sorted((r.run_id, r.mention_id) for r in found.collect()) == [(k, i) for k in (0, 1) for i in range(12)]
+    assert {r.mention_id: r.entity_id for r in found.where("run_id = 1 AND mention_id IN (0, 4, 5, 8)").collect()} == {i: i for i in (0, 4, 5, 8)}
