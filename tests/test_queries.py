@@ -61,3 +61,18 @@ def test_nothing_outside_imports_the_llm_subpackage():
             if f.endswith(".py"):
                 with open(os.path.join(folder, f)) as text:
                     assert "erfocus.llm" not in text.read(), f
+
+
+def test_exact_keys_take_their_mentions_from_the_given_table(spark, small, tmp_path):
+    from pyspark.sql import functions as F
+
+    for t in TABLES:
+        os.symlink(f"{small}/{t}.parquet", tmp_path / f"{t}.parquet")
+    (tmp_path / "part.parquet").unlink()
+    parts = spark.read.parquet(f"{small}/part.parquet").withColumn("p_partkey", F.col("p_partkey") + 5000)
+    parts.coalesce(1).write.parquet(str(tmp_path / "part.parquet"))
+    for name in ("exact_map", "exact_marginal"):
+        ids = {r.mention_id for r in entry.queries()[name](spark, str(tmp_path)).collect()}
+        assert ids and min(ids) >= 5000
+    best = entry.queries()["exact_posterior"](spark, str(tmp_path)).agg(F.max("score")).first()[0]
+    assert {r.exact_score for r in entry.queries()["w7_worked_example"](spark, str(tmp_path)).collect()} == {best}
