@@ -104,3 +104,21 @@ def test_mentions_without_a_block_or_alone_in_it_are_kept(spark):
     found = er.resolve_all("CASE WHEN mention_id = 5 THEN 'own' WHEN mention_id % 4 > 0 THEN mention END", runs=2, samples=50)
     assert sorted((r.run_id, r.mention_id) for r in found.collect()) == [(k, i) for k in (0, 1) for i in range(12)]
     assert {r.mention_id: r.entity_id for r in found.where("run_id = 1 AND mention_id IN (0, 4, 5, 8)").collect()} == {i: i for i in (0, 4, 5, 8)}
+
+
+def test_draws_ahead_over_classes_are_those_of_tables_over_mentions(spark, small):
+    from erfocus.functions.features import TWO_WORD_NAMES
+    from erfocus.operators import alias, influence, parallel, state
+    from erfocus.operators.durable import cut
+
+    p, mentions, members, _ = _copied(spark, small)
+    q = cut(p.one.withColumn("query_id", F.lit(0).cast("long")))
+    infl = cut(influence.score(members, mentions, q, TWO_WORD_NAMES, None, "paragraph"))
+    start = cut(state.init(mentions.select("mention_id")))
+    tables = cut(alias.build(influence.decay(infl)))
+    of = cut(mentions.select("mention_id", (F.col("mention_id") % 10_000).alias("rep")))
+    scores = infl.where("mention_id < 10000").withColumnRenamed("mention_id", "rep")
+    ahead = cut(parallel.draws_ahead(scores, of, q, 2, 40))
+    for step in (0, 1):
+        drawn = ahead.where(F.col("step") == step).drop("step")
+        assert rows(parallel.propose(start, None, q, step, workers=40, drawn=drawn)) == rows(parallel.propose(start, tables, q, step, workers=40))
