@@ -122,3 +122,105 @@ def test_draws_ahead_over_classes_are_those_of_tables_over_mentions(spark, small
     for step in (0, 1):
         drawn = ahead.where(F.col("step") == step).drop("step")
         assert rows(parallel.propose(start, None, q, step, workers=40, drawn=drawn)) == rows(parallel.propose(start, tables, q, step, workers=40))
+
+
+def _replayed(n, between, sampler, steps, temperature=None, tau=0.9):
+    """The trace of a chain over _many(n) from singletons for mention 0, by a plain replay; between: weights of classes of ids."""
+    import math
+    from bisect import bisect_left, bisect_right, insort
+
+    import numpy as np
+
+    from erfocus.functions.rand import py_h32
+
+    w = lambda i, j: between[i % 35, j % 35] if i != j else 0
+    infl = np.array([between[0, i % 35] for i in range(n)])
+    p = min(0.05, 5 / n)
+    decay = np.empty(n)
+    decay[np.lexsort((np.arange(n), -infl))] = p * (1 - p) ** np.arange(n)
+    whole = np.floor(decay * 1_000_000 + 0.5).astype(np.int64)
+    cum = np.cumsum(whole).tolist()
+    chance = lambda xs: sum(int(whole[x]) for x in xs) / cum[-1]
+    label, groups, ent, out, mh = list(range(n)), {i: [i] for i in range(n)}, list(range(n)), [], temperature is not None
+    for t in range(steps):
+        u = lambda slot: py_h32(f"1|0|{t}|{slot}")  # noqa: E731, B023
+        own = label[0]
+        if sampler == "uniform" or u(0) >= int(tau * 2**32):
+            source, k = ent[u(1) * len(ent) >> 32], u(3) * (len(ent) + mh) >> 32
+            target = ent[k] if k < len(ent) else -1
+            m = groups[source][u(2) * len(groups[source]) >> 32]
+        else:
+            drawn = [bisect_right(cum, u(slot) * cum[-1] >> 32) for slot in (5, 9, 11, 13, 15)]
+            m = next((x for x in drawn if label[x] != own), drawn[-1])
+            source, target = label[m], own
+        nothing = source == target or (sampler != "uniform" and m == 0) or (target == -1 and len(groups[source]) == 1)
+        delta, ok = 0, False
+        if not nothing:
+            left, joined = [x for x in groups[source] if x != m], sorted(groups.get(target, []) + [m])
+            delta = sum(w(m, x) for x in joined) - sum(w(m, x) for x in left)
+            ok = delta > 0
+            if mh:
+                after = next((g for g in (left, joined) if 0 in g), groups[own])
+                uniform = lambda entities, size: (1 - tau) / entities / size / (entities + 1)
+                forward = (tau * chance([m]) / (1 - chance(groups[own])) if target == own else 0) + uniform(len(ent), len(groups[source]))
+                back = (tau * chance([m]) / (1 - chance(after)) if source == own else 0) + uniform(len(ent) - (not left) + (target == -1), len(joined))
+                ratio = delta / temperature + math.log(back) - math.log(forward)
+                ok = ratio >= 0 or math.log(max(u(4) / 2**32, 1e-300)) < ratio
+        out.append((t, m, source, target, delta, ok))
+        if ok:
+            for e in (source, target):
+                if e != -1:
+                    del groups[e], ent[bisect_left(ent, e)]
+            for g in filter(None, (left, joined)):
+                groups[g[0]] = g
+                insort(ent, g[0])
+                for x in g:
+                    label[x] = g[0]
+    return out
+
+
+MANY = 120_000
+
+
+def _over_many(spark, sampler, steps, **changes):
+    """Spark's trace of a chain over a canopy of over a hundred thousand, and that of the replay."""
+    import numpy as np
+
+    from erfocus.functions.features import TWO_WORD_NAMES
+    from erfocus.operators import samplers
+
+    m = _many(spark, MANY)
+    few = m.where("mention_id < 70").localCheckpoint()
+    between = np.zeros((35, 35), dtype=np.int64)
+    for r in score.pair_edges(few.select(F.lit(0).cast("long").alias("query_id"), "mention_id"), few, TWO_WORD_NAMES, None, "paragraph").collect():
+        between[r.i % 35, r.j % 35] = between[r.j % 35, r.i % 35] = r.w
+    q = m.where("mention_id = 0").withColumn("query_id", F.col("mention_id"))
+    packed = samplers.pack(m.select(F.lit(0).cast("long").alias("query_id"), "mention_id"), m, q, None, "paragraph")
+    both = samplers.chains(packed, samplers.Settings(sampler=sampler, samples=steps, draw="cdf", cosines=False, **changes), 1, TWO_WORD_NAMES)
+    trace = samplers.traces(both).localCheckpoint()
+    return trace, _replayed(MANY, between, sampler, steps, changes.get("temperature")), m, q
+
+
+def _steps(trace):
+    return rows(trace.select("step", "m", "e_from", "e_to", "delta", "accepted"))
+
+
+def test_metropolis_hastings_over_a_large_canopy_is_that_of_a_plain_replay(spark):
+    trace, want, *_ = _over_many(spark, "influence_to_query", 120, accept="mh", temperature=30.0)
+    assert _steps(trace) == want and any(r[5] for r in want)
+
+
+def test_a_canopy_is_refused_only_beyond_a_limit_that_is_given(spark):
+    import inspect
+
+    import pytest
+
+    from erfocus.operators import samplers
+
+    assert {inspect.signature(f).parameters["max_canopy"].default for f in (samplers.pack, samplers.pack_blocks)} == {None}
+    m = _many(spark, 30)
+    q = m.where("mention_id = 0").withColumn("query_id", F.col("mention_id"))
+    canopy = m.select(F.lit(0).cast("long").alias("query_id"), "mention_id")
+    assert samplers.pack(canopy, m, q, max_canopy=30).count() == 1
+    with pytest.raises(Exception, match="30 mentions"):
+        samplers.pack(canopy, m, q, max_canopy=29).collect()
