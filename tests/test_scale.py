@@ -224,3 +224,20 @@ def test_a_canopy_is_refused_only_beyond_a_limit_that_is_given(spark):
     assert samplers.pack(canopy, m, q, max_canopy=30).count() == 1
     with pytest.raises(Exception, match="30 mentions"):
         samplers.pack(canopy, m, q, max_canopy=29).collect()
+
+
+def test_draws_of_guided_chains_over_a_large_canopy_are_those_of_a_plain_replay(spark):
+    trace, want, *_ = _over_many(spark, "influence_to_query", 120)
+    assert _steps(trace) == want and any(r[5] for r in want)
+
+
+def test_weights_that_all_round_to_nothing_are_no_draw():
+    import numpy as np
+    import pytest
+
+    from erfocus.operators import samplers
+
+    weights = np.full(4, 1e-8)
+    with pytest.raises(ValueError, match="alias"):
+        samplers.biased(weights, "cdf")
+    assert samplers.biased(weights, "alias").prob.tolist() == [1.0] * 4
