@@ -241,3 +241,8 @@ def test_weights_that_all_round_to_nothing_are_no_draw():
     with pytest.raises(ValueError, match="alias"):
         samplers.biased(weights, "cdf")
     assert samplers.biased(weights, "alias").prob.tolist() == [1.0] * 4
+
+
+def test_uniform_chains_over_a_large_canopy_are_those_of_a_plain_replay(spark):
+    trace, want, *_ = _over_many(spark, "uniform", 200)
+    assert _steps(trace) == want and any(r[5] for r in want)
