@@ -246,3 +246,12 @@ def test_weights_that_all_round_to_nothing_are_no_draw():
 def test_uniform_chains_over_a_large_canopy_are_those_of_a_plain_replay(spark):
     trace, want, *_ = _over_many(spark, "uniform", 200)
     assert _steps(trace) == want and any(r[5] for r in want)
+
+
+def test_the_first_correct_proposal_over_a_large_canopy_is_that_of_a_plain_replay(spark):
+    from erfocus.operators import metrics
+
+    trace, want, m, q = _over_many(spark, "uniform", 200)
+    gold = m.select("mention_id", F.when(F.col("mention_id") % 3 == 0, "x").otherwise("y").alias("gold"))
+    first = min(r[0] for r in want if r[5] and r[1] % 3 == 0)
+    assert [tuple(r) for r in metrics.first_correct(trace, gold, q).select("query_id", "step").collect()] == [(0, first)]
