@@ -255,3 +255,12 @@ def test_the_first_correct_proposal_over_a_large_canopy_is_that_of_a_plain_repla
     gold = m.select("mention_id", F.when(F.col("mention_id") % 3 == 0, "x").otherwise("y").alias("gold"))
     first = min(r[0] for r in want if r[5] and r[1] % 3 == 0)
     assert [tuple(r) for r in metrics.first_correct(trace, gold, q).select("query_id", "step").collect()] == [(0, first)]
+
+
+def test_counts_of_proposals_over_a_large_canopy_are_those_of_a_plain_replay(spark):
+    from erfocus.operators import metrics
+
+    trace, want, *_ = _over_many(spark, "uniform", 200)
+    hits = [r[0] for r in want if r[5]]
+    found = metrics.proposals(trace).select("proposals", "accepted", F.round("rate", 9), "first_accepted").collect()
+    assert [tuple(r) for r in found] == [(200, len(hits), round(len(hits) / 200, 9), hits[0])]
