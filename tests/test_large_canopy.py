@@ -90,3 +90,8 @@ def got(spark, large, name):
 def test_chain_influence_to_query(spark, large):
     want = large.walk("influence_to_query", oracles.STEPS)
     assert got(spark, large, "chain_influence_to_query") == want and len({r[5] for r in want}) == 2
+
+
+def test_chain_uniform(spark, large, uniform):
+    want = uniform[: oracles.STEPS]
+    assert got(spark, large, "chain_uniform") == want and len({r[5] for r in want}) == 2
