@@ -95,3 +95,9 @@ def test_chain_influence_to_query(spark, large):
 def test_chain_uniform(spark, large, uniform):
     want = uniform[: oracles.STEPS]
     assert got(spark, large, "chain_uniform") == want and len({r[5] for r in want}) == 2
+
+
+def test_first_correct(spark, large, uniform):
+    gold = dict(zip(large.ids, large.gold, strict=True))
+    right = [r[0] for r in uniform if r[5] and gold[r[1]] == gold[large.own]]
+    assert right and got(spark, large, "first_correct") == [(large.own, right[0])]
