@@ -101,3 +101,8 @@ def test_first_correct(spark, large, uniform):
     gold = dict(zip(large.ids, large.gold, strict=True))
     right = [r[0] for r in uniform if r[5] and gold[r[1]] == gold[large.own]]
     assert right and got(spark, large, "first_correct") == [(large.own, right[0])]
+
+
+def test_proposal_counts(spark, large, uniform):
+    hits = [r[0] for r in uniform[: oracles.STEPS] if r[5]]
+    assert got(spark, large, "proposal_counts") == [(oracles.STEPS, len(hits), round(len(hits) / oracles.STEPS, 9), hits[0])]
